@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from relayout.llm import url_filter
+from relayout.llm import packing, url_filter
 
 QUERIES = {
+    "op3_packing": packing.query,
     "op7_url_filter": url_filter.query,
 }
 ORACLES = {
