@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from relayout.llm import language_id, packing, topk, url_filter
+from relayout.llm import decontam, language_id, packing, topk, url_filter
 
 QUERIES = {
     "op1_language_id": language_id.query,
     "op3_packing": packing.query,
+    "op5_decontamination": decontam.query,
     "op7_url_filter": url_filter.query,
     "op10_exact_topk": topk.query,
 }
