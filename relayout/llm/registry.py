@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from relayout.llm import decontam, language_id, packing, topk, url_filter
+from relayout.llm import decontam, language_id, packing, quality, quotes, topk, url_filter
 
 QUERIES = {
     "op1_language_id": language_id.query,
     "op3_packing": packing.query,
     "op5_decontamination": decontam.query,
+    "op6_quality": quality.query,
     "op7_url_filter": url_filter.query,
+    "op8_quotation_linking": quotes.query,
     "op10_exact_topk": topk.query,
 }
 ORACLES = {

@@ -42,6 +42,7 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
         atexit.register(_remove, spark, root)
     path = f"{root}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    spark._jvm.System.gc()  # lets Spark's cleaner drop shuffle files that nothing refers to any more
     return spark.read.schema(df.schema).parquet(path)
 
 
