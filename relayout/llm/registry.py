@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from relayout.llm import decontam, language_id, packing, quality, quotes, topk, url_filter
+from relayout.llm import decontam, language_id, packing, quality, quotes, substring_index, suffix_dedup, topk, url_filter
 
 QUERIES = {
     "op1_language_id": language_id.query,
+    "op2_suffix_dedup": suffix_dedup.query,
     "op3_packing": packing.query,
+    "op4_substring_dedup": substring_index.query,
     "op5_decontamination": decontam.query,
     "op6_quality": quality.query,
     "op7_url_filter": url_filter.query,
