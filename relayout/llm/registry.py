@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from relayout.llm import decontam, language_id, packing, quality, quotes, substring_index, suffix_dedup, topk, url_filter
+from relayout.llm import decontam, jaccard, language_id, packing, quality, quotes, substring_index, suffix_dedup, topk, url_filter
 
 QUERIES = {
     "op1_language_id": language_id.query,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_quality": quality.query,
     "op7_url_filter": url_filter.query,
     "op8_quotation_linking": quotes.query,
+    "op9_jaccard_join": jaccard.query,
     "op10_exact_topk": topk.query,
 }
 ORACLES = {
