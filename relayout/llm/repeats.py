@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, ONE, TWO, Rolling, blocks, materialise, mix, parts, sliding_min, utf8, word_hashes, words_in_documents
 
 PLACE = np.uint64((1 << 30) - 1)
-PART_BYTES = 8_000_000
+PART_BYTES = 2_000_000
 FLUSH = 1_500_000
 RECORD = np.dtype([("a", "<u8"), ("b", "<u8"), ("doc", "<i8"), ("p", "<i4"), ("n", "<i4")])
 REPLY = np.dtype([("a", "<u8"), ("b", "<u8"), ("first", "<u1")])
@@ -405,7 +405,7 @@ def _each(frame: DataFrame, search: Search, width: int, what: Callable[[Stretche
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             _, offsets = utf8(batch.column("body"))
-            for a, b in blocks(offsets, 4 * BLOCK):
+            for a, b in blocks(offsets):
                 yield what(Stretches.read(search, batch.slice(a, b - a), width))
 
     return frame.mapInArrow(run, schema)
