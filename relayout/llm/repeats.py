@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, ONE, TWO, Rolling, blocks, materialise, mix, parts, sliding_min, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, sliding_min, utf8, word_hashes, words_in_documents
 
 PLACE = np.uint64((1 << 30) - 1)
 PART_BYTES = 2_000_000
@@ -183,10 +183,10 @@ def repeated(frame: pd.DataFrame) -> pd.DataFrame:
     keep = np.repeat(total >= 2, np.diff(np.append(begin, len(r))))
     out = np.empty(int(keep.sum()), REPLY)
     out["a"], out["b"], out["first"] = r["a"][keep], r["b"][keep], new[keep]
-    return _per_part(out, part[keep])
+    return per_part(out, part[keep])
 
 
-def _per_part(out: np.ndarray, part: np.ndarray) -> pd.DataFrame:
+def per_part(out: np.ndarray, part: np.ndarray) -> pd.DataFrame:
     order = np.argsort(part, kind="stable")
     out, part = out[order], part[order]
     cut = np.flatnonzero(np.diff(part, prepend=part[0] - 1, append=part[-1] + 1)) if len(part) else np.zeros(1, np.int64)
@@ -524,7 +524,7 @@ def repeated_samples(frame: pd.DataFrame) -> pd.DataFrame:
     begin = np.flatnonzero(np.diff(r["a"], prepend=~r["a"][:1]) != 0)
     total = np.add.reduceat(r["n"].astype(np.int64), begin)
     keep = np.repeat(total >= 2, np.diff(np.append(begin, len(r))))
-    return _per_part(r["a"][keep].astype("<u8"), part[keep])
+    return per_part(r["a"][keep].astype("<u8"), part[keep])
 
 
 def sample_entries(search: Search, x: Stretches, buckets: int) -> pa.RecordBatch:
@@ -540,18 +540,20 @@ def sample_entries(search: Search, x: Stretches, buckets: int) -> pa.RecordBatch
     return pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.binary())], ["bucket", "part", "body"])
 
 
-def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> DataFrame:
+def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent: tuple[DataFrame, ...] = ()) -> DataFrame:
     """(doc_id, rid, found): ranges of units under repeated windows, each a binary of (from, to), 8 bytes each.
 
-    docs: (doc_id, rid, text) as keyed() gives it; hits: (rid, body), the repeated fingerprints of each document."""
-    one_bucket = lambda f: (lambda frame: f(frame))
+    docs: (doc_id, rid, text) as keyed() gives it; hits: (rid, body), the repeated fingerprints of each document; spent:
+    written tables that only hits needs."""
     found = materialise(pieces(docs, hits, search, buckets), "pieces")
+    discard(*spent)
 
     def of_contexts(x: Stretches) -> pa.RecordBatch:
         return entries_of(x.part[x.of], *contexts(search, x), buckets)
 
-    replies = _each(found, search, 3, of_contexts, ENTRY).groupBy("bucket").applyInPandas(one_bucket(repeated), "part long, body binary")
+    replies = _each(found, search, 3, of_contexts, ENTRY).groupBy("bucket").applyInPandas(repeated, "part long, body binary")
     settled = materialise(settle(search, found, replies), "settled")
+    discard(found)
     open_ = settled.filter("kind = 1").drop("kind")
 
     def all_windows(x: Stretches) -> pa.RecordBatch:
@@ -559,7 +561,7 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> Data
         return entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], buckets)
 
     if search.cover:
-        shared = _each(open_, search, 2, lambda x: sample_entries(search, x, buckets), ENTRY).groupBy("bucket").applyInPandas(one_bucket(repeated_samples), "part long, body binary")
+        shared = _each(open_, search, 2, lambda x: sample_entries(search, x, buckets), ENTRY).groupBy("bucket").applyInPandas(repeated_samples, "part long, body binary")
 
         def of_sampled(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
             if not left.num_rows or not len(got):
@@ -578,7 +580,7 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> Data
         entries = _with_replies(open_, shared, of_sampled, ENTRY, np.dtype("<u8"))
     else:
         entries = _each(open_, search, 2, all_windows, ENTRY)
-    same = entries.groupBy("bucket").applyInPandas(one_bucket(repeated), "part long, body binary")
+    same = entries.groupBy("bucket").applyInPandas(repeated, "part long, body binary")
 
     def final(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
         if not left.num_rows or not len(got):
@@ -593,6 +595,8 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> Data
 
     last = _with_replies(open_, same, final, STRETCH)
     both = settled.filter("kind = 0").select("doc_id", "rid", "ranges").union(last.select("doc_id", "rid", "ranges"))
+    both = materialise(both, "ranges")
+    discard(settled)
     return both.groupBy("doc_id", "rid").agg(F.collect_list("ranges").alias("found"))
 
 
@@ -615,5 +619,3 @@ def unnull(column: str) -> F.Column:
 def default_buckets(docs: DataFrame) -> int:
     return parts(docs.sparkSession)
 
-
-__all__ = ["ONE", "Search", "ask_once", "default_buckets", "difference_cover", "find", "fingerprints", "ranges_of", "unnull", "with_ranges"]

@@ -7,6 +7,7 @@ Python string is made. Blocks are cut at about a million bytes, so memory doesn'
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -41,9 +42,23 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
         spark._relayout_cleanup = True
         atexit.register(_remove, spark, root)
     path = f"{root}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    spark._jvm.System.gc()  # lets Spark's cleaner drop shuffle files that nothing refers to any more
-    return spark.read.schema(df.schema).parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
+    release(spark)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._relayout_path = path
+    return out
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark's cleaner drop shuffle files that nothing refers to any more."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
+def discard(*written: DataFrame) -> None:
+    """Deletes what materialise() wrote, once all that was read from it has been written down itself."""
+    for df in written:
+        _remove(df.sparkSession, df._relayout_path)
 
 
 def _remove(spark: SparkSession, path: str) -> None:
@@ -173,6 +188,12 @@ class Rolling:
         return mix((self.sums[length:] - self.sums[:n]) * self.down[:n] + np.uint64(length))
 
 
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted, each value once (a sort is several times as fast here as numpy's hash table)."""
+    x = np.sort(x)
+    return x[np.append(True, x[1:] != x[:-1])] if len(x) else x
+
+
 def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     return Rolling(BYTE_ONE[data]).of(starts, ends)
 

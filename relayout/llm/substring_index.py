@@ -79,6 +79,7 @@ class SubstringIndex:
     def __init__(self, spark: SparkSession, search: Search, buckets: int, fanout: int = FANOUT):
         self.spark, self.search, self.buckets, self.fanout = spark, search, buckets, fanout
         self.runs: list[DataFrame] = []
+        self.written: list[DataFrame] = []
 
     def add(self, docs: DataFrame) -> DataFrame:
         """docs as keyed() gives them; (rid, body) of hits, of this batch and of earlier ones."""
@@ -86,6 +87,7 @@ class SubstringIndex:
         for run in self.runs:
             rows = rows.union(run.select("bucket", F.lit(3).alias("kind"), "body"))
         merged = materialise(rows.groupBy("bucket").applyInPandas(_merge, MERGED), "index")
+        self.written.append(merged)
         self.runs.append(merged.filter(F.col("kind") == RUN))
         if len(self.runs) > self.fanout:
             self.compact()
@@ -97,6 +99,7 @@ class SubstringIndex:
             rows = rows.union(run)
         rows = rows.select("bucket", F.lit(3).alias("kind"), "body").groupBy("bucket").applyInPandas(_compact, MERGED)
         self.runs = [materialise(rows, "compacted")]
+        self.written.append(self.runs[0])
 
 
 def in_batches(docs: DataFrame, n: int) -> list[DataFrame]:
@@ -123,7 +126,7 @@ def repeated_words(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, buck
         found = index.add(keyed(batch))
         hits = found if hits is None else hits.union(found)
     docs = keyed(docs)
-    return with_ranges(docs, find(docs, hits, search, buckets))
+    return with_ranges(docs, find(docs, hits, search, buckets, tuple(index.written)))
 
 
 def kept(text: bytes, ranges: np.ndarray) -> tuple[int, bytes]:
