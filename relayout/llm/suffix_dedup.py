@@ -21,12 +21,12 @@ from relayout.llm.shared import keyed, table, utf8
 SIZE, GRAM, COVER = 400, 64, 7
 
 
-def repeated_bytes(docs: DataFrame, size: int = SIZE, gram: int = GRAM, cover: int = COVER, buckets: int | None = None) -> DataFrame:
-    """docs: (doc_id, rid, text) as keyed() gives it. With found, the byte ranges under strings of ``size`` bytes that
-    start anywhere else too."""
+def repeated_ranges(docs: DataFrame, size: int = SIZE, gram: int = GRAM, cover: int = COVER, buckets: int | None = None) -> DataFrame:
+    """(doc_id, rid, found) of the documents that have any: byte ranges under strings of ``size`` bytes that start
+    anywhere else too. docs: (doc_id, rid, text) as keyed() gives it."""
     search = Search(words=False, window=size, gram=gram, later=False, cover=cover)
     buckets = buckets or default_buckets(docs)
-    return with_ranges(docs, find(docs, ask_once(fingerprints(docs, search, buckets)), search, buckets))
+    return find(docs, ask_once(fingerprints(docs, search, buckets)), search, buckets)
 
 
 def kept(text: bytes, ranges: np.ndarray) -> bytes:
@@ -52,7 +52,8 @@ def digest(docs: DataFrame, **how: int) -> DataFrame:
                 ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"],
             )
 
-    out = repeated_bytes(keyed(docs), **how).select("doc_id", "text", "found")
+    docs = keyed(docs)
+    out = with_ranges(docs, repeated_ranges(docs, **how)).select("doc_id", "text", "found")
     out = out.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
     return out.select(unnull("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
