@@ -108,11 +108,12 @@ def solve_bruteforce(gain: np.ndarray) -> list[int]:
     return list(max(itertools.permutations(range(n)), key=lambda s: gain_of(gain, s)))
 
 
-def solve_greedy(gain: np.ndarray, order: str = "gain", floor_identity: bool = True) -> list[int]:
-    """Pairs by gain, or by retained volume (gain plus what the role keeps at home), ties by role, then site. With
-    floor_identity, a relabeling that loses is dropped for the identity."""
+def solve_greedy(gain: np.ndarray, order: str = "gain", floor_identity: bool = True, home: np.ndarray | None = None) -> list[int]:
+    """Pairs by gain, or by retained volume (gain plus what the role has at home), ties by role, then site. With
+    floor_identity, a relabeling that loses is dropped for the identity. home: each role's volume at its own site; without
+    it, the least gain of a role counts as retaining nothing."""
     n = len(gain)
-    value = gain if order == "gain" else gain - gain.min(axis=1, keepdims=True)
+    value = gain if order == "gain" else gain - gain.min(axis=1, keepdims=True) if home is None else gain + home[:, None]
     role, site = np.divmod(np.lexsort((np.tile(np.arange(n), n), np.repeat(np.arange(n), n), -value.ravel())), n)
     sigma, taken = [-1] * n, [False] * n
     for x, y in zip(role.tolist(), site.tolist(), strict=True):

@@ -83,7 +83,7 @@ def find_relabeling(parcels: DataFrame, cost: Cost | None = None, solver: str =
         if solver == "exact":
             sigma, certificate = assign.solve_exact(gain)
         else:
-            sigma = {"flow": assign.solve_flow, "brute": assign.solve_bruteforce, "swap": assign.solve_random_swap, "greedy": assign.solve_greedy, "retained": lambda g: assign.solve_greedy(g, "retained")}[solver](gain)
+            sigma = {"flow": assign.solve_flow, "brute": assign.solve_bruteforce, "swap": assign.solve_random_swap, "greedy": assign.solve_greedy, "retained": lambda g: assign.solve_greedy(g, "retained", home=_diagonal(parcels, n) if volume else None)}[solver](gain)
     return Plan(parcels, sigma, before, remote_volume(parcels, sigma), int(stats["m"]), int(stats["p"]), solver, certificate)
 
 
