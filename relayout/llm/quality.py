@@ -21,10 +21,12 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BYTE_ONE, Rolling, blocks, mix, table, utf8, words_in_documents
+from relayout.llm.shared import BYTE_ONE, Rolling, blocks, distinct, materialise, mix, table, utf8, words_in_documents
 
-BITS, TRAIN_ROWS, REJECT = 18, 20_000, 0.5
+BITS, TRAIN_ROWS, REJECT = 18, 16_000, 0.5
 SHAPE = 12
+#: Standard deviations between the observed and the expected number of bad documents that hold a feature.
+CERTAIN = 3.0
 HEADS = ("low", "toxic")
 #: How many documents' worth of evidence a parent gives its child at least and at most.
 STRENGTH = (5.0, 500.0)
@@ -32,6 +34,18 @@ STRENGTH = (5.0, 500.0)
 BROADCAST_GROUPS = 200_000
 
 
+def _table(*ranges: tuple[int, int]) -> np.ndarray:
+    out = np.zeros(256, np.int64)
+    for low, high in ranges:
+        out[low : high + 1] = 1
+    return out
+
+
+_UPPER, _LOWER, _DIGIT, _BAR, _MARK, _LINE, _NONE = _table((65, 90)), _table((97, 122), (128, 255)), _table((48, 57)), _table((124, 124)), _table((33, 33)), _table((10, 10)), _table()
+#: Printable ASCII but letters, digits, comma and full stop.
+_SYMBOL = _table((33, 43), (45, 45), (47, 47), (58, 64), (91, 96), (123, 126))
+
+
 def features(column: pa.Array, bits: int = BITS) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
     """By block: first and last document, (document, cell) pairs without repeats, and the shape of each document."""
     _, offsets = utf8(column)
@@ -45,40 +59,43 @@ def features(column: pa.Array, bits: int = BITS) -> Iterator[tuple[int, int, np.
         doc = np.repeat(np.arange(b - a), np.diff(of))
         shift = np.uint64(64 - bits)
         cells = np.concatenate([whole >> shift, (mix(head + np.uint64(7)) >> shift)])
-        pairs = np.unique((np.concatenate([doc, doc]).astype(np.uint64) << np.uint64(bits)) | cells)
+        pairs = distinct((np.concatenate([doc, doc]).astype(np.uint64) << np.uint64(bits)) | cells)
         yield a, b, (pairs >> np.uint64(bits)).astype(np.int64), (pairs & np.uint64((1 << bits) - 1)).astype(np.int64), _shape(raw, at, whole, of)
 
 
 def _shape(raw: np.ndarray, at: np.ndarray, words: np.ndarray, of: np.ndarray) -> np.ndarray:
     """Shares and logarithms between 0 and about 1."""
 
-    def count(mask: np.ndarray) -> np.ndarray:
-        sums = np.concatenate([[0], np.cumsum(mask)])
-        return (sums[at[1:]] - sums[at[:-1]]).astype(float)
+    def count(low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Sums of two tables over the bytes of each document, both in one pass."""
+        sums = np.zeros(len(at), np.int64)
+        full = np.flatnonzero(np.diff(at))
+        if len(full):
+            sums[full] = np.add.reduceat(low[raw] + (high[raw] << 32), at[full])
+        return (sums[:-1] & 0xFFFFFFFF).astype(float), (sums[:-1] >> 32).astype(float)
 
     n_bytes, n_words = np.maximum(np.diff(at), 1).astype(float), np.maximum(np.diff(of), 1).astype(float)
     n, doc = len(at) - 1, np.repeat(np.arange(len(of) - 1), np.diff(of))
-    upper = count((raw >= 65) & (raw <= 90))
-    lower = count(((raw >= 97) & (raw <= 122)) | (raw >= 128))
-    symbol = (raw > 32) & (raw < 127) & ~((raw >= 48) & (raw <= 57)) & ~((raw >= 65) & (raw <= 90)) & ~((raw >= 97) & (raw <= 122)) & (raw != 44) & (raw != 46)
+    (upper, lower), (symbol, bar), (mark, digit) = count(_UPPER, _LOWER), count(_SYMBOL, _BAR), count(_MARK, _DIGIT)
+    line = count(_LINE, _NONE)[0]
     same = np.zeros(len(words), bool)
     same[1:] = (words[1:] == words[:-1]) & (doc[1:] == doc[:-1])
-    twin = np.zeros(len(raw), bool)
-    twin[1:] = symbol[1:] & (raw[1:] == raw[:-1])
-    distinct = np.bincount(np.unique(doc.astype(np.uint64) << np.uint64(40) | words >> np.uint64(24)).astype(np.uint64) >> np.uint64(40), minlength=n).astype(float) if len(words) else np.zeros(n)
+    pair = np.flatnonzero((raw[1:] == raw[:-1]) & (_SYMBOL[raw[1:]] > 0)) + 1
+    twin = np.diff(np.searchsorted(pair, at)).astype(float)
+    distinct_words = np.bincount((distinct(doc.astype(np.uint64) << np.uint64(40) | words >> np.uint64(24)) >> np.uint64(40)).astype(np.int64), minlength=n).astype(float)
     out = np.empty((n, SHAPE))
     out[:, 0] = 1.0
-    out[:, 1] = np.minimum(1, 5 * count(symbol) / n_bytes)
+    out[:, 1] = np.minimum(1, 5 * symbol / n_bytes)
     out[:, 2] = upper / np.maximum(upper + lower, 1)
-    out[:, 3] = np.minimum(1, 5 * count(raw == 124) / n_words)
+    out[:, 3] = np.minimum(1, 5 * bar / n_words)
     out[:, 4] = np.bincount(doc, same, n) / n_words
-    out[:, 5] = 1 - distinct / n_words
-    out[:, 6] = np.minimum(1, 5 * count(twin) / n_words)
-    out[:, 7] = np.minimum(1, 3 * count(raw == 33) / n_words)
+    out[:, 5] = 1 - distinct_words / n_words
+    out[:, 6] = np.minimum(1, 5 * twin / n_words)
+    out[:, 7] = np.minimum(1, 3 * mark / n_words)
     out[:, 8] = np.log1p(n_words) / 10
-    out[:, 9] = count((raw >= 48) & (raw <= 57)) / n_bytes
+    out[:, 9] = digit / n_bytes
     out[:, 10] = np.minimum(1, n_bytes / n_words / 20)
-    out[:, 11] = np.minimum(1, 20 * count(raw == 10) / n_bytes)
+    out[:, 11] = np.minimum(1, 20 * line / n_bytes)
     return out
 
 
@@ -98,7 +115,7 @@ class Heads:
         return out
 
 
-def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, bits: int = BITS, rounds: int = 150) -> Heads:
+def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, bits: int = BITS, rounds: int = 300) -> Heads:
     """Weights from a sample of about train_rows labelled documents, taken by a hash of the id. No labels: all zero."""
     labels = labels.filter("doc_id IS NOT NULL AND (quality IS NOT NULL OR toxic IS NOT NULL)").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("toxic").alias("toxic"))
     n = labels.count()
@@ -134,7 +151,11 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, bits:
             continue
         rate = target[known].mean()
         heads.prior[k] = np.log(rate / (1 - rate))
-        heads.cells[:, k], heads.shape[:, k] = _logistic(doc, cell, shape, target, known.astype(float), 1 << bits, rounds)
+        # only cells that tell the classes apart for certain: the others would be fitted to noise
+        held, bad_held = np.bincount(cell, known[doc], 1 << bits), np.bincount(cell, (known * target)[doc], 1 << bits)
+        z = (bad_held - held * rate) / np.sqrt(np.maximum(held * rate * (1 - rate), 1e-9))
+        told = ((np.abs(z) >= CERTAIN) & (held >= 3))[cell]
+        heads.cells[:, k], heads.shape[:, k] = _logistic(doc[told], cell[told], shape, target, known.astype(float), 1 << bits, rounds)
     return heads
 
 
@@ -148,15 +169,15 @@ def _logistic(doc: np.ndarray, cell: np.ndarray, shape: np.ndarray, y: np.ndarra
         dw, ds = np.bincount(cell, r[doc], n_cells) + ridge * w, shape.T @ r
         gw += dw * dw
         gs += ds * ds
-        w -= 0.5 * dw / np.sqrt(gw) * (gw > 1e-5)
-        s -= 1.0 * ds / np.sqrt(gs)
+        w -= dw / np.sqrt(gw)
+        s -= 1.5 * ds / np.sqrt(gs)
     return w, s
 
 
-def evidence(docs: DataFrame, heads: Heads) -> DataFrame:
-    """docs with z_low and z_toxic, the log-odds by the text alone; a null text gets the prior."""
+def evidence(docs: DataFrame, heads: Heads, keep_text: bool = True) -> DataFrame:
+    """docs (or all but their text) with z_low and z_toxic, the log-odds by the text alone; a null text gets the prior."""
     shared = docs.sparkSession.sparkContext.broadcast(heads)  # 2 ** bits weights
-    own = [c for c in docs.columns if c not in ("z_low", "z_toxic")]
+    own = [c for c in docs.columns if c not in ("z_low", "z_toxic") and (keep_text or c != "text")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         h = shared.value
@@ -169,9 +190,8 @@ def evidence(docs: DataFrame, heads: Heads) -> DataFrame:
             z = np.clip(z, -30, 30)
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in own), pa.array(z[:, 0]), pa.array(z[:, 1])], [*own, "z_low", "z_toxic"])
 
-    slim = docs.select(*own)
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in slim.schema.fields)
-    return slim.mapInArrow(run, f"{fields}, z_low double, z_toxic double")
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*own).schema.fields)
+    return docs.select(*dict.fromkeys(["text", *own])).mapInArrow(run, f"{fields}, z_low double, z_toxic double")
 
 
 def _probability(z: Column) -> Column:
@@ -213,8 +233,8 @@ def site_posteriors(scored: DataFrame, host: Column, path: Column) -> DataFrame:
     return out.select("host", "path", "n", *(f"{h}_{x}" for h in HEADS for x in ("host", "path", "global")))
 
 
-def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, reject: float = REJECT, train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """docs with p_low, p_toxic (probabilities), site_low, site_toxic (path posteriors) and rejected.
+def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, reject: float = REJECT, train_rows: int = TRAIN_ROWS, keep_text: bool = True) -> DataFrame:
+    """docs (without the text, if it isn't to be kept) with p_low, p_toxic (probabilities), site_low, site_toxic (path posteriors) and rejected.
 
     host defaults to ``source``, path to (``source``, ``lang``). Rejected: a probability above ``reject``. A null text
     has its site's rate as evidence; an empty one that of its shape. Without labels all evidence is even and nothing is
@@ -223,13 +243,15 @@ def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path:
     host = F.col("source") if host is None else host
     path = F.col("lang") if path is None else path
     heads = fit(docs, labels, train_rows)
-    sites = site_posteriors(evidence(docs.select("text", host.alias("source"), path.alias("lang")), heads), F.col("source"), F.col("lang"))
+    added = ("p_low", "p_toxic", "site_low", "site_toxic", "rejected")
+    own = [c for c in docs.columns if c not in added and (keep_text or c != "text")]
+    # each text is read once: what it says is written down, then summed by site
+    scored = evidence(docs.select("text", *(c for c in own if c != "text")).withColumns({"_h": host, "_p": path}), heads, keep_text)
+    scored = materialise(scored, "evidence")
+    sites = site_posteriors(scored, F.col("_h"), F.col("_p"))
     sites = sites.select(F.col("host").alias("_host"), F.col("path").alias("_path"), *(c for c in sites.columns if c not in ("host", "path", "n")))
     if sites.limit(BROADCAST_GROUPS + 1).count() <= BROADCAST_GROUPS:
         sites = F.broadcast(sites)
-    added = ("p_low", "p_toxic", "site_low", "site_toxic", "rejected")
-    own = [c for c in docs.columns if c not in added]
-    scored = evidence(docs.select(*own).withColumns({"_h": host, "_p": path}), heads)
     both = scored.join(sites, F.col("_h").eqNullSafe(F.col("_host")) & F.col("_p").eqNullSafe(F.col("_path")), "left")
     for h in HEADS:
         site = F.coalesce(F.col(f"{h}_path"), F.lit(0.5))
@@ -240,6 +262,6 @@ def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
-    found = judge(docs, table(spark, sf_dir, "labels"))
+    found = judge(docs, table(spark, sf_dir, "labels"), keep_text=False)
     r = lambda c: F.round(c, 4).alias(c)
     return found.select("doc_id", r("p_low"), r("p_toxic"), r("site_low"), r("site_toxic"), "rejected")
