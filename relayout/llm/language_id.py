@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, mix, table
+from relayout.llm.shared import BLOCK, mix, run_ends, table
 
 BITS, TRAIN_ROWS, PENALTY, NO_LANGUAGE = 18, 1500, 6.0, "und"
 
@@ -184,7 +184,7 @@ class Model:
             new[1:] = (labels[1:] != labels[:-1]) | (w.doc[1:] != w.doc[:-1])
         runs: list[list[tuple[int, int, str]]] = [[] for _ in texts]
         begin = np.flatnonzero(new)
-        for a, b in zip(begin, np.append(begin[1:], len(labels)), strict=True):
+        for a, b in zip(begin, run_ends(begin, len(labels)), strict=True):
             runs[w.doc[a]].append((int(w.start[a]), int(w.end[b - 1]), self.languages[labels[a]]))
         return names, score, runs
 

@@ -93,7 +93,7 @@ def link(messages: DataFrame) -> DataFrame:
         "reply_conv": F.when(F.col("_to").isNotNull(), F.col("_tc")).when(F.col("_last").isNotNull(), F.col("conv_id")),
         "n_quotes": passage,
         "n_linked": F.coalesce("n_linked", F.lit(0)),
-        "clean": F.when(F.col("text").isNotNull(), F.trim(F.array_join(F.transform(kept, lambda x: x["raw"]), "\n"))),
+        "clean": F.when(F.col("text").isNotNull(), F.regexp_replace(F.array_join(F.transform(kept, lambda x: x["raw"]), "\n"), r"^\s+|\s+$", "")),
         # a branch begins at the first turn, and where a turn answers another than the one before it
         "_start": F.when(F.col("_last").isNull() | (F.coalesce(F.col("_in"), F.lit(False)) & (F.col("_to") != F.col("_last"))), F.col("_turn")),
     })

@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, sliding_min, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, run_ends, sliding_min, utf8, word_hashes, words_in_documents
 
 PLACE = np.uint64((1 << 30) - 1)
 PART_BYTES = 2_000_000
@@ -113,7 +113,7 @@ def anchors(search: Search, block: Block) -> tuple[np.ndarray, np.ndarray, np.nd
     new = np.ones(len(place), bool)
     new[1:] = place[1:] != place[:-1]
     begin = np.flatnonzero(new)
-    p, lo, hi, s = place[begin], starts[begin], starts[np.append(begin[1:], len(place)) - 1] if len(place) else none, stretch[begin]
+    p, lo, hi, s = place[begin], starts[begin], starts[run_ends(begin, len(place)) - 1] if len(place) else none, stretch[begin]
     mine = (p >= block.own[s, 0]) & (p < block.own[s, 1])
     p, lo, hi, s = p[mine], lo[mine], hi[mine], s[mine]
     return s, p, lo, hi, grams[p]
@@ -333,7 +333,7 @@ def pieces(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> Da
                 apart = np.ones(len(s), bool)
                 apart[1:] = (s[1:] != s[:-1]) | (c0[1:] > c1[:-1])
                 begin = np.flatnonzero(apart)
-                for i, j in zip(begin, np.append(begin[1:], len(s)), strict=True):
+                for i, j in zip(begin, run_ends(begin, len(s)), strict=True):
                     f, t, d = int(c0[i]), int(c1[j - 1]), block.doc[s[i]]
                     f_byte = int(block.unit_start[f])
                     t_byte = int(block.unit_start[t - 1]) + 1 if block.unit_end is None else int(block.unit_end[t - 1])
@@ -447,7 +447,7 @@ def settle(search: Search, found: DataFrame, replies: DataFrame) -> DataFrame:
         apart[1:] = (s[1:] != s[:-1]) | (lo[1:] > hi[:-1] + w)
         begin = np.flatnonzero(apart)
         rows = []
-        for i, j in zip(begin, np.append(begin[1:], len(live)), strict=True):
+        for i, j in zip(begin, run_ends(begin, len(live)), strict=True):
             k, f, t = s[i], int(lo[i]), int(hi[j - 1]) + w
             here = x.at[k]
             body = x.data[x.byte_from[here + f] : x.byte_to[here + t - 1]].tobytes()
@@ -467,7 +467,7 @@ def spans_table(x: Stretches, of: np.ndarray, f: np.ndarray, t: np.ndarray, sche
     new = np.ones(len(of), bool)
     new[1:] = (doc[1:] != doc[:-1]) | (rid[1:] != rid[:-1])
     begin = np.flatnonzero(new)
-    for i, j in zip(begin, np.append(begin[1:], len(of)), strict=True):
+    for i, j in zip(begin, run_ends(begin, len(of)), strict=True):
         rows.append((0, int(x.part[of[i]]), int(doc[i]), int(rid[i]), 0, None, joined(f[i:j], t[i:j]).astype("<i8").tobytes()))
     columns = list(zip(*rows, strict=True)) or [()] * 7
     kinds = out_schema(schema)

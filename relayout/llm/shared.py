@@ -188,6 +188,11 @@ class Rolling:
         return mix((self.sums[length:] - self.sums[:n]) * self.down[:n] + np.uint64(length))
 
 
+def run_ends(begin: np.ndarray, n: int) -> np.ndarray:
+    """Where runs that begin at these places of a sequence of n end."""
+    return np.append(begin[1:], n)[: len(begin)]
+
+
 def distinct(x: np.ndarray) -> np.ndarray:
     """Sorted, each value once (a sort is several times as fast here as numpy's hash table)."""
     x = np.sort(x)
