@@ -80,9 +80,13 @@ query("agg_percentile", f"WITH {sql.TRADE} SELECT quantile_cont(vol, 0.5) AS med
 
 # ---- windows, order, sets -----------------------------------------------------------------------
 
-_BY = Window.partitionBy("dst").orderBy(F.desc("vol"), "src")
-query("win_rank", f"WITH {sql.TRADE} SELECT dst, src, CAST(row_number() OVER w AS INTEGER) AS place, CAST(rank() OVER w AS INTEGER) AS rnk, CAST(ntile(2) OVER w AS INTEGER) AS half FROM tr WINDOW w AS (PARTITION BY dst ORDER BY vol DESC, src)")(lambda s, d: core.region(s, d).select("dst", "src", F.row_number().over(_BY).alias("place"), F.rank().over(_BY).alias("rnk"), F.ntile(2).over(_BY).alias("half")))
-query("win_lead", f"WITH {sql.TRADE} SELECT dst, src, lead(vol) OVER w AS nxt, lag(vol) OVER w AS prev, first_value(src) OVER w AS top FROM tr WINDOW w AS (PARTITION BY dst ORDER BY vol DESC, src)")(lambda s, d: core.region(s, d).select("dst", "src", F.lead("vol").over(_BY).alias("nxt"), F.lag("vol").over(_BY).alias("prev"), F.first("src").over(_BY).alias("top")))
+
+def by():  # noqa: ANN201
+    return Window.partitionBy("dst").orderBy(F.desc("vol"), "src")
+
+
+query("win_rank", f"WITH {sql.TRADE} SELECT dst, src, CAST(row_number() OVER w AS INTEGER) AS place, CAST(rank() OVER w AS INTEGER) AS rnk, CAST(ntile(2) OVER w AS INTEGER) AS half FROM tr WINDOW w AS (PARTITION BY dst ORDER BY vol DESC, src)")(lambda s, d: core.region(s, d).select("dst", "src", F.row_number().over(by()).alias("place"), F.rank().over(by()).alias("rnk"), F.ntile(2).over(by()).alias("half")))
+query("win_lead", f"WITH {sql.TRADE} SELECT dst, src, lead(vol) OVER w AS nxt, lag(vol) OVER w AS prev, first_value(src) OVER w AS top FROM tr WINDOW w AS (PARTITION BY dst ORDER BY vol DESC, src)")(lambda s, d: core.region(s, d).select("dst", "src", F.lead("vol").over(by()).alias("nxt"), F.lag("vol").over(by()).alias("prev"), F.first("src").over(by()).alias("top")))
 DAY = "e AS (SELECT CAST(date_trunc('day', ts) AS DATE) AS day, count(*) AS n FROM events GROUP BY 1)"
 
 
@@ -94,7 +98,7 @@ query("win_running", f"WITH {DAY} SELECT day, CAST(sum(n) OVER (ORDER BY day) AS
 query("win_moving", f"WITH {DAY} SELECT day, CAST(sum(n) OVER (ORDER BY day ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS three FROM e")(lambda s, d: days(s, d).select("day", F.sum("n").over(Window.orderBy("day").rowsBetween(-2, 0)).alias("three")))
 query("sort_parcels", f"WITH {sql.TRADE} SELECT src, dst, vol FROM tr ORDER BY vol DESC, src, dst LIMIT 10 OFFSET 3")(lambda s, d: core.region(s, d).select("src", "dst", "vol").orderBy(F.desc("vol"), "src", "dst").offset(3).limit(10))
 query("topk_parcels", f"WITH {sql.TRADE} SELECT src, dst, vol FROM tr ORDER BY vol DESC, src, dst LIMIT 5")(lambda s, d: core.region(s, d).select("src", "dst", "vol").orderBy(F.desc("vol"), "src", "dst").limit(5))
-query("topk_per_site", f"WITH {sql.TRADE} SELECT dst, src, vol FROM tr QUALIFY row_number() OVER (PARTITION BY dst ORDER BY vol DESC, src) <= 2")(lambda s, d: core.region(s, d).withColumn("k", F.row_number().over(_BY)).filter("k <= 2").select("dst", "src", "vol"))
+query("topk_per_site", f"WITH {sql.TRADE} SELECT dst, src, vol FROM tr QUALIFY row_number() OVER (PARTITION BY dst ORDER BY vol DESC, src) <= 2")(lambda s, d: core.region(s, d).withColumn("k", F.row_number().over(by())).filter("k <= 2").select("dst", "src", "vol"))
 _X, _Y = "SELECT k * 4 % 30 AS x FROM range(20) t(k)", "SELECT k * 6 % 36 AS x FROM range(20) t(k)"
 for _name, (_sql, _df) in {
     "union": ("UNION", lambda a, b: a.union(b).distinct()), "union_all": ("UNION ALL", lambda a, b: a.unionByName(b)), "intersect": ("INTERSECT", lambda a, b: a.intersect(b)),
