@@ -109,12 +109,14 @@ def assemble(t: Task, rows: DataFrame, n: int, send: bool, bypass: bool = True)
 
 def shuffle_transpose(
     a: DataFrame | None, la: Layout, b: DataFrame, lb: Layout, alpha: float | int = 1, beta: float | int = 0, op: str | Callable[[Column], Column] = "identity",
-    cost: Cost | None = None, relabel: str = "optimal", transform: str = "receive", bypass_local: bool = True, a_home: str = "relabelled",
+    cost: Cost | None = None, relabel: str = "optimal", transform: str = "receive", bypass_local: bool | None = None, a_home: str = "relabelled",
 ) -> tuple[DataFrame, Layout, Plan]:
     """The target's cells (i, j, v, pid), its layout (relabelled), and the plan.
 
     b, a: (i, j, v), each cell at most once; absent cells are 0. Values: whole, float, decimal, or STRUCT<re, im>. beta 0
     never reads A, so NaN there does no harm. relabel: optimal, greedy, retained, or none; transform: receive or send.
+    bypass_local: rows that stay are kept out of the exchange, at the price of a second look at B; by default where that
+    is a tenth of the bytes or more.
     """
     t = Task(a, la, b, lb, alpha, beta, op)
     _checked(t)
@@ -122,6 +124,9 @@ def shuffle_transpose(
     solver = {"optimal": "auto"}.get(relabel, relabel)
     plan = find_matrix_relabeling(b.sparkSession, la, lb, cost, op, solver, a_home=a_home, beta=beta)
     send = transform == "send"
+    if bypass_local is None:
+        total = la.m * la.n * 8
+        bypass_local = bool(beta) or (total > 0 and plan.after <= 0.9 * total)
     out = assemble(t, rows_of(t, plan.sigma, send), n, send, bypass_local)
     return out, la.widened(n).relabel(plan.sigma), plan
 

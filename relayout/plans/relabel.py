@@ -15,6 +15,10 @@ from relayout.plans.layout import Layout
 from relayout.plans.overlay import layout_parcels
 
 
+#: Plans of pairs of layouts: they depend on the descriptors alone.
+_PLANS: dict = {}
+
+
 @dataclass
 class Plan:
     parcels: DataFrame
@@ -60,31 +64,42 @@ def gains(parcels: DataFrame, cost: Cost | None, n: int) -> np.ndarray:
 def find_relabeling(parcels: DataFrame, cost: Cost | None = None, solver: str = "auto", n: int | None = None) -> Plan:
     """The relabeling with the largest gain: solver exact, flow, greedy, retained, swap, brute, rounds, auction, none, or
     auto (exact for up to EXACT_LIMIT sites, else distributed greedy). Gains are skipped where nothing can be won."""
-    parcels = parcels.persist()
     n = n if n is not None else int(parcels.agg(F.greatest(F.max("src"), F.max("dst"))).first()[0] or 0) + 1
-    stats = parcels.filter("src <> dst").agg(F.count(F.lit(1)).alias("m"), F.coalesce(F.sum("n_pieces"), F.lit(0)).alias("p")).first()
-    before, certificate = remote_volume(parcels), None
-    own = list(range(n))
+    certificate, own = None, list(range(n))
     if solver == "auto":
         solver = "exact" if n <= assign.EXACT_LIMIT else "rounds"
     volume = cost is None or isinstance(cost, VolumeCost)
+    if n <= assign.EXACT_LIMIT:
+        # all parcels between so few sites fit the driver: one job, and no other for the volume cost
+        found = parcels.groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol")).toPandas()
+        held, far = np.zeros((n, n), np.int64), (found["src"] != found["dst"]).to_numpy()
+        held[found["src"].to_numpy(), found["dst"].to_numpy()] = found["vol"].to_numpy()
+        messages, pieces, before = int(far.sum()), int(found["n_pieces"].to_numpy()[far].sum()), int(held.sum() - np.trace(held))
+        after = lambda sigma: int(held.sum() - held[sigma, own].sum())
+        home = np.diag(held).astype(float)
+        gain_of_volume = lambda: held.T - home[:, None]
+    else:
+        parcels = parcels.persist()
+        stats = parcels.filter("src <> dst").agg(F.count(F.lit(1)).alias("m"), F.coalesce(F.sum("n_pieces"), F.lit(0)).alias("p")).first()
+        messages, pieces, before = int(stats["m"]), int(stats["p"]), remote_volume(parcels)
+        after = lambda sigma: remote_volume(parcels, sigma)
+        home, gain_of_volume = None, lambda: gains(parcels, None, n)
     if solver == "none" or (volume and not before):
         sigma, solver = own, "none"
     elif solver == "rounds":
         volumes = parcels.select(F.col("dst").alias("role"), F.col("src").alias("site"), "vol")
-        found = assign.solve_dominant_rounds(volumes, n)
-        sigma = [r["site"] for r in found.orderBy("role").collect()]  # n rows
-        if remote_volume(parcels, sigma) > before:
+        sigma = [r["site"] for r in assign.solve_dominant_rounds(volumes, n).orderBy("role").collect()]  # n rows
+        if after(sigma) > before:
             sigma = own
     elif solver == "auction":
         sigma = assign.solve_auction(gain_matrix(parcels, cost or VolumeCost(), n), n)
     else:
-        gain = gains(parcels, cost, n)
+        gain = gain_of_volume() if volume else gains(parcels, cost, n)
         if solver == "exact":
             sigma, certificate = assign.solve_exact(gain)
         else:
-            sigma = {"flow": assign.solve_flow, "brute": assign.solve_bruteforce, "swap": assign.solve_random_swap, "greedy": assign.solve_greedy, "retained": lambda g: assign.solve_greedy(g, "retained", home=_diagonal(parcels, n) if volume else None)}[solver](gain)
-    return Plan(parcels, sigma, before, remote_volume(parcels, sigma), int(stats["m"]), int(stats["p"]), solver, certificate)
+            sigma = {"flow": assign.solve_flow, "brute": assign.solve_bruteforce, "swap": assign.solve_random_swap, "greedy": assign.solve_greedy, "retained": lambda g: assign.solve_greedy(g, "retained", home=home if volume else None)}[solver](gain)
+    return Plan(parcels, sigma, before, after(sigma), messages, pieces, solver, certificate)
 
 
 def op_layout(lb: Layout, op: object) -> Layout:
@@ -95,12 +110,20 @@ def find_matrix_relabeling(spark: SparkSession, la: Layout, lb: Layout, cost: Co
     """Parcels of A <- op(B) from the two descriptors alone, then find_relabeling. With a_home 'original' and a beta, what
     A holds counts as parcels from each role to itself: moving the role would move A's old content."""
     n = max(la.n_sites, lb.n_sites)
+    key = (spark.sparkContext.applicationId, la, lb, op, solver, elem_bytes, a_home, bool(beta)) if cost is None and isinstance(op, str) else None
+    if key in _PLANS:
+        return _PLANS[key]
     found = layout_parcels(spark, la, op_layout(lb, op), elem_bytes)
     if beta and a_home == "original":
         held = la.blocks(spark).groupBy("site").agg(F.count(F.lit(1)).alias("n_pieces"), F.sum((F.col("r_hi") - F.col("r_lo")) * (F.col("c_hi") - F.col("c_lo")) * elem_bytes).alias("vol"))
         held = held.select(F.col("site").alias("src"), F.col("site").alias("dst"), "n_pieces", "vol")
         found = found.unionByName(held).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
-    return find_relabeling(found, cost, solver, n)
+    plan = find_relabeling(found, cost, solver, n)
+    if key:
+        if len(_PLANS) >= 256:
+            _PLANS.pop(next(iter(_PLANS)))
+        _PLANS[key] = plan
+    return plan
 
 
 def sigma_expr(sigma: list[int], role: Column) -> Column:

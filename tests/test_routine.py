@@ -51,9 +51,11 @@ def test_beta_zero_never_reads_a(spark, b):
 
 
 def test_only_what_moves_is_exchanged(spark, b):
-    out, _, plan = routine.shuffle_transpose(None, LA, b, LB)
+    out, _, plan = routine.shuffle_transpose(None, LA, b, LB, bypass_local=True)
     text = out._jdf.queryExecution().executedPlan().toString()
     assert text.count("Exchange") == 1 and "Python" not in text and "Pandas" not in text
+    whole = routine.shuffle_transpose(None, LA, b, LB, bypass_local=False)[0]
+    assert cells(whole) == cells(out)
     moved = routine.rows_of(routine.Task(None, LA, b, LB), plan.sigma, False).filter("src <> pid").count()
     assert moved * 8 == plan.after
 
