@@ -29,10 +29,10 @@ from pyspark.sql import functions as F
 
 from relayout.llm.components import components
 from relayout.llm.repeats import bucket_of, per_part, unnull
-from relayout.llm.shared import Rolling, blocks, keyed, lowered, materialise, mix, parts, table, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import Rolling, blocks, keyed, lowered, materialise, mix, parts, table, trim, utf8, word_hashes, words_in_documents
 
 GRAM, NUM, DEN = 5, 80, 100
-FLUSH, PART_GRAMS, GROUP_BLOCK, FRAGMENT = 1_500_000, 500_000, 1024, 4096
+FLUSH, PART_GRAMS, GROUP_BLOCK, FRAGMENT = 1_000_000, 250_000, 512, 2048
 ASK = np.dtype([("f", "<u4"), ("c", "<u8")])
 SEEN = np.dtype([("a", "<u8"), ("n", "<u4")])
 
@@ -363,6 +363,7 @@ def group_links(sets: DataFrame, groups: DataFrame, num: int, den: int, buckets:
             counts += [(int(node[i]), int(n[i])) for i in np.flatnonzero(n)]
         u = [a for a, _ in edges] + [a for a, _ in counts]
         v = [b for _, b in edges] + [None] * len(counts)
+        trim()
         return pd.DataFrame({"u": pd.array(u, "Int64"), "v": pd.array(v, "Int64"), "links": pd.array([None] * len(edges) + [n for _, n in counts], "Int64")})
 
     return members.groupBy("key").applyInPandas(run, "u long, v long, links long")

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, mix, run_ends, table
+from relayout.llm.shared import mix, run_ends, table
 
 BITS, TRAIN_ROWS, PENALTY, NO_LANGUAGE = 18, 1500, 6.0, "und"
 
@@ -189,7 +189,7 @@ class Model:
         return names, score, runs
 
 
-def pieces(texts: list[str | None], size: int = BLOCK) -> Iterator[tuple[int, int]]:
+def pieces(texts: list[str | None], size: int = 1_000_000) -> Iterator[tuple[int, int]]:
     first, held = 0, 0
     for k, t in enumerate(texts):
         if held and held + len(t or "") > size:

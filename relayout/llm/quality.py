@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from relayout.llm.shared import BYTE_ONE, Rolling, blocks, distinct, materialise, mix, table, utf8, words_in_documents
 
-BITS, TRAIN_ROWS, REJECT = 18, 16_000, 0.5
+BITS, TRAIN_ROWS, REJECT = 18, 10_000, 0.5
 SHAPE = 12
 #: Standard deviations between the observed and the expected number of bad documents that hold a feature.
 CERTAIN = 3.0

@@ -30,11 +30,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, run_ends, sliding_min, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, run_ends, sliding_min, trim, utf8, word_hashes, words_in_documents
 
 PLACE = np.uint64((1 << 30) - 1)
-PART_BYTES = 2_000_000
-FLUSH = 1_500_000
+PART_BYTES = 1_000_000
+FLUSH = 1_000_000
 RECORD = np.dtype([("a", "<u8"), ("b", "<u8"), ("doc", "<i8"), ("p", "<i4"), ("n", "<i4")])
 REPLY = np.dtype([("a", "<u8"), ("b", "<u8"), ("first", "<u1")])
 
@@ -416,7 +416,9 @@ def _with_replies(frame: DataFrame, replies: DataFrame, run: Callable[[pa.Table,
 
     def both(left: pa.Table, right: pa.Table) -> pa.Table:
         got = np.frombuffer(b"".join(right.column("body").to_pylist()), kind)
-        return pa.concat_tables([out_schema(schema).empty_table(), *run(left, got)])
+        out = pa.concat_tables([out_schema(schema).empty_table(), *run(left, got)])
+        trim()
+        return out
 
     return frame.groupBy("part").cogroup(replies.groupBy("part")).applyInArrow(both, schema)
 

@@ -1,23 +1,25 @@
 """What the operators share: tables, durable intermediate results, text buffers and rolling hashes.
 
 Texts stay in Arrow's UTF-8 buffers: numpy sees the bytes of a whole block of documents at once and no
-Python string is made. Blocks are cut at about a million bytes, so memory doesn't follow the batch.
+Python string is made. Blocks are cut at less than half a million bytes, so memory doesn't follow the batch.
 """
 
 from __future__ import annotations
 
 import atexit
+import ctypes
 import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-BLOCK = 1_000_000
+BLOCK = 400_000
 NO_ID = -(2**63)
 
 
@@ -82,6 +84,22 @@ def keyed(docs: DataFrame) -> DataFrame:
     )
 
 
+@lru_cache(1)
+def _allocator():  # noqa: ANN202
+    try:
+        return ctypes.CDLL("libc.so.6").malloc_trim
+    except (OSError, AttributeError):  # another C library
+        return None
+
+
+def trim() -> None:
+    """Gives memory that numpy and Arrow have freed back to the system: a Python worker lives on between tasks, and a
+    container counts what it holds."""
+    pa.default_memory_pool().release_unused()
+    if give_back := _allocator():
+        give_back(0)
+
+
 # ---- text buffers -------------------------------------------------------------------------------
 
 
@@ -106,6 +124,7 @@ def blocks(offsets: np.ndarray, size: int = BLOCK) -> Iterator[tuple[int, int]]:
         last = max(first + 1, int(np.searchsorted(offsets, offsets[first] + size, "right")) - 1)
         yield first, min(last, n)
         first = last
+    trim()
 
 
 def words_of(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -156,7 +175,7 @@ class Powers:
 
     def upto(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            size = max(n, 1 << 16)
+            size = max(1 << (n - 1).bit_length(), 1 << 16)
             for name, base in (("up", self.base), ("down", self.inverse)):
                 row = np.full(size, base, np.uint64)
                 row[0] = 1
