@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from relayout.llm import decontam, jaccard, packing, quality, suffix_dedup
 from relayout.llm.repeats import ranges_of
-from relayout.llm.shared import keyed, materialise, table, utf8
+from relayout.llm.shared import identity, keyed, materialise, table, utf8
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -28,17 +28,18 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each component of linked documents the one with the smallest doc_id; of repeated rows one."""
     found = jaccard.join(keyed(docs)).filter("component_id = doc_id").select(F.col("doc_id").alias("_doc"), F.col("rid").alias("_rid")).distinct()
-    text = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.select(*COLUMNS, F.coalesce("doc_id", F.lit(-(2**63))).alias("_doc"), F.xxhash64(text).alias("_rid"))
+    number, rid = identity()
+    rows = docs.select(*COLUMNS, number.alias("_doc"), rid.alias("_rid"))
     kept = rows.join(found, ["_doc", "_rid"], "left_semi")
-    # a repeated row is told by its whole content; a hash of that, not the text, decides which of its copies stays
+    # repeated rows (one id, one text) are one document
     return kept.dropDuplicates(["_doc", "_rid"]).select(*COLUMNS)
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the bytes under 400-byte strings that stand anywhere else; a cut character goes with its bytes."""
     found = suffix_dedup.repeated_ranges(keyed(docs))
-    own = docs.select(*COLUMNS, F.coalesce("doc_id", F.lit(-(2**63))).alias("_doc"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("_rid"))
+    number, rid = identity()
+    own = docs.select(*COLUMNS, number.alias("_doc"), rid.alias("_rid"))
     joined = own.join(found.select(F.col("doc_id").alias("_doc"), F.col("rid").alias("_rid"), "found"), ["_doc", "_rid"], "left")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

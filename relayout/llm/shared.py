@@ -16,7 +16,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 BLOCK = 400_000
@@ -76,12 +76,17 @@ def parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def identity(doc_id: str = "doc_id", text: str = "text") -> tuple[Column, Column]:
+    """What tells documents apart: the id (a null one sorts first) and rid, a hash of id and text. Copies of one text have
+    rids of their own, so a join on them spreads a text that a third of all rows hold."""
+    number = F.coalesce(F.col(doc_id).cast("long"), F.lit(NO_ID))
+    return number, F.xxhash64(number, F.coalesce(F.col(text).cast("string"), F.lit("")))
+
+
 def keyed(docs: DataFrame) -> DataFrame:
-    """(doc_id, rid, text): rid tells rows apart that share a doc_id; a null id sorts first, a null text is empty."""
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return docs.select(
-        F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), F.xxhash64(text).alias("rid"), text.alias("text")
-    )
+    """(doc_id, rid, text) with identity()'s id and rid; a null text is empty."""
+    number, rid = identity()
+    return docs.select(number.alias("doc_id"), rid.alias("rid"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
 @lru_cache(1)
