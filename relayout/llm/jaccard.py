@@ -146,8 +146,16 @@ def counted(c: np.ndarray) -> bytes:
     return out.tobytes()
 
 
-def _shared_here(frame: pd.DataFrame) -> pd.DataFrame:
-    """One bucket: classes and how many of their grams stand with another class too."""
+def _summed(bodies: list[bytes]) -> np.ndarray:
+    x = np.sort(np.concatenate([np.zeros(0, SEEN), *(np.frombuffer(b, SEEN) for b in bodies)]), order="a")
+    begin = np.flatnonzero(np.append(True, x["a"][1:] != x["a"][:-1])) if len(x) else np.zeros(0, np.int64)
+    out = x[begin].copy()
+    out["n"] = np.add.reduceat(x["n"], begin) if len(x) else 0
+    return out
+
+
+def _shared_here(frame: pd.DataFrame, buckets: int) -> pd.DataFrame:
+    """One bucket of grams: classes and how many of their grams stand with another class too, packed by class."""
     echo = [x for x in frame["body"][frame["kind"] == 2]]
     asks = np.unique(np.concatenate([np.zeros(0, ASK), *(np.frombuffer(x, ASK) for x in frame["body"][frame["kind"] == 0])]))
     notes = np.concatenate([np.zeros(0, ASK), *(np.frombuffer(x, ASK) for x in frame["body"][frame["kind"] == 1])])
@@ -156,22 +164,24 @@ def _shared_here(frame: pd.DataFrame) -> pd.DataFrame:
     same = f[1:] == f[:-1]
     twice[1:] |= same
     twice[:-1] |= same
-    return pd.DataFrame({"body": [*echo, counted(asks["c"][twice])]})
+    seen = _summed([*echo, counted(asks["c"][twice])])
+    owner = bucket_of(seen["a"], buckets)
+    cut = np.flatnonzero(np.diff(owner, prepend=-1, append=-2))
+    return pd.DataFrame({"owner": owner[cut[:-1]], "body": [seen[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)]})
+
+
+def _seen_of_classes(frame: pd.DataFrame) -> pd.DataFrame:
+    """One bucket of classes: how many of its grams each shares, over all buckets of grams."""
+    x = _summed(list(frame["body"]))
+    return pd.DataFrame({"c1": np.ascontiguousarray(x["a"]).view(np.int64), "seen": x["n"].astype(np.int64)})
 
 
 def may_link(docs: DataFrame, classes: DataFrame, gram: int, num: int, den: int, buckets: int) -> DataFrame:
     """Of classes (c1, c2, n, ...) those that can have a partner other than their own copies."""
     rows = shown_grams(docs, gram, num, den, buckets)
     rows = rows.withColumn("bucket", F.when(F.col("kind") == 2, F.pmod(F.xxhash64("body"), F.lit(buckets)).cast("int")).otherwise(F.col("bucket")))
-    found = rows.groupBy("bucket").applyInPandas(_shared_here, "body binary")
-
-    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for body in batch.column("body").to_pylist():
-                x = np.frombuffer(body, SEEN)
-                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x["a"]).view(np.int64)), pa.array(x["n"].astype(np.int64))], ["c1", "seen"])
-
-    seen = found.mapInArrow(unpack, "c1 long, seen long").groupBy("c1").agg(F.sum("seen").alias("seen"))
+    found = rows.groupBy("bucket").applyInPandas(lambda frame: _shared_here(frame, buckets), "owner int, body binary")
+    seen = found.groupBy("owner").applyInPandas(_seen_of_classes, "c1 long, seen long")
     n = F.col("n")
     lack = n - F.expr(f"(n * {num} + {den - 1}) div {den}")
     need = F.greatest(F.lit(1), F.expr("n div 20"))
