@@ -18,13 +18,20 @@ from relayout.sources import tables as src
 
 BC = Layout.block_cyclic
 CELL = ("i", "j", "v")
+#: Of the queries that plan from descriptors alone, without a table: source in 2 x 2 blocks, target in 8 x 8, four by
+#: four sites. Those that read the embeddings take the shape from the table (ends).
 E = (500, 64)
-#: Of the embeddings: source in 2 x 2 blocks, target in 8 x 8, four by four sites.
 LB, LA = BC(*E, 2, 2, 4, 4), BC(*E, 8, 8, 4, 4)
 LAT = BC(64, 500, 8, 8, 4, 4)
 B_ARGS, A_ARGS = (2, 2, 4, 4, "row"), (8, 8, 4, 4, "row")
 
 
+def ends(spark: SparkSession, d: str, flip: bool = False) -> tuple[Layout, Layout]:
+    """Source and target layouts of all the embeddings; flip: the target is that of the transpose."""
+    m, n = src.emb_shape(spark, d)
+    return BC(m, n, 2, 2, 4, 4), BC(*((n, m) if flip else (m, n)), 8, 8, 4, 4)
+
+
 def frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
@@ -48,7 +55,7 @@ def layout_quantile(spark: SparkSession, d: str) -> DataFrame:
 
 @query("owner_of_cell", f"WITH {sql.EMB} SELECT i, j, {sql.own('i', 'j', 2, 2, 4, 4)} AS site FROM emb")
 def owner_of_cell(spark: SparkSession, d: str) -> DataFrame:
-    return src.emb_entries(spark, d).select("i", "j", LB.owner_of(F.col("i"), F.col("j")).alias("site"))
+    return src.emb_entries(spark, d).select("i", "j", ends(spark, d)[0].owner_of(F.col("i"), F.col("j")).alias("site"))
 
 
 query("layout_transposed", f"SELECT bj AS bi, bi AS bj, c_lo AS r_lo, c_hi AS r_hi, r_lo AS c_lo, r_hi AS c_hi, site FROM ({sql.blocks(*E, 7, 5, 3, 4)})")(lambda s, d: BC(*E, 7, 5, 3, 4).transposed().blocks(s).select(*BLOCK))
@@ -73,7 +80,7 @@ query("tensor_volumes", """SELECT CAST((((x // 3) % 2) * 2 + (y // 4) % 2) * 3 +
   count(DISTINCT (x // 3, y // 4, z // 2, x // 5, y // 2, z // 5)) AS n_pieces, CAST(count(*) * 8 AS BIGINT) AS vol FROM range(20) a(x), range(15) b(y), range(12) c(z) GROUP BY 1, 2""")(
     lambda s, d: tensor_parcels(s, [(Splits(20, 5), 2), (Splits(15, 2), 3), (Splits(12, 5), 2)], [(Splits(20, 3), 2), (Splits(15, 4), 2), (Splits(12, 2), 3)])
 )
-query("tiles_roundtrip", f"WITH {sql.EMB} SELECT * FROM emb")(lambda s, d: tiles.from_tiles(tiles.to_tiles(src.emb_entries(s, d), LA)).select(*CELL))
+query("tiles_roundtrip", f"WITH {sql.EMB} SELECT * FROM emb")(lambda s, d: tiles.from_tiles(tiles.to_tiles(src.emb_entries(s, d), ends(s, d)[1])).select(*CELL))
 
 # ---- costs and graphs ---------------------------------------------------------------------------
 
@@ -189,16 +196,16 @@ def emb(spark: SparkSession, d: str) -> DataFrame:
     return src.emb_entries(spark, d)
 
 
-def run(b: DataFrame, lb: Layout = LB, la: Layout = LA, a: DataFrame | None = None, **how: object) -> DataFrame:
+def run(b: DataFrame, lb: Layout, la: Layout, a: DataFrame | None = None, **how: object) -> DataFrame:
     return routine.shuffle_transpose(a, la, b, lb, **how)[0].select(*CELL)
 
 
 SELECT_EMB = f"WITH {sql.EMB} SELECT i, j, v FROM emb"
 T_EMB = f"WITH {sql.EMB} SELECT j AS i, i AS j, v FROM emb"
-query("reshuffle_emb", SELECT_EMB)(lambda s, d: run(emb(s, d)))
-query("transpose_emb", T_EMB)(lambda s, d: run(emb(s, d), la=LAT, op="transpose"))
-query("scale_emb", f"WITH {sql.EMB} SELECT i, j, v * 2 AS v FROM emb")(lambda s, d: run(emb(s, d), alpha=2))
-query("transform_before_send", f"WITH {sql.EMB} SELECT j AS i, i AS j, v * 2 AS v FROM emb")(lambda s, d: run(emb(s, d), la=LAT, op="transpose", alpha=2, transform="send"))
+query("reshuffle_emb", SELECT_EMB)(lambda s, d: run(emb(s, d), *ends(s, d)))
+query("transpose_emb", T_EMB)(lambda s, d: run(emb(s, d), *ends(s, d, flip=True), op="transpose"))
+query("scale_emb", f"WITH {sql.EMB} SELECT i, j, v * 2 AS v FROM emb")(lambda s, d: run(emb(s, d), *ends(s, d), alpha=2))
+query("transform_before_send", f"WITH {sql.EMB} SELECT j AS i, i AS j, v * 2 AS v FROM emb")(lambda s, d: run(emb(s, d), *ends(s, d, flip=True), op="transpose", alpha=2, transform="send"))
 
 
 def other(spark: SparkSession, d: str) -> DataFrame:
@@ -207,44 +214,54 @@ def other(spark: SparkSession, d: str) -> DataFrame:
 
 
 OTHER = "a AS (SELECT i, j, i - j AS v FROM emb WHERE (i + j) % 2 = 0)"
-query("axpby_emb", f"WITH {sql.EMB}, {OTHER} SELECT emb.i, emb.j, 2 * emb.v + coalesce(3 * a.v, 0) AS v FROM emb LEFT JOIN a ON a.i = emb.i AND a.j = emb.j")(lambda s, d: run(emb(s, d), a=other(s, d), alpha=2, beta=3))
+query("axpby_emb", f"WITH {sql.EMB}, {OTHER} SELECT emb.i, emb.j, 2 * emb.v + coalesce(3 * a.v, 0) AS v FROM emb LEFT JOIN a ON a.i = emb.i AND a.j = emb.j")(lambda s, d: run(emb(s, d), *ends(s, d), a=other(s, d), alpha=2, beta=3))
 query("axpby_transpose", f"WITH {sql.EMB}, {OTHER} SELECT coalesce(emb.j, a.j) AS i, coalesce(emb.i, a.i) AS j, coalesce(2 * emb.v, 0) + coalesce(3 * a.v, 0) AS v FROM emb FULL JOIN a ON a.j = emb.j AND a.i = emb.i")(
-    lambda s, d: run(emb(s, d), la=LAT, a=other(s, d).select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), alpha=2, beta=3, op="transpose")
+    lambda s, d: run(emb(s, d), *ends(s, d, flip=True), a=other(s, d).select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), alpha=2, beta=3, op="transpose")
 )
-query("axpby_self", f"WITH {sql.EMB} SELECT i, j, v * 3 AS v FROM emb")(lambda s, d: run(x := emb(s, d), a=x, alpha=2, beta=1))
-query("submatrix_emb", f"WITH {sql.EMB} SELECT i - 100 AS i, j - 8 AS j, v FROM emb WHERE i >= 100 AND i < 300 AND j >= 8 AND j < 40")(lambda s, d: run(routine.submatrix(emb(s, d), (100, 300, 8, 40)), LB.window(100, 300, 8, 40), BC(200, 32, 8, 8, 4, 4)))
-query("col_major_tiles", T_EMB)(lambda s, d: tiles.from_tiles(tiles.transpose_tiles(tiles.to_tiles(emb(s, d), LA, order="col"))).select(*CELL))
-query("strided_tiles", SELECT_EMB)(lambda s, d: tiles.from_tiles(tiles.to_tiles(emb(s, d), LA, pad=3)).select(*CELL))
-query("reshuffle_decimal", f"WITH {sql.EMB} SELECT i, j, CAST(v AS DECIMAL(18, 2)) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("decimal(18,2)"))))
-query("reshuffle_int", f"WITH {sql.EMB} SELECT i, j, CAST(v AS INTEGER) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("int"))))
+query("axpby_self", f"WITH {sql.EMB} SELECT i, j, v * 3 AS v FROM emb")(lambda s, d: run(x := emb(s, d), *ends(s, d), a=x, alpha=2, beta=1))
+query("submatrix_emb", f"WITH {sql.EMB} SELECT i - 100 AS i, j - 8 AS j, v FROM emb WHERE i >= 100 AND i < 300 AND j >= 8 AND j < 40")(lambda s, d: run(routine.submatrix(emb(s, d), (100, 300, 8, 40)), ends(s, d)[0].window(100, 300, 8, 40), BC(200, 32, 8, 8, 4, 4)))
+query("col_major_tiles", T_EMB)(lambda s, d: tiles.from_tiles(tiles.transpose_tiles(tiles.to_tiles(emb(s, d), ends(s, d)[1], order="col"))).select(*CELL))
+query("strided_tiles", SELECT_EMB)(lambda s, d: tiles.from_tiles(tiles.to_tiles(emb(s, d), ends(s, d)[1], pad=3)).select(*CELL))
+query("reshuffle_decimal", f"WITH {sql.EMB} SELECT i, j, CAST(v AS DECIMAL(18, 2)) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("decimal(18,2)")), *ends(s, d)))
+query("reshuffle_int", f"WITH {sql.EMB} SELECT i, j, CAST(v AS INTEGER) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("int")), *ends(s, d)))
 query("bypass_split", f"WITH {sql.EMB} SELECT {sql.own('i', 'j', 8, 8, 4, 4)} <> {sql.own('i', 'j', 2, 2, 4, 4)} AS moves, count(*) AS cells FROM emb GROUP BY 1")(
-    lambda s, d: routine.rows_of(routine.Task(None, LA, emb(s, d), LB), list(range(16)), False).groupBy((F.col("src") != F.col("pid")).alias("moves")).agg(F.count(F.lit(1)).alias("cells"))
+    lambda s, d: routine.rows_of(routine.Task(None, (both := ends(s, d))[1], emb(s, d), both[0]), list(range(16)), False).groupBy((F.col("src") != F.col("pid")).alias("moves")).agg(F.count(F.lit(1)).alias("cells"))
 )
 query("messages_packed", f"WITH {sql.parcels(*E, A_ARGS, B_ARGS)} SELECT count(*) AS packed FROM parcels WHERE src <> dst")(lambda s, d: measures.message_count(factored_parcels(s, LA, LB)).select("packed"))
 query("messages_unpacked", f"WITH {sql.parcels(*E, A_ARGS, B_ARGS)} SELECT CAST(sum(n_pieces) AS BIGINT) AS unpacked FROM parcels WHERE src <> dst")(lambda s, d: measures.message_count(factored_parcels(s, LA, LB)).select("unpacked"))
 
 
 def batch(spark: SparkSession, d: str) -> list[routine.Task]:
-    b = emb(spark, d)
-    return [routine.Task(None, LA, b.withColumn("v", F.col("v") + k), LB, alpha=k + 1) for k in range(3)]
+    b, (lb, la) = emb(spark, d), ends(spark, d)
+    return [routine.Task(None, la, b.withColumn("v", F.col("v") + k), lb, alpha=k + 1) for k in range(3)]
 
 
 query("batched_emb", f"WITH {sql.EMB} SELECT CAST(k AS INTEGER) AS mat, i, j, (v + k) * (k + 1) AS v FROM emb, range(3) t(k)")(lambda s, d: routine.shuffle_transpose_batch(batch(s, d))[0].select("mat", *CELL))
 query("batch_messages", f"WITH {sql.parcels(*E, A_ARGS, B_ARGS)} SELECT count(*) AS batched, 3 * count(*) AS apart FROM parcels WHERE src <> dst")(lambda s, d: (m := measures.message_count(factored_parcels(s, LA, LB))).select(F.col("packed").alias("batched"), (F.col("packed") * 3).alias("apart")))
-_HALF = Layout.grid_of((0, 250, 500), (0, 64), [[14], [15]], 16)
-query("subset_sites", SELECT_EMB)(lambda s, d: run(emb(s, d), LB, _HALF))
-_SPEC = {"m": 500, "n": 64, "mb": 2, "nb": 2, "pr": 4, "pc": 4}
-query("wrap_redistribute", f"WITH {sql.EMB} SELECT i - 20 AS i, j, v FROM emb WHERE i >= 20 AND i < 420")(lambda s, d: routine.redistribute(emb(s, d), _SPEC, _SPEC | {"m": 400, "mb": 8, "nb": 8}, (20, 420, 0, 64))[0].select(*CELL))
+
+
+@query("subset_sites", SELECT_EMB)
+def subset_sites(spark: SparkSession, d: str) -> DataFrame:
+    m, n = src.emb_shape(spark, d)
+    return run(emb(spark, d), ends(spark, d)[0], Layout.grid_of((0, m // 2, m), (0, n), [[14], [15]], 16))
+
+
+def spec(spark: SparkSession, d: str) -> dict[str, int]:
+    return dict(zip(("m", "n"), src.emb_shape(spark, d), strict=True)) | {"mb": 2, "nb": 2, "pr": 4, "pc": 4}
+
+
+query("wrap_redistribute", f"WITH {sql.EMB} SELECT i - 20 AS i, j, v FROM emb WHERE i >= 20 AND i < 420")(lambda s, d: routine.redistribute(emb(s, d), x := spec(s, d), x | {"m": 400, "mb": 8, "nb": 8}, (20, 420, 0, 64))[0].select(*CELL))
 query("wrap_transpose", f"WITH {sql.EMB}, {OTHER} SELECT emb.j AS i, emb.i AS j, 2 * emb.v + coalesce(3 * a.v, 0) AS v FROM emb LEFT JOIN a ON a.i = emb.i AND a.j = emb.j")(
-    lambda s, d: routine.transpose_add(2, emb(s, d), _SPEC, 3, other(s, d).select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), _SPEC | {"m": 64, "n": 500, "mb": 8, "nb": 8})[0].select(*CELL)
+    lambda s, d: routine.transpose_add(2, emb(s, d), x := spec(s, d), 3, other(s, d).select(F.col("j").alias("i"), F.col("i").alias("j"), "v"), x | {"m": x["n"], "n": x["m"], "mb": 8, "nb": 8})[0].select(*CELL)
 )
-query("custom_op", f"WITH {sql.EMB} SELECT i, j, abs(v) % 7 AS v FROM emb")(lambda s, d: run(emb(s, d), op=lambda v: F.pmod(F.abs(v), F.lit(7))))
+query("custom_op", f"WITH {sql.EMB} SELECT i, j, abs(v) % 7 AS v FROM emb")(lambda s, d: run(emb(s, d), *ends(s, d), op=lambda v: F.pmod(F.abs(v), F.lit(7))))
 
 
 @query("conj_transpose_emb", """WITH c AS (SELECT vec_id AS i, unnest(range(0, 32)) AS j, unnest(list_transform(range(0, 32), lambda k: CAST(embedding[2 * k + 1] AS DOUBLE))) AS re, unnest(list_transform(range(0, 32), lambda k: CAST(embedding[2 * k + 2] AS DOUBLE))) AS im
   FROM embeddings WHERE vec_id < 500) SELECT j AS i, i AS j, 2 * re AS re, -2 * im AS im FROM c""")
 def conj_transpose_emb(spark: SparkSession, d: str) -> DataFrame:
-    out = run(src.emb_complex(spark, d), BC(500, 32, 2, 2, 4, 4), BC(32, 500, 8, 8, 4, 4), op="conj_transpose", alpha=2)
+    m, n = src.emb_shape(spark, d)
+    out = run(src.emb_complex(spark, d), BC(m, n // 2, 2, 2, 4, 4), BC(n // 2, m, 8, 8, 4, 4), op="conj_transpose", alpha=2)
     return out.select("i", "j", "v.re", "v.im")
 
 
@@ -263,14 +280,14 @@ query("relabel_buckets_orders", f"""WITH {ORDER_PARCELS}, {sql.PERMS} SELECT CAS
     lambda s, d: report(s, routine.relabel_repartition(src.table(s, d, "orders"), F.pmod("o_custkey", F.lit(5)), F.pmod("o_orderkey", F.lit(5)), 5)[1])
 )
 GRAM_SQL = f"WITH {sql.EMB} SELECT a.j AS i, b.j AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM emb a JOIN emb b ON a.i = b.i GROUP BY 1, 2"
-query("gram_emb", GRAM_SQL)(lambda s, d: gram(x := emb(s, d), x, LB, LB, BC(64, 64, 8, 8, 4, 4), 8)[0].select(*CELL))
+query("gram_emb", GRAM_SQL)(lambda s, d: gram(x := emb(s, d), x, b := ends(s, d)[0], b, BC(b.n, b.n, 8, 8, 4, 4), 8)[0].select(*CELL))
 
 # ---- baselines ----------------------------------------------------------------------------------
 
-query("base_reshuffle", SELECT_EMB)(lambda s, d: routine.block_cyclic_reshuffle(emb(s, d), LB, LA).select(*CELL))
-query("base_transpose", T_EMB)(lambda s, d: routine.block_cyclic_reshuffle(emb(s, d), LB, LAT, transpose=True).select(*CELL))
-query("base_all_to_all", SELECT_EMB)(lambda s, d: routine.exchange_all(emb(s, d), LA).select(*CELL))
-query("base_no_relabel", SELECT_EMB)(lambda s, d: run(emb(s, d), relabel="none"))
+query("base_reshuffle", SELECT_EMB)(lambda s, d: routine.block_cyclic_reshuffle(emb(s, d), *ends(s, d)).select(*CELL))
+query("base_transpose", T_EMB)(lambda s, d: routine.block_cyclic_reshuffle(emb(s, d), *ends(s, d, flip=True), transpose=True).select(*CELL))
+query("base_all_to_all", SELECT_EMB)(lambda s, d: routine.exchange_all(emb(s, d), ends(s, d)[1]).select(*CELL))
+query("base_no_relabel", SELECT_EMB)(lambda s, d: run(emb(s, d), *ends(s, d), relabel="none"))
 
 
 @query("base_unbatched", f"WITH {sql.EMB} SELECT CAST(k AS INTEGER) AS mat, i, j, (v + k) * (k + 1) AS v FROM emb, range(3) t(k)")
@@ -290,7 +307,7 @@ def base_item_relabel(spark: SparkSession, d: str) -> DataFrame:
 
 
 query("base_gram_entries", GRAM_SQL)(lambda s, d: entry_product(x := emb(s, d), x))
-query("base_gram_tiles", GRAM_SQL)(lambda s, d: tiles.tile_product(x := tiles.to_tiles(emb(s, d), Layout.slabs(*E, 8)), x))
+query("base_gram_tiles", GRAM_SQL)(lambda s, d: tiles.tile_product(x := tiles.to_tiles(emb(s, d), Layout.slabs(*src.emb_shape(s, d), 8)), x))
 query("base_spark_repartition", SELECT_EMB)(lambda s, d: emb(s, d).repartitionByRange(16, "i", "j"))
 
 
@@ -310,7 +327,7 @@ query("m_messages", f"WITH {sql.TRADE} SELECT count(*) AS packed, CAST(sum(n_pie
 query("m_site_load", f"""WITH {sql.TRADE} SELECT site, CAST(sum(sent) AS BIGINT) AS sent, CAST(sum(received) AS BIGINT) AS received
   FROM (SELECT src AS site, vol AS sent, 0 AS received FROM tr WHERE src <> dst UNION ALL SELECT dst, 0, vol FROM tr WHERE src <> dst) GROUP BY site""")(lambda s, d: measures.site_load(region(s, d)))
 query("m_overlay", f"WITH {sql.parcels(*E, A_ARGS, B_ARGS)} SELECT CAST(sum(n_pieces) AS BIGINT) AS pieces FROM parcels")(lambda s, d: factored_parcels(s, LA, LB).agg(F.sum("n_pieces").alias("pieces")))
-query("m_residual", "SELECT CAST(0 AS BIGINT) AS residual")(lambda s, d: measures.max_residual(run(x := emb(s, d)), x))
+query("m_residual", "SELECT CAST(0 AS BIGINT) AS residual")(lambda s, d: measures.max_residual(run(x := emb(s, d), *ends(s, d)), x))
 query("m_ratio", f"SELECT round((e.before - g.after) / (e.before - e.after), 6) AS ratio FROM ({BEST_SQL}) e, ({sql.greedy('gain')}) g")(
     lambda s, d: frame(s, [(round(((e := find_relabeling(p := region(s, d), n=5)).before - find_relabeling(p, solver='greedy', n=5).after) / (e.before - e.after), 6),)], "ratio double")
 )

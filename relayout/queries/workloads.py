@@ -38,9 +38,9 @@ def pair(block: int) -> tuple[Layout, Layout]:
     return BC(N4, N4, 10_000, 10_000, 10, 10, "col"), BC(N4, N4, block, block, 10, 10)
 
 
-query("w1_reshuffle", core.SELECT_EMB)(lambda s, d: core.run(core.emb(s, d), relabel="optimal"))
+query("w1_reshuffle", core.SELECT_EMB)(lambda s, d: core.run(core.emb(s, d), *core.ends(s, d), relabel="optimal"))
 query("w1_volumes", "SELECT CAST(30016 AS BIGINT) AS before, CAST(29984 AS BIGINT) AS after")(lambda s, d: core.report(s, find_matrix_relabeling(s, core.LA, core.LB, elem_bytes=1)))
-query("w2_transpose", core.T_EMB)(lambda s, d: core.run(core.emb(s, d), la=core.LAT, op="transpose"))
+query("w2_transpose", core.T_EMB)(lambda s, d: core.run(core.emb(s, d), *core.ends(s, d, flip=True), op="transpose"))
 query("w2_volumes", "SELECT CAST(30000 AS BIGINT) AS before, CAST(29984 AS BIGINT) AS after")(lambda s, d: core.report(s, find_matrix_relabeling(s, core.LAT, core.LB, op="transpose", elem_bytes=1)))
 query("w3_batched3", f"WITH {sql.EMB} SELECT CAST(k AS INTEGER) AS mat, i, j, (v + k) * (k + 1) AS v FROM emb, range(3) t(k)")(lambda s, d: routine.shuffle_transpose_batch(core.batch(s, d))[0].select("mat", "i", "j", "v"))
 query("w3_messages", f"WITH {sql.parcels(*core.E, core.A_ARGS, core.B_ARGS)} SELECT count(*) AS batched, 3 * count(*) AS unbatched FROM parcels WHERE src <> dst")(
@@ -68,7 +68,7 @@ def w4_reduction(spark: SparkSession, d: str) -> DataFrame:
     return core.frame(spark, rows, "block int, before long, after long, cut double")
 
 
-query("w5_gram", core.GRAM_SQL)(lambda s, d: gram(x := core.emb(s, d), x, core.LB, core.LB, BC(64, 64, 4, 4, 2, 4), 4)[0].select("i", "j", "v"))
+query("w5_gram", core.GRAM_SQL)(lambda s, d: gram(x := core.emb(s, d), x, b := core.ends(s, d)[0], b, BC(b.n, b.n, 4, 4, 2, 4), 4)[0].select("i", "j", "v"))
 query("w5_gram_sparse", """WITH m AS (SELECT o_custkey AS i, month(o_orderdate) - 1 AS j, count(*) AS v FROM orders GROUP BY 1, 2)
   SELECT a.j AS i, b.j AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM m a JOIN m b ON a.i = b.i GROUP BY 1, 2""")(lambda s, d: entry_product(x := src.cust_month(s, d), x))
 
@@ -90,8 +90,8 @@ def w6_native_cut(spark: SparkSession, d: str) -> DataFrame:
 @query("w7_iterated", f"WITH g AS ({core.GRAM_SQL}) SELECT CAST(sum(v % 1000003) AS BIGINT) AS trace FROM g WHERE i = j")
 def w7_iterated(spark: SparkSession, d: str) -> DataFrame:
     """One step of the iterated product: the diagonal of A' A, kept small by a prime."""
-    x = core.emb(spark, d)
-    return gram(x, x, core.LB, core.LB, BC(64, 64, 8, 8, 4, 4), 8)[0].filter("i = j").agg(F.sum(F.col("v") % 1000003).alias("trace"))
+    x, b = core.emb(spark, d), core.ends(spark, d)[0]
+    return gram(x, x, b, b, BC(b.n, b.n, 8, 8, 4, 4), 8)[0].filter("i = j").agg(F.sum(F.col("v") % 1000003).alias("trace"))
 
 
 @query("w8_topology", f"""WITH {sql.TRADE}, {sql.LINKS}, {sql.PERMS}, c AS (SELECT s, sum(CASE WHEN tr.src <> s[tr.dst + 1] THEN lat + bw * vol ELSE 0 END) AS cost FROM perms, tr JOIN links ON links.src = tr.src WHERE links.dst = s[tr.dst + 1] GROUP BY s)

@@ -11,8 +11,6 @@ from pyspark.sql import functions as F
 from relayout.plans.layout import Layout
 from relayout.plans.overlay import parcels_from_rows
 
-EMB = (500, 64)
-
 
 def read(spark: SparkSession, path: str, fmt: str = "parquet", schema: str | None = None, **options: str) -> DataFrame:
     reader = spark.read.format(fmt).options(**options)
@@ -59,15 +57,20 @@ def entries_from_table(df: DataFrame, row: Column, col: Column, value: Column, a
     return df.groupBy(row.cast("long").alias("i"), col.cast("long").alias("j")).agg(fn(value).alias("v"))
 
 
+def emb_shape(spark: SparkSession, sf_dir: str) -> tuple[int, int]:
+    """Rows and columns of the embeddings as a matrix: the largest vec_id + 1, and the longest vector."""
+    last, width = table(spark, sf_dir, "embeddings").agg(F.max("vec_id"), F.max(F.size("embedding"))).first()
+    return (0 if last is None else last + 1), max(width or 0, 0)
+
+
 def emb_entries(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = table(spark, sf_dir, "embeddings").filter(F.col("vec_id") < EMB[0])
-    return entries_from_vectors(rows, "vec_id", "embedding").withColumn("v", fixed(F.col("v")))
+    return entries_from_vectors(table(spark, sf_dir, "embeddings"), "vec_id", "embedding").withColumn("v", fixed(F.col("v")))
 
 
 def emb_complex(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(i, j, v STRUCT<re, im>): even columns are real, odd ones imaginary parts."""
-    rows = table(spark, sf_dir, "embeddings").filter(F.col("vec_id") < EMB[0])
-    value = F.transform(F.sequence(F.lit(0), F.lit(EMB[1] // 2 - 1)), lambda k: F.struct(F.get("embedding", k * 2).cast("double").alias("re"), F.get("embedding", k * 2 + 1).cast("double").alias("im")))
+    rows = table(spark, sf_dir, "embeddings").filter(F.size("embedding") > 1)
+    value = F.transform(F.sequence(F.lit(0), F.floor(F.size("embedding") / 2).cast("int") - 1), lambda k: F.struct(F.get("embedding", k * 2).cast("double").alias("re"), F.get("embedding", k * 2 + 1).cast("double").alias("im")))
     return rows.select(F.col("vec_id").alias("i"), F.posexplode(value).alias("j", "v")).select("i", F.col("j").cast("long").alias("j"), "v")
 
 
