@@ -103,7 +103,7 @@ class SubstringIndex:
 
 
 def in_batches(docs: DataFrame, n: int) -> list[DataFrame]:
-    """docs (doc_id, text) cut by doc_id into about equal batches, in order; null ids come first."""
+    """docs (doc_id, ...) cut by doc_id into about equal batches, in order; null ids come first."""
     if n < 2:
         return [docs]
     cuts = docs.agg(F.percentile_approx("doc_id", [k / n for k in range(1, n)], 1000).alias("c")).first()["c"] or []
@@ -116,16 +116,26 @@ def in_batches(docs: DataFrame, n: int) -> list[DataFrame]:
     return out
 
 
+def one_of_equals(docs: DataFrame) -> DataFrame:
+    """(doc_id, rid, text, copies) of docs as keyed() gives them: rows of one id and one text are one row, and how many
+    there were. Texts that stand once don't move."""
+    many = materialise(docs.groupBy("doc_id", "rid").agg(F.count(F.lit(1)).alias("copies")).filter("copies > 1"), "copies")
+    once = docs.join(many, ["doc_id", "rid"], "left_anti").withColumn("copies", F.lit(1).cast("long"))
+    several = docs.join(many, ["doc_id", "rid"]).groupBy("doc_id", "rid").agg(F.first("text").alias("text"), F.first("copies").alias("copies"))
+    return once.unionByName(several)
+
+
 def repeated_words(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, buckets: int | None = None, batches: int = BATCHES) -> DataFrame:
-    """docs (doc_id, text) to (doc_id, rid, text, found): the ranges of words under windows that start earlier too."""
+    """docs (doc_id, text) to (doc_id, rid, text, copies, found): the ranges of words under windows that start earlier
+    too; rows of one id and one text are one row here."""
     search = Search(words=True, window=window, gram=gram, later=True)
     buckets = buckets or default_buckets(docs)
     index = SubstringIndex(docs.sparkSession, search, buckets)
     hits = None
+    docs = one_of_equals(keyed(docs))
     for batch in in_batches(docs, batches):
-        found = index.add(keyed(batch))
+        found = index.add(batch)
         hits = found if hits is None else hits.union(found)
-    docs = keyed(docs)
     return with_ranges(docs, find(docs, hits, search, buckets, tuple(index.written)))
 
 
@@ -139,21 +149,30 @@ def kept(text: bytes, ranges: np.ndarray) -> tuple[int, bytes]:
     return n, b" ".join(out + words[at:] if len(ranges) else words)
 
 
-def digest(docs: DataFrame, **how: int) -> DataFrame:
+def digest(docs: DataFrame, window: int = WINDOW, **how: int) -> DataFrame:
     """(doc_id, n_words, n_removed, kept_sha256). A null text has no words. Earlier means a smaller doc_id (null is the
-    smallest), then an earlier start. Repeated rows: of equal doc_id and place, one keeps its words. No rows: no rows."""
+    smallest), then an earlier start. Repeated rows: of equal doc_id and text, one stands first and the others lose all
+    their windows. No rows: no rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, at = utf8(batch.column("text"))
             found = [ranges_of(x) for x in batch.column("found").to_pylist()]
             done = [kept(data[a:b].tobytes(), r) for a, b, r in zip(at[:-1], at[1:], found, strict=True)]
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array([n for n, _ in done], pa.int64()), pa.array([int((r[:, 1] - r[:, 0]).sum()) for r in found], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for _, x in done], pa.string())],
-                ["doc_id", "n_words", "n_removed", "kept_sha256"],
-            )
-
-    out = repeated_words(docs.select("doc_id", "text"), **how).select("doc_id", "text", "found")
+            yield out_batch(batch.column("doc_id"), [n for n, _ in done], [int((r[:, 1] - r[:, 0]).sum()) for r in found], [hashlib.sha256(x).hexdigest() for _, x in done])
+            more = batch.column("copies").to_numpy(zero_copy_only=False) - 1
+            for k in np.flatnonzero(more):
+                n, text = done[k][0], data[at[k] : at[k + 1]].tobytes()
+                whole = np.array([[0, n]] if n >= window else np.zeros((0, 2), np.int64))
+                sha = hashlib.sha256(kept(text, whole)[1]).hexdigest()
+                for f in range(0, more[k], 10_000):
+                    size = int(min(more[k] - f, 10_000))
+                    yield out_batch(pa.array([batch.column("doc_id")[k].as_py()] * size, pa.int64()), [n] * size, [n if n >= window else 0] * size, [sha] * size)
+
+    def out_batch(doc_id: pa.Array, n_words: list[int], n_removed: list[int], sha: list[str]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([doc_id, pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_words", "n_removed", "kept_sha256"])
+
+    out = repeated_words(docs.select("doc_id", "text"), window, **how).select("doc_id", "text", "copies", "found")
     out = out.mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
     return out.select(unnull("doc_id"), "n_words", "n_removed", "kept_sha256")
 

@@ -113,6 +113,15 @@ def test_substrings_against_brute_force(spark, seed, batches):
     assert sorted(map(tuple, got.collect())) == brute_words(rows, 8)
 
 
+def test_one_of_equal_rows_keeps_its_words(spark):
+    long = " ".join(f"w{k}" for k in range(30))
+    rows = [(7, long), (7, long), (8, "vorn " + long), (9, "kurz"), (9, "kurz"), (5, long + " z"), *[(4, "noch " + long[:80])] * 3, *[(3, " ".join(f"u{k}" for k in range(25)))] * 4]
+    got = substring_index.digest(frame(spark, rows))
+    assert sorted(map(tuple, got.collect())) == brute_words(rows, 20)
+    twice = substring_index.digest(frame(spark, [(None, long), (None, long), (7, "x")]))
+    assert sorted((str(r.doc_id), r.n_words, r.n_removed) for r in twice.collect()) == [("7", 1, 0), ("None", 30, 0), ("None", 30, 30)]
+
+
 def test_index_runs_are_compacted(spark):
     rows = corpus(6, 60)
     docs = keyed(frame(spark, rows)).persist()
