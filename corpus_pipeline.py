@@ -26,8 +26,9 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component of linked documents the one with the smallest doc_id; of repeated rows one."""
-    found = jaccard.join(keyed(docs)).filter("component_id = doc_id").select(F.col("doc_id").alias("_doc"), F.col("rid").alias("_rid")).distinct()
+    """Of each component of linked documents the one with the smallest doc_id, of equal ids the smallest rid; of repeated
+    rows one."""
+    found = jaccard.join(keyed(docs)).filter("component_id = doc_id AND component_rid = rid").select(F.col("doc_id").alias("_doc"), F.col("rid").alias("_rid")).distinct()
     number, rid = identity()
     rows = docs.select(*COLUMNS, number.alias("_doc"), rid.alias("_rid"))
     kept = rows.join(found, ["_doc", "_rid"], "left_semi")

@@ -21,7 +21,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BYTE_ONE, NO_ID, Rolling, blocks, table, utf8
+from relayout.llm.shared import BYTE_ONE, Rolling, blocks, identity, table, utf8
 
 MIN_MATCH, COVERAGE, CHUNK_BYTES = 4, 0.5, 4_000_000
 
@@ -147,18 +147,14 @@ class Bench:
                     yield int(d), int(i), covered, size
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, min_match: int = MIN_MATCH, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
-    """(doc_id, item_id, covered, item_words, coverage) of each document and item that it covers to ``coverage`` or more.
-
-    Null and empty texts, and items of fewer than min_match words, match nothing. Whole texts are read. Repeated rows
-    give one row; a null id is a value of its own. An empty table on either side gives no rows.
-    """
+def leaks(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, min_match: int = MIN_MATCH, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
+    """(doc_id, rid, item_id, covered, item_words) of each row of docs and item that it covers to ``coverage`` or more."""
     spark = docs.sparkSession
     items = benchmark.filter("text IS NOT NULL").select(F.col("item_id").cast("long").alias("item_id"), "text").distinct()
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n_chunks = -(-int(total) // chunk_bytes)
-    rows = docs.filter("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    schema = "doc_id long, item_id long, covered int, item_words int"
+    rows = docs.filter("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), identity()[1].alias("rid"), "text")
+    schema = "doc_id long, rid long, item_id long, covered int, item_words int"
     found = None
     for k in range(n_chunks):
         part = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n_chunks)) == k)
@@ -168,26 +164,36 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
             bench = shared.value
             for batch in batches:
                 _, offsets = utf8(batch.column("text"))
-                ids, out = batch.column("doc_id"), []
+                ids, rids, out = batch.column("doc_id"), batch.column("rid"), []
                 for a, b in blocks(offsets):
                     words, at, _ = tokens(pc.utf8_lower(batch.column("text").slice(a, b - a)))
-                    out += [(ids[a + d].as_py(), bench.ids[i], c, n) for d, i, c, n in bench.leaks(words, at, min_match, coverage)]
-                columns = zip(*out, strict=True) if out else ([], [], [], [])
-                kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32())
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], ["doc_id", "item_id", "covered", "item_words"])
+                    out += [(ids[a + d].as_py(), rids[a + d].as_py(), bench.ids[i], c, n) for d, i, c, n in bench.leaks(words, at, min_match, coverage)]
+                columns = zip(*out, strict=True) if out else ([], [], [], [], [])
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], ["doc_id", "rid", "item_id", "covered", "item_words"])
 
         one = rows.mapInArrow(scan, schema)
         found = one if found is None else found.union(one)
     if found is None:
         found = spark.createDataFrame([], schema)
-    best = found.groupBy("doc_id", "item_id").agg(F.max_by(F.struct("covered", "item_words"), F.col("covered") / F.col("item_words")).alias("x"))
+    return found
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, **how: object) -> DataFrame:
+    """(doc_id, item_id, covered, item_words, coverage) of each document and item that it covers to ``coverage`` or more.
+
+    Null and empty texts, and items of fewer than min_match words, match nothing. Whole texts are read. Repeated rows
+    give one row; a null id is a value of its own. An empty table on either side gives no rows.
+    """
+    best = leaks(docs, benchmark, **how).groupBy("doc_id", "item_id").agg(F.max_by(F.struct("covered", "item_words"), F.col("covered") / F.col("item_words")).alias("x"))
     return best.select("doc_id", "item_id", "x.covered", "x.item_words", (F.col("x.covered") / F.col("x.item_words")).alias("coverage"))
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, **how: object) -> DataFrame:
-    """docs without the contaminated ones; all columns stay."""
-    bad = contaminated(docs, benchmark, **how).select(F.coalesce("doc_id", F.lit(NO_ID)).alias("_bad")).distinct()
-    return docs.join(bad, F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == bad["_bad"], "left_anti")
+    """docs without the contaminated ones; all columns stay. Of texts that share an id, or have none, each is judged alone."""
+    number, rid = identity()
+    bad = leaks(docs, benchmark, **how).select(identity()[0].alias("_doc"), F.col("rid").alias("_rid")).distinct()
+    return docs.withColumns({"_doc": number, "_rid": rid}).join(bad, ["_doc", "_rid"], "left_anti").select(*docs.columns)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -193,7 +193,8 @@ def may_link(docs: DataFrame, classes: DataFrame, gram: int, num: int, den: int,
 
 
 def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
-    """(part, node, n, weight, grams) of the chosen classes' first documents: chosen has (doc_id, rid, weight)."""
+    """(part, node, n, weight, grams) of the chosen classes' first documents, node their rid: chosen has (doc_id, rid,
+    weight)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, size = TaskContext.get().partitionId() << 32, 0
@@ -201,10 +202,10 @@ def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
             for first, grams, at in gram_sets(batch.column("text"), gram):
                 n = np.diff(at)
                 own = (np.cumsum(n) + size) // PART_GRAMS
-                yield pa.RecordBatch.from_arrays([pa.array(part + own), batch.column("doc_id").slice(first, len(n)), pa.array(n), batch.column("weight").slice(first, len(n)), pa.array([grams[i:j].tobytes() for i, j in zip(at[:-1], at[1:], strict=True)], pa.binary())], ["part", "node", "n", "weight", "grams"])
+                yield pa.RecordBatch.from_arrays([pa.array(part + own), batch.column("rid").slice(first, len(n)), pa.array(n), batch.column("weight").slice(first, len(n)), pa.array([grams[i:j].tobytes() for i, j in zip(at[:-1], at[1:], strict=True)], pa.binary())], ["part", "node", "n", "weight", "grams"])
                 size += int(n.sum())
 
-    joined = docs.join(chosen, ["doc_id", "rid"]).select("doc_id", "text", "weight")
+    joined = docs.join(chosen, ["doc_id", "rid"]).select("rid", "text", "weight")
     return joined.mapInArrow(run, "part long, node long, n long, weight long, grams binary")
 
 
@@ -380,10 +381,10 @@ def group_links(sets: DataFrame, groups: DataFrame, num: int, den: int, buckets:
 
 
 def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buckets: int | None = None, block: int = GROUP_BLOCK) -> DataFrame:
-    """(doc_id, rid, n_shingles, component_id, n_links) of each document, whole texts.
+    """(doc_id, rid, n_shingles, component_id, n_links, component_rid) of each document, whole texts.
 
     docs: (doc_id, rid, text) as keyed() gives it. A-Z are lower-cased. component_id: the smallest doc_id that links
-    reach, itself included; n_links: documents that it links with directly, copies too. Null and empty texts, and those
+    reach, itself included, and component_rid the least rid of that id: ids may be missing or repeated; n_links: documents that it links with directly, copies too. Null and empty texts, and those
     without a word, have no set and no links. Fewer words than ``gram``: the whole sequence is the one gram. Repeated
     rows link with each other. No rows: no rows.
     """
@@ -397,10 +398,12 @@ def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buck
     links = materialise(group_links(sets, groups, num, den, buckets, block), "links")
     reach = components(links.filter("v IS NOT NULL").select("u", "v"))
     count = links.filter("v IS NULL").groupBy(F.col("u").alias("node")).agg(F.sum("links").alias("links"))
-    named = classes.select("c1", "c2", F.col("first.doc_id").alias("node"), "weight").join(reach, "node", "left").join(count, "node", "left")
-    named = named.select("c1", "c2", F.coalesce("component", "node").alias("component"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("links"))
+    nodes = classes.select("c1", "c2", F.col("first.rid").alias("node"), "first", "weight")
+    least = reach.join(nodes, "node").groupBy("component").agg(F.min("first").alias("least"))
+    named = nodes.join(reach.join(least, "component").select("node", "least"), "node", "left").join(count, "node", "left")
+    named = named.select("c1", "c2", F.coalesce("least", "first").alias("least"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("links"))
     out = of.join(named, ["c1", "c2"], "left")
-    return out.select("doc_id", "rid", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce("links", F.lit(0)).alias("n_links"))
+    return out.select("doc_id", "rid", "n_shingles", F.coalesce("least.doc_id", "doc_id").alias("component_id"), F.coalesce("links", F.lit(0)).alias("n_links"), F.coalesce("least.rid", "rid").alias("component_rid"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -58,6 +58,17 @@ def test_leaks_go_and_the_rest_is_packed(spark, docs):
     assert [(r.doc_id, r.start, r.offset) for r in cp.pack_sequences(spark, left, SF).collect()][0][:2] == (2, 0)
 
 
+def test_texts_that_share_an_id_are_judged_alone(spark, docs):
+    item = spark.read.parquet(f"{SF}/benchmark.parquet").first().text
+    rows = [(k, t, "de", "s", 9) for k, t in ((None, "Vorher " + item), (None, "Nur Text."), (7, item), (7, "Auch nur Text."), (None, None))]
+    left = cp.drop_leaked(spark, spark.createDataFrame(rows, docs.schema), SF)
+    assert sorted((str(r.doc_id), str(r.text)) for r in left.collect()) == [("7", "Auch nur Text."), ("None", "None"), ("None", "Nur Text.")] and left.columns == docs.columns
+    near = [[" ".join(f"{name}{k}" for k in range(80)) + f" ende{n}" for n in range(3)] for name in "abc"]
+    rows = [(k, t, "de", "s", 9) for ids, group in zip(([None] * 3, [7] * 3, [7, None, 7]), near, strict=True) for k, t in zip(ids, group, strict=True)]
+    kept = [(r.doc_id, r.text[0]) for r in cp.keep_one_of_near_copies(spark, spark.createDataFrame(rows, docs.schema), SF).collect()]
+    assert sorted(kept, key=str) == [(7, "b"), (None, "a"), (None, "c")]
+
+
 def test_run_is_the_stages_in_order(spark, docs):
     out = cp.run(spark, SF)
     step = docs
