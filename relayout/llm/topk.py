@@ -71,19 +71,19 @@ def _select(queries: np.ndarray, vectors: np.ndarray, candidates: DataFrame, k:
     longest = float(np.abs(vectors).sum(axis=1).max()) if n else 0.0
     top = candidates.agg(F.max(F.array_max(F.transform("v", F.abs)))).first()[0] or 0.0
     bound = int(longest * top) + 1  # no score is beyond it
-    low = np.full(n, -bound, np.int64)  # the k-th highest score of each query is in [low, low + span)
-    above = np.zeros(n, np.int64)  # scores known to be at or above low + span
+    low, high = np.full(n, -bound, np.int64), np.full(n, bound + 1, np.int64)  # the k-th highest score of each query is in [low, high)
+    above = np.zeros(n, np.int64)  # scores known to be at or above high
     span = 2 * bound + 1
     few = np.zeros(n, bool)  # queries with fewer than k candidates: all of them count
     shared = spark.sparkContext.broadcast((queries, vectors))
     while span > 1:
         width = -(-span // BINS)
 
-        def histogram(batches: Iterator[pa.RecordBatch], low=low, width=width, span=span) -> Iterator[pa.RecordBatch]:
+        def histogram(batches: Iterator[pa.RecordBatch], low=low, high=high, width=width) -> Iterator[pa.RecordBatch]:
             ids, q = shared.value
             held = np.full((len(ids), 0), -1, np.int64)
             for _, scores in _blocks(batches, ids, q):
-                inside = (scores >= low[:, None]) & (scores < (low + span)[:, None])
+                inside = (scores >= low[:, None]) & (scores < high[:, None])
                 bins = np.where(inside, (np.where(inside, scores, low[:, None]) - low[:, None]) // width, -1).astype(np.int64)
                 if bins.shape[1] > k:
                     bins = np.partition(bins, bins.shape[1] - k, axis=1)[:, -k:]
@@ -105,6 +105,7 @@ def _select(queries: np.ndarray, vectors: np.ndarray, candidates: DataFrame, k:
                 found[q], more[q] = b, upto - c
         few |= found < 0
         low = np.where(few, -bound, low + np.maximum(found, 0) * width)
+        high = np.where(few, low, np.minimum(high, low + width))  # the last bin may reach past its range
         above = above + more
         span = width
 

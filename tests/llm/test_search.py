@@ -196,6 +196,17 @@ def test_topk_odd_vectors(spark):
     assert [r.vec_id for r in tied.filter("query_id = 0").orderBy("rank").collect()] == [1, 2, 3] and tied.count() == 24
 
 
+def test_topk_bins_end_with_their_range(spark):
+    # bins 39,063 wide, then 39: the last of the finer ones would reach 15 past the end of its range
+    top = 20_000_000
+    ends = [-(top + 1) + k * 39_063 for k in (600, 1000)]
+    for end in ends:
+        scores = [-top, end - 1, end, end + 1, end + 2, end + 3]
+        v = spark.createDataFrame([(0, [1.0]), *[(k, [float(x)]) for k, x in enumerate(scores, 1)]], "vec_id long, v array<double>")
+        got = topk.top_k(v.filter("vec_id = 0"), v, 5).orderBy("rank").collect()
+        assert [(r.vec_id, r.score) for r in got] == [(6, end + 3), (5, end + 2), (4, end + 1), (3, end), (2, end - 1)]
+
+
 # ---- decontamination
 
 
