@@ -51,3 +51,18 @@ def test_complex_embeddings(spark, wide):
 @pytest.mark.parametrize(("name", "rows"), [("w3_batched3", 3 * M * N), ("batched_emb", 3 * M * N), ("base_unbatched", 3 * M * N), ("axpby_emb", M * N), ("axpby_transpose", M * N), ("wrap_transpose", M * N), ("owner_of_cell", M * N), ("udf_owner", M * N)])
 def test_no_cell_is_left_out(spark, wide, name, rows):
     assert QUERIES[name](spark, wide[0]).count() == rows
+
+
+@pytest.mark.parametrize("how", ["inner", "left", "right", "full"])
+def test_joins_read_both_tables_whole(spark, tmp_path, how):
+    orders, customers = [(k, k % 7) for k in range(1, 30)], [(k, k % 3) for k in range(2, 12)]
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame(customers, "c_custkey long, c_nationkey int").write.parquet(f"{tmp_path}/customer.parquet")
+    nation = dict(customers)
+    want = [(o, c, nation[c]) for o, c in orders if c in nation]
+    if how in ("left", "full"):
+        want += [(o, None, None) for o, c in orders if c not in nation]
+    if how in ("right", "full"):
+        want += [(None, c, n) for c, n in customers if c not in {c for _, c in orders}]
+    got = [tuple(r) for r in QUERIES[f"join_{how}"](spark, str(tmp_path)).collect()]
+    assert sorted(got, key=str) == sorted(want, key=str)
