@@ -1,9 +1,9 @@
-"""Suffix-array dedup over bytes: blockwise, by a difference cover.
+"""Dedup over the bytes of all suffixes: blockwise, filtered by a difference cover.
 
 The suffixes of a corpus are never sorted whole. Content anchors first drop the text that cannot repeat (relayout.llm.
-repeats); over the rest, suffixes are compared by their first ``size`` bytes only: ties of up to ``size - v + 1`` bytes are
-resolved by the ranks of difference-cover samples, made once and looked up, and the suffixes that still tie are sorted
-one bucket at a time. Memory is that of one bucket, or of one part of the text, whatever the input.
+repeats); over the rest, suffixes are compared by their first ``size`` bytes only. The difference cover is a filter: a sample
+is a 64-bit hash of ``size - v + 1`` bytes, and a suffix goes on if one of the samples near it occurs twice. Those left are
+joined by 128-bit hashes of ``size`` bytes, one bucket at a time; they are not sorted by bytes and have no ranks. Memory is that of one bucket, or of one part of the text, whatever the input.
 """
 
 from __future__ import annotations
