@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-EMB = "emb AS (SELECT i, j, CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT) AS v FROM (SELECT vec_id AS i, unnest(range(0, len(embedding))) AS j, unnest(embedding) AS x FROM embeddings WHERE vec_id < 500))"
+EMB = "emb AS (SELECT i, j, CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT) AS v FROM (SELECT vec_id AS i, unnest(range(0, len(embedding))) AS j, unnest(embedding) AS x FROM embeddings))"
 
 TRADE = """tr AS (
   SELECT CAST(ns.n_regionkey AS INTEGER) AS src, CAST(nc.n_regionkey AS INTEGER) AS dst, count(*) AS n_pieces, CAST(sum(l_quantity) AS BIGINT) AS vol

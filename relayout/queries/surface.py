@@ -29,9 +29,8 @@ query("filter_predicates", """SELECT doc_id, CASE WHEN n_chars > 5000 THEN 'long
 
 # ---- joins --------------------------------------------------------------------------------------
 
-_O = "o AS (SELECT * FROM orders WHERE o_orderkey % 3 = 0), c AS (SELECT * FROM customer WHERE c_custkey % 2 = 0)"
 for _how in ("inner", "left", "right", "full"):
-    query(f"join_{_how}", f"WITH {_O} SELECT o_orderkey, c_custkey, c_nationkey FROM o {_how.upper()} JOIN c ON o_custkey = c_custkey")(
+    query(f"join_{_how}", f"SELECT o_orderkey, c_custkey, c_nationkey FROM orders {_how.upper()} JOIN customer ON o_custkey = c_custkey")(
         lambda s, d, how=_how: T(s, d, "orders").join(T(s, d, "customer"), F.col("o_custkey") == F.col("c_custkey"), how).select("o_orderkey", "c_custkey", "c_nationkey")
     )
 query("join_broadcast", f"WITH {sql.TRADE} SELECT src, CAST([3, 2, 4, 1, 0][dst + 1] AS INTEGER) AS site, vol FROM tr")(lambda s, d: core.region(s, d).join(F.broadcast(core.frame(s, list(enumerate(core.SIGMA)), "dst int, site int")), "dst").select("src", "site", "vol"))
