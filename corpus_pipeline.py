@@ -17,6 +17,10 @@ from relayout.llm.repeats import ranges_of
 from relayout.llm.shared import identity, keyed, materialise, table, utf8
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: Bytes of a repeated passage: fifty words of three letters and a blank. Words of running text are longer than that, so a
+#: passage of over fifty words has more bytes, and the stage finds it; op2's own query keeps its 400.
+PASSAGE_WORDS, WORD_BYTES = 50, 4
+PASSAGE = PASSAGE_WORDS * WORD_BYTES
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,8 +41,9 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the bytes under 400-byte strings that stand anywhere else; a cut character goes with its bytes."""
-    found = suffix_dedup.repeated_ranges(keyed(docs))
+    """Texts without the bytes under strings of PASSAGE bytes that stand anywhere else; a cut character goes with its
+    bytes."""
+    found = suffix_dedup.repeated_ranges(keyed(docs), PASSAGE)
     number, rid = identity()
     own = docs.select(*COLUMNS, number.alias("_doc"), rid.alias("_rid"))
     joined = own.join(found.select(F.col("doc_id").alias("_doc"), F.col("rid").alias("_rid"), "found"), ["_doc", "_rid"], "left")
