@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import random
 import shutil
 import subprocess
 import sys
@@ -50,6 +51,24 @@ def test_repeated_passages_are_cut(spark, docs):
     assert got[4].text is None and got[None].text == ""
 
 
+def test_passages_of_over_fifty_words_are_cut_and_shorter_ones_stay(spark, docs):
+    draw = random.Random(7)
+    clean = [r.text for r in docs.filter("length(text) > 2000").orderBy("doc_id").limit(12).collect()]
+    words = [w for r in docs.filter("length(text) > 500").orderBy("doc_id").limit(40).collect() for w in r.text.split()]
+    rows, want = [], {}
+    for k in range(6):
+        passage = " ".join(draw.choice(words) for _ in range(51))
+        for m in (0, 1):
+            before, after = f"Anfang {k} {m}. " + clean[2 * k + m][:300], f" Ende {m} {k}." + clean[2 * k + m][300:600]
+            rows.append((2 * k + m, before + "|" + passage + "|" + after, "de", "s", 1))
+            want[2 * k + m] = (before, after)
+    short = " ".join(draw.choice(words) for _ in range(12))  # fewer bytes than a passage has
+    rows += [(100 + m, f"Vorn {m} {short} hinten {m}", "de", "s", 1) for m in (0, 1)]
+    got = texts(cp.cut_repeated_passages(spark, spark.createDataFrame(rows, docs.schema), SF))
+    assert all(len(got[k]) <= len(a) + len(b) and got[k].startswith(a[:9]) and got[k].endswith(b[-9:]) for k, (a, b) in want.items())
+    assert all(short in got[100 + m] for m in (0, 1))
+
+
 def test_leaks_go_and_the_rest_is_packed(spark, docs):
     item = spark.read.parquet(f"{SF}/benchmark.parquet").first().text
     rows = [(1, "Vorher " + item, "de", "s", 9), (2, "Nur Text.", "de", "s", 9)]
