@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import mix, run_ends, table
+from relayout.llm.shared import Rolling, mix, run_ends, table
 
 BITS, TRAIN_ROWS, PENALTY, NO_LANGUAGE = 18, 1500, 6.0, "und"
 
@@ -105,11 +105,7 @@ def read_words(texts: list[str | None], bits: int) -> Words:
     length = end - start + 1
     first = np.concatenate([[0], np.cumsum(length)])[:-1] if len(length) else np.zeros(0, np.int64)
     where = np.repeat(start - first, length) + np.arange(int(length.sum()))
-    whole = np.zeros(len(start), np.uint64)
-    for k in range(12):  # of the word's first twelve letters, its length with them
-        reach = start + k < end
-        whole[reach] = mix(whole[reach] * np.uint64(31) + c[start[reach] + k])
-    whole = mix(whole + (end - start).astype(np.uint64)) >> shift
+    whole = Rolling(mix(c)).of(start, end) >> shift  # all letters of the word
     cells = np.empty((len(where), 2), np.uint32)
     cells[:, 0], cells[:, 1] = at_pair[where], at_triple[where]
     return Words(doc, start - base[doc], end - base[doc], script[codes[start]] if len(start) else np.zeros(0, np.uint8), np.concatenate([cells.ravel(), whole.astype(np.uint32)]), first * 2, has_letter)

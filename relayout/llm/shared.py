@@ -28,23 +28,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors see; a temporary one only where the session names none (tests)."""
+    """The folder that all executors see. Where the session names none, a temporary one on a local master (tests), whose
+    only machine this is; on a cluster that is an error."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         found = getattr(spark, "_relayout_shared", None) or tempfile.mkdtemp(prefix="relayout-")
         spark._relayout_shared = found
     return f"{found}/relayout-{spark.sparkContext.applicationId}"
 
 
-def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Writes df to the shared folder and reads it back: lineage is cut, and a lost executor loses nothing."""
+def materialise(df: DataFrame, label: str, onto: DataFrame | None = None) -> DataFrame:
+    """Writes df to the shared folder and reads it back: lineage is cut, and a lost executor loses nothing. onto: what was
+    written before and grows by these rows."""
     spark = df.sparkSession
     root = shared_dir(spark)
     if not getattr(spark, "_relayout_cleanup", False):
         spark._relayout_cleanup = True
         atexit.register(_remove, spark, root)
-    path = f"{root}/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    path = onto._relayout_path if onto is not None else f"{root}/{label}-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").mode("append").parquet(path)
     release(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._relayout_path = path

@@ -207,6 +207,33 @@ def test_topk_bins_end_with_their_range(spark):
         assert [(r.vec_id, r.score) for r in got] == [(6, end + 3), (5, end + 2), (4, end + 1), (3, end), (2, end - 1)]
 
 
+def test_topk_of_huge_components(spark):
+    draw = random.Random(3)
+    for size in (1e6, 1e12, 1e17):  # floats, 64-bit integers, Python's own integers
+        rows = [(k, [float(int(draw.uniform(-size, size))), float(draw.randint(-9, 9)), 1.0]) for k in range(60)]
+        rows += [(60 + k, [rows[7][1][0], float(k), 1.0]) for k in range(5)]  # scores that differ in the last digits
+        exact = {k: [int(x) for x in v] for k, v in rows}
+        vectors = spark.createDataFrame(rows, "vec_id long, v array<double>").repartition(3)
+        got = {}
+        for r in topk.top_k(vectors.filter("vec_id % 10 = 7"), vectors, 5, batch=4).orderBy("query_id", "rank").collect():
+            got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+        for q in range(7, 65, 10):
+            every = sorted(((sum(a * b for a, b in zip(exact[q], x, strict=True)), k) for k, x in exact.items() if k != q), key=lambda t: (-t[0], t[1]))[:5]
+            assert [k for k, _ in got[q]] == [k for _, k in every]
+            assert [s for _, s in got[q]] == [max(min(s, 2**63 - 1), -(2**63)) for s, _ in every]
+
+
+def test_topk_beyond_all_digits(spark):
+    v = spark.createDataFrame([(k, [1e38, 1.0]) for k in range(4)] + [(9, [-1e38])], "vec_id long, v array<double>")
+    assert [(r.vec_id, r.score) for r in topk.top_k(v.filter("vec_id = 0"), v).orderBy("rank").collect()] == [(1, 2**63 - 1), (2, 2**63 - 1), (3, 2**63 - 1), (9, -(2**63))]
+
+
+def test_topk_ignores_other_columns(spark):
+    rows = [(k, [float(k), 1.0], k, "x") for k in range(6)]
+    v = spark.createDataFrame(rows, "vec_id long, v array<double>, rank int, query_id string")
+    assert [r.vec_id for r in topk.top_k(v.filter("vec_id = 0"), v, 2).orderBy("rank").collect()] == [1, 2]
+
+
 # ---- decontamination
 
 
