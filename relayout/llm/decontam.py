@@ -3,15 +3,16 @@
 Words are runs of letters and digits, lower-cased. One pass over the documents, as Arrow buffers: every run of
 ``min_match`` words is hashed and looked up among the benchmark's (a bit map first, then a sorted array). Documents that
 share a seed go on to the tiling, in the same task: the longest common run of unmarked words is marked in both texts,
-again and again, down to ``min_match``, with Karp-Rabin fingerprints whose length is doubled or halved as matches are
-found. Tiles don't overlap and may lie in any order, so a passage whose sentences were shuffled is still covered. The
+again and again, down to ``min_match``, by Karp-Rabin fingerprints. Tiles don't overlap and may lie in any order, so a passage whose sentences were shuffled is still covered. The
 share of a test item's words under tiles decides.
 
-The benchmark is broadcast in chunks of a bounded number of bytes; a larger benchmark means more passes.
+The benchmark is broadcast in chunks of a bounded number of bytes; a larger benchmark means more passes, each of which
+writes its finds and frees its chunk before the next is read.
 """
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -21,7 +22,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BYTE_ONE, Rolling, blocks, identity, table, utf8
+from relayout.llm.shared import BYTE_ONE, Rolling, blocks, distinct, identity, materialise, table, utf8
 
 MIN_MATCH, COVERAGE, CHUNK_BYTES = 4, 0.5, 4_000_000
 
@@ -44,56 +45,59 @@ def tokens(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray,
     return Rolling(BYTE_ONE[data]).of(starts, ends), np.searchsorted(starts, offsets, "left"), offsets
 
 
-def tile(item: list[int], doc: list[int], min_match: int = MIN_MATCH, first_length: int = 16) -> list[tuple[int, int, int]]:
-    """(place in item, place in doc, length) of greedy tiles: always the longest left, of equals the first in item and doc."""
-    free_a, free_b = [True] * len(item), [True] * len(doc)
+def tile(item: np.ndarray, doc: np.ndarray, min_match: int = MIN_MATCH) -> list[tuple[int, int, int]]:
+    """(place in item, place in doc, length) of greedy tiles: always the longest left, of equals the first in item and doc.
+
+    item and doc are word hashes. Shared seeds (runs of min_match words) are joined by their Karp-Rabin fingerprint; a
+    match is then stretched over unmarked words by comparing fingerprints of doubled and halved lengths, for all places
+    of the document at once. A heap holds, for each place of the item, the longest match it had when last looked at:
+    marking only shortens matches, so one that still holds when it comes up is the longest of all. Work is at most
+    (item's words) x (tiles + 1) looks at the document's places, whatever words repeat."""
+    item, doc = np.asarray(item, np.uint64), np.asarray(doc, np.uint64)
+    if min(len(item), len(doc)) < min_match:
+        return []
+    of_item, of_doc = Rolling(item), Rolling(doc)
+    seeds = of_doc.every(min_match)
+    order = np.argsort(seeds, kind="stable")
+    wanted = of_item.every(min_match)
+    first, last = (np.searchsorted(seeds[order], wanted, side) for side in ("left", "right"))
+    marked_item, marked_doc = np.zeros(len(item), bool), np.zeros(len(doc), bool)
+    free_item, free_doc = _free(marked_item), _free(marked_doc)
+
+    def longest(a: int) -> tuple[int, int]:
+        b = order[first[a] : last[a]]
+        reach = np.minimum(free_item[a], free_doc[b])
+        b, reach = b[reach >= min_match], reach[reach >= min_match]
+        if not len(b):
+            return 0, 0
+        known = np.full(len(b), min_match)
+        while (known < reach).any():
+            tried = (known + reach + 1) // 2
+            same = of_item.of(np.full(len(b), a), a + tried) == of_doc.of(b, b + tried)
+            known, reach = np.where(same, tried, known), np.where(same, reach, tried - 1)
+        k = int(known.argmax())
+        return int(known[k]), int(b[k])
+
+    heap = [(-n, a, b) for a in range(len(wanted)) for n, b in [longest(a)] if n]
+    heapq.heapify(heap)
     tiles: list[tuple[int, int, int]] = []
-    length = max(min_match, min(first_length, len(item)))
-    while True:
-        prints: dict[int, list[int]] = {}
-        for h, at in _fingerprints(doc, free_b, length):
-            prints.setdefault(h, []).append(at)
-        found, longest = [], 0
-        for h, a in _fingerprints(item, free_a, length):
-            for b in prints.get(h, ()):
-                n = 0
-                while a + n < len(item) and b + n < len(doc) and item[a + n] == doc[b + n] and free_a[a + n] and free_b[b + n]:
-                    n += 1
-                if n >= length:
-                    found.append((-n, a, b))
-                    longest = max(longest, n)
-        if longest > 2 * length:
-            length = longest
+    while heap:
+        n, a, b = heapq.heappop(heap)
+        now, at = longest(a)
+        if (-now, at) != (n, b):
+            if now:
+                heapq.heappush(heap, (-now, a, at))
             continue
-        again = False
-        for n, a, b in sorted(found):
-            if all(free_a[a : a - n]) and all(free_b[b : b - n]):
-                free_a[a : a - n] = free_b[b : b - n] = [False] * -n
-                tiles.append((a, b, -n))
-            else:
-                again = True  # what is left of it may be as long as others of this length
-        if again and found:
-            continue
-        if length == min_match:
-            return tiles
-        length = max(min_match, length // 2)
-
-
-def _fingerprints(seq: list[int], free: list[bool], length: int) -> Iterator[tuple[int, int]]:
-    """Karp-Rabin fingerprints of the unmarked runs of this length."""
-    base, prime = 1_000_003, (1 << 61) - 1
-    top, h, held = pow(base, length - 1, prime), 0, 0
-    for i, x in enumerate(seq):
-        if not free[i]:
-            h = held = 0
-            continue
-        if held == length:
-            h = (h - seq[i - length] * top) % prime
-            held -= 1
-        h = (h * base + x) % prime
-        held += 1
-        if held == length:
-            yield h, i - length + 1
+        marked_item[a : a + now] = marked_doc[b : b + now] = True
+        free_item, free_doc = _free(marked_item), _free(marked_doc)
+        tiles.append((a, b, now))
+    return tiles
+
+
+def _free(marked: np.ndarray) -> np.ndarray:
+    """How many unmarked words follow from each place on."""
+    n = len(marked)
+    return np.minimum.accumulate(np.where(marked, np.arange(n), n)[::-1])[::-1] - np.arange(n)
 
 
 @dataclass
@@ -101,7 +105,7 @@ class Bench:
     """A chunk of the benchmark: items' words, and the seeds in order with the item of each."""
 
     ids: list[int | None]
-    words: list[list[int]]
+    words: list[np.ndarray]
     seeds: np.ndarray
     owner: np.ndarray
     bits: np.ndarray
@@ -110,13 +114,13 @@ class Bench:
     def of(cls, rows: pa.Table, min_match: int) -> Bench:
         words, at, _ = tokens(pc.utf8_lower(rows.column("text")))
         lists = [words[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
-        seeds = [Rolling(w).every(min_match) for w in lists]
+        seeds = [distinct(Rolling(w).every(min_match)) for w in lists]
         owner = np.repeat(np.arange(len(lists)), [len(s) for s in seeds])
         all_seeds = np.concatenate([np.zeros(0, np.uint64), *seeds])
         order = np.argsort(all_seeds, kind="stable")
         bits = np.zeros(1 << 20, bool)
         bits[all_seeds >> np.uint64(44)] = True
-        return cls(rows.column("item_id").to_pylist(), [w.tolist() for w in lists], all_seeds[order], owner[order], bits)
+        return cls(rows.column("item_id").to_pylist(), lists, all_seeds[order], owner[order], bits)
 
     def leaks(self, words: np.ndarray, at: np.ndarray, min_match: int, coverage: float) -> Iterator[tuple[int, int, int, int]]:
         """(document, item, covered words, words) of a block of documents."""
@@ -139,10 +143,10 @@ class Bench:
                 if reach < coverage * size:
                     # fewer words of the document are in seeds of this item than the tiles would have to cover
                     continue
-                segments: list[int] = []
+                segments: list[np.ndarray] = []
                 for k in np.split(own, np.flatnonzero(np.diff(own) > 1) + 1):
-                    segments += [*words[k[0] : k[-1] + min_match].tolist(), -1 - len(segments)]
-                covered = sum(t[2] for t in tile(self.words[i], segments, min_match))
+                    segments += [words[k[0] : k[-1] + min_match], ~np.array([len(segments)], np.uint64)]  # a border that is no word
+                covered = sum(t[2] for t in tile(self.words[i], np.concatenate(segments), min_match))
                 if covered >= coverage * size:
                     yield int(d), int(i), covered, size
 
@@ -155,7 +159,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, min
     n_chunks = -(-int(total) // chunk_bytes)
     rows = docs.filter("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), identity()[1].alias("rid"), "text")
     schema = "doc_id long, rid long, item_id long, covered int, item_words int"
-    found = None
+    found = written = None
     for k in range(n_chunks):
         part = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(n_chunks)) == k)
         shared = spark.sparkContext.broadcast(Bench.of(part.toArrow(), min_match))  # chunk_bytes on average
@@ -172,8 +176,10 @@ def leaks(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, min
                 kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], ["doc_id", "rid", "item_id", "covered", "item_words"])
 
-        one = rows.mapInArrow(scan, schema)
-        found = one if found is None else found.union(one)
+        found = rows.mapInArrow(scan, schema)
+        if n_chunks > 1:
+            found = written = materialise(found, "leaks", written)
+            shared.destroy()
     if found is None:
         found = spark.createDataFrame([], schema)
     return found
@@ -182,8 +188,9 @@ def leaks(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE, min
 def contaminated(docs: DataFrame, benchmark: DataFrame, **how: object) -> DataFrame:
     """(doc_id, item_id, covered, item_words, coverage) of each document and item that it covers to ``coverage`` or more.
 
-    Null and empty texts, and items of fewer than min_match words, match nothing. Whole texts are read. Repeated rows
-    give one row; a null id is a value of its own. An empty table on either side gives no rows.
+    Null and empty texts, and items of fewer than min_match words, match nothing. Whole texts are read, also those in
+    which one word stands over and over. Repeated rows give one row; a null id is a value of its own. An empty table on
+    either side gives no rows.
     """
     best = leaks(docs, benchmark, **how).groupBy("doc_id", "item_id").agg(F.max_by(F.struct("covered", "item_words"), F.col("covered") / F.col("item_words")).alias("x"))
     return best.select("doc_id", "item_id", "x.covered", "x.item_words", (F.col("x.covered") / F.col("x.item_words")).alias("coverage"))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 import random
+import re
 import zlib
 
 import duckdb
@@ -257,6 +258,75 @@ def test_tiles_survive_reordering():
                 assert a[x : x + 4] != b[y : y + 4] or set(range(x, x + 4)) & used_a or set(range(y, y + 4)) & used_b
 
 
+def brute_tiles(item, doc, least=4):
+    """Greedy string tiling by looking at all pairs of places after each tile."""
+    free_a, free_b, out = [True] * len(item), [True] * len(doc), []
+    while True:
+        best = (0, 0, 0)
+        for a in range(len(item)):
+            for b in range(len(doc)):
+                n = 0
+                while a + n < len(item) and b + n < len(doc) and item[a + n] == doc[b + n] and free_a[a + n] and free_b[b + n]:
+                    n += 1
+                best = min(best, (-n, a, b))
+        n, a, b = best
+        if -n < least:
+            return out
+        free_a[a : a - n] = free_b[b : b - n] = [False] * -n
+        out.append((a, b, -n))
+
+
+def test_tiles_against_brute_force():
+    draw = random.Random(9)
+    for words in (1, 2, 3, 6):
+        for _ in range(25):
+            item, doc = ([draw.randrange(words) for _ in range(draw.randint(0, n))] for n in (24, 40))
+            assert decontam.tile(item, doc) == brute_tiles(item, doc)
+
+
+def test_one_word_over_and_over_is_quick():
+    import time
+
+    began = time.perf_counter()
+    assert decontam.tile([1] * 100, [1] * 100_000) == [(0, 0, 100)]
+    assert sum(n for _, _, n in decontam.tile([*[1] * 50, 2, *[1] * 50], [1] * 100_000)) == 100
+    assert time.perf_counter() - began < 20
+
+
+def brute_leaks(rows, items, least=4, share=0.5):
+    """Tiles of whole texts, word by word, without seeds, filters or hashes."""
+    words = lambda t: re.findall(r"[0-9a-z\x80-\xff]+", (t or "").lower().encode().decode("latin-1"))
+    found = set()
+    for doc_id, text in rows:
+        for item_id, item in items:
+            w, own = words(item), words(text)
+            if len(w) >= least and len({tuple(w[k : k + least]) for k in range(len(w))} & {tuple(own[k : k + least]) for k in range(len(own))}):
+                covered = sum(n for _, _, n in brute_tiles(w, own, least))
+                if covered >= share * len(w):
+                    found.add((doc_id, item_id, covered, len(w)))
+    return found
+
+
+def test_leaks_against_brute_force(spark):
+    draw = random.Random(12)
+    vocab = "red blue green tall small house river runs falls over under near".split()
+    items = [(k, " ".join(draw.choice(vocab) for _ in range(draw.randint(2, 18)))) for k in range(8)] + [(90, "go " * 9), (91, None)]
+    rows = []
+    for k in range(40):
+        text = [draw.choice(vocab) for _ in range(draw.randint(0, 25))]
+        for _ in range(draw.randint(0, 2)):
+            w = (draw.choice(items[:9])[1]).split()
+            cut = draw.randint(0, len(w))
+            text = [*w[cut:], *text, *w[:cut]] if draw.random() < 0.5 else [*text, *w]
+        rows.append((k, " ".join(text)))
+    rows += [(50, None), (51, ""), (52, "Go, go! GO go. " * 4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    want = brute_leaks(rows, items)
+    assert {(r.doc_id, r.item_id, r.covered, r.item_words) for r in decontam.contaminated(docs, bench).collect()} == want and len(want) > 8
+    assert {(r.doc_id, r.item_id, r.covered, r.item_words) for r in decontam.contaminated(docs, bench, chunk_bytes=60).collect()} == want
+
+
 def test_planted_leaks(spark):
     bench = [r.text for r in spark.read.parquet(f"{SF}/benchmark.parquet").orderBy("item_id").limit(3).collect()]
     words = bench[0].split()
