@@ -5,9 +5,11 @@ its shape (symbols, capitals, list bars, repetition, length). They are fitted on
 everything after that runs over all documents:
 
 * the expected number of bad documents is summed by path and host (partial sums before the shuffle),
-* the global rate and how much hosts differ give a Beta prior by moments; a host's posterior is shrunk towards the
-  global rate, a path's towards its host's: sites with few documents stay near their parent,
-* a document's log-odds are its own evidence plus the log-odds of its path against the global rate.
+* moments give each level a Beta prior of its own strength: how much hosts differ from the global rate, and how much
+  paths differ from their host, beyond what sampling alone would do. A host's posterior is shrunk towards the global
+  rate, a path's towards its host's: sites with few documents stay near their parent,
+* a document's log-odds are its own evidence plus the log-odds of its path against the global rate, where the document
+  itself is left out of the sums of its path and host: its evidence counts once.
 """
 
 from __future__ import annotations
@@ -203,34 +205,56 @@ def _logit(p: Column) -> Column:
     return F.log(p / (1 - p))
 
 
-def site_posteriors(scored: DataFrame, host: Column, path: Column) -> DataFrame:
-    """(host, path, n, <head>_host, <head>_path, <head>_global): shrunk rates of bad documents of each path.
+def site_sums(scored: DataFrame, host: Column, path: Column) -> tuple[DataFrame, dict[str, tuple[float, float, float]]]:
+    """(host, path, n, host_n, <head>_sum, <head>_host_sum) of each path, and for each head the global rate and the
+    strengths of the priors of hosts and of paths.
 
     scored has z_low and z_toxic. All levels are sums over all documents. A null host or path is a group of its own."""
     sums = [F.sum(_probability(F.col(f"z_{h}"))).alias(f"{h}_sum") for h in HEADS]
     paths = scored.groupBy(host.alias("host"), path.alias("path")).agg(F.count(F.lit(1)).alias("n"), *sums)
     hosts = paths.groupBy("host").agg(F.sum("n").alias("host_n"), *(F.sum(f"{h}_sum").alias(f"{h}_host_sum") for h in HEADS))
-    # moments over hosts: the rate, and the strength of a Beta prior with the hosts' spread beyond sampling noise
-    total = hosts.agg(
-        F.sum("host_n").alias("all_n"),
-        F.count(F.lit(1)).alias("n_hosts"),
-        F.sum(1 / F.col("host_n")).alias("inverse_n"),
-        *(F.sum(f"{h}_host_sum").alias(f"{h}_all") for h in HEADS),
-        *(F.sum(F.col(f"{h}_host_sum") / F.col("host_n")).alias(f"{h}_first") for h in HEADS),
-        *(F.sum((F.col(f"{h}_host_sum") / F.col("host_n")) ** 2).alias(f"{h}_second") for h in HEADS),
+    total = hosts.agg(F.sum("host_n").alias("n"), F.count(F.lit(1)).alias("k"), *(F.sum(f"{h}_host_sum").alias(h) for h in HEADS)).first()
+    both = paths.join(hosts, paths["host"].eqNullSafe(hosts["host"])).drop(hosts["host"])
+    if not total["n"]:
+        return both, {h: (0.5, STRENGTH[1], STRENGTH[1]) for h in HEADS}
+    rates = {h: (total[h] + 0.5) / (total["n"] + 1) for h in HEADS}
+    own = {h: F.col(f"{h}_host_sum") / F.col("host_n") for h in HEADS}
+    of_hosts = hosts.agg(*(F.sum(F.col("host_n") * (own[h] - rates[h]) ** 2).alias(h) for h in HEADS)).first()
+    of_paths = both.agg(
+        F.count(F.lit(1)).alias("k"),
+        *(F.sum(F.col("n") * (F.col(f"{h}_sum") / F.col("n") - own[h]) ** 2).alias(f"{h}_squares") for h in HEADS),
+        *(F.sum(own[h] * (1 - own[h])).alias(f"{h}_noise") for h in HEADS),
     ).first()
-    if not total["all_n"]:
-        return paths.select("host", "path", "n", *(F.lit(0.5).alias(f"{h}_{x}") for h in HEADS for x in ("host", "path", "global")))
-    out = paths.join(hosts, paths["host"].eqNullSafe(hosts["host"])).drop(hosts["host"])
-    k = total["n_hosts"]
-    for h in HEADS:
-        rate = (total[f"{h}_all"] + 0.5) / (total["all_n"] + 1)
-        spread = total[f"{h}_second"] / k - (total[f"{h}_first"] / k) ** 2 - rate * (1 - rate) * total["inverse_n"] / k
-        strength = min(max(rate * (1 - rate) / spread - 1, STRENGTH[0]), STRENGTH[1]) if spread > 0 else STRENGTH[1]
-        out = out.withColumn(f"{h}_global", F.lit(rate))
-        out = out.withColumn(f"{h}_host", (F.lit(strength * rate) + F.col(f"{h}_host_sum")) / (F.lit(strength) + F.col("host_n")))
-        out = out.withColumn(f"{h}_path", (F.lit(strength) * F.col(f"{h}_host") + F.col(f"{h}_sum")) / (F.lit(strength) + F.col("n")))
-    return out.select("host", "path", "n", *(f"{h}_{x}" for h in HEADS for x in ("host", "path", "global")))
+    priors = {}
+    for h, rate in rates.items():
+        at_host = _moment(of_hosts[h], total["k"] * rate * (1 - rate), rate * (1 - rate), total["n"])
+        mean = of_paths[f"{h}_noise"] / of_paths["k"]
+        priors[h] = (rate, at_host, _moment(of_paths[f"{h}_squares"], of_paths[f"{h}_noise"], mean, total["n"]))
+    return both, priors
+
+
+def _moment(squares: float, noise: float, variance: float, n: float) -> float:
+    """Strength of a Beta prior (documents' worth of evidence): squares is the sum of n (rate - parent's) ** 2 over
+    children, noise what it would be if each had its parent's rate, variance rate (1 - rate)."""
+    spread = (squares - noise) / n
+    return min(max(variance / spread - 1, STRENGTH[0]), STRENGTH[1]) if spread > 0 else STRENGTH[1]
+
+
+def posterior(h: str, prior: tuple[float, float, float], z: Column | None = None) -> tuple[Column, Column]:
+    """Shrunk rates of a row's host and path, from columns of site_sums(); with z, the row's own probability is left out."""
+    rate, at_host, at_path = prior
+    left_out, one = (F.lit(0.0), F.lit(0)) if z is None else (_probability(z), F.lit(1))
+    host = (F.lit(at_host * rate) + F.greatest(F.col(f"{h}_host_sum") - left_out, F.lit(0.0))) / (F.lit(at_host) + F.col("host_n") - one)
+    path = (F.lit(at_path) * host + F.greatest(F.col(f"{h}_sum") - left_out, F.lit(0.0))) / (F.lit(at_path) + F.col("n") - one)
+    return host, path
+
+
+def site_posteriors(scored: DataFrame, host: Column, path: Column) -> DataFrame:
+    """(host, path, n, <head>_host, <head>_path, <head>_global): shrunk rates of bad documents of each path."""
+    sums, priors = site_sums(scored, host, path)
+    for h, prior in priors.items():
+        sums = sums.withColumns(dict(zip((f"{h}_host", f"{h}_path"), posterior(h, prior), strict=True)) | {f"{h}_global": F.lit(prior[0])})
+    return sums.select("host", "path", "n", *(f"{h}_{x}" for h in HEADS for x in ("host", "path", "global")))
 
 
 def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, reject: float = REJECT, train_rows: int = TRAIN_ROWS, keep_text: bool = True) -> DataFrame:
@@ -238,7 +262,8 @@ def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path:
 
     host defaults to ``source``, path to (``source``, ``lang``). Rejected: a probability above ``reject``. A null text
     has its site's rate as evidence; an empty one that of its shape. Without labels all evidence is even and nothing is
-    rejected. Repeated rows count each. Columns of these names are replaced, all others kept.
+    rejected. Repeated rows count each. Columns of these names are replaced, all others kept, whatever their names (but for
+    z_low and z_toxic, which go).
     """
     host = F.col("source") if host is None else host
     path = F.col("lang") if path is None else path
@@ -246,18 +271,20 @@ def judge(docs: DataFrame, labels: DataFrame, host: Column | None = None, path:
     added = ("p_low", "p_toxic", "site_low", "site_toxic", "rejected")
     own = [c for c in docs.columns if c not in added and (keep_text or c != "text")]
     # each text is read once: what it says is written down, then summed by site
-    scored = evidence(docs.select("text", *(c for c in own if c != "text")).withColumns({"_h": host, "_p": path}), heads, keep_text)
+    scored = evidence(docs.select("text", *(c for c in own if c != "text")).withColumns({"_quality_host": host, "_quality_path": path}), heads, keep_text)
     scored = materialise(scored, "evidence")
-    sites = site_posteriors(scored, F.col("_h"), F.col("_p"))
-    sites = sites.select(F.col("host").alias("_host"), F.col("path").alias("_path"), *(c for c in sites.columns if c not in ("host", "path", "n")))
+    sites, priors = site_sums(scored, F.col("_quality_host"), F.col("_quality_path"))
+    sites = sites.withColumnsRenamed({c: f"_{c}" for c in sites.columns})
     if sites.limit(BROADCAST_GROUPS + 1).count() <= BROADCAST_GROUPS:
         sites = F.broadcast(sites)
-    both = scored.join(sites, F.col("_h").eqNullSafe(F.col("_host")) & F.col("_p").eqNullSafe(F.col("_path")), "left")
-    for h in HEADS:
-        site = F.coalesce(F.col(f"{h}_path"), F.lit(0.5))
-        both = both.withColumn(f"p_{h}", _probability(F.col(f"z_{h}") + _logit(site) - _logit(F.coalesce(F.col(f"{h}_global"), F.lit(0.5)))))
-        both = both.withColumn(f"site_{h}", site)
-    return both.select(*own, "p_low", "p_toxic", "site_low", "site_toxic", ((F.col("p_low") > reject) | (F.col("p_toxic") > reject)).alias("rejected"))
+    both = scored.withColumnsRenamed({c: f"_own_{c}" for c in own}).join(sites, F.col("_quality_host").eqNullSafe(F.col("_host")) & F.col("_quality_path").eqNullSafe(F.col("_path")), "left")
+    both = both.withColumnsRenamed({"_n": "n", "_host_n": "host_n"} | {f"_{h}_{x}": f"{h}_{x}" for h in HEADS for x in ("sum", "host_sum")})
+    for h, prior in priors.items():
+        both = both.withColumn(f"_site_{h}", F.coalesce(posterior(h, prior)[1], F.lit(0.5)))
+        alone = F.coalesce(posterior(h, prior, F.col(f"z_{h}"))[1], F.lit(0.5))
+        both = both.withColumn(f"_p_{h}", _probability(F.col(f"z_{h}") + _logit(alone) - _logit(F.lit(prior[0]))))
+    found = [F.col(f"_{x}").alias(x) for x in ("p_low", "p_toxic", "site_low", "site_toxic")]
+    return both.select(*(F.col(f"_own_{c}").alias(c) for c in own), *found, ((F.col("_p_low") > reject) | (F.col("_p_toxic") > reject)).alias("rejected"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

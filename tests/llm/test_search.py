@@ -363,6 +363,49 @@ def test_sparse_sites_shrink(spark):
     assert quality.site_posteriors(scored.limit(0), F.col("h"), F.col("p")).count() == 0
 
 
+def brute_rates(rows, head):
+    """Posterior of every document's path without the document, by plain loops; z is the log-odds of the text."""
+    p = [1 / (1 + math.exp(-r[2][head])) for r in rows]
+    rate = (sum(p) + 0.5) / (len(p) + 1)
+    members = lambda k: [i for i, r in enumerate(rows) if (r[0], r[1])[: len(k)] == k]
+    hosts, paths = {(r[0],) for r in rows}, {(r[0], r[1]) for r in rows}
+    mean = {k: sum(p[i] for i in members(k)) / len(members(k)) for k in hosts | paths}
+
+    def strength(children, parent):
+        squares = sum(len(members(k)) * (mean[k] - parent(k)) ** 2 for k in children)
+        noise = sum(parent(k) * (1 - parent(k)) for k in children)
+        spread = (squares - noise) / len(rows)
+        return min(max(noise / len(children) / spread - 1, 5), 500) if spread > 0 else 500
+
+    s_host, s_path = strength(hosts, lambda k: rate), strength(paths, lambda k: mean[k[:1]])
+    out = []
+    for i, r in enumerate(rows):
+        in_host, in_path = (sum(p[j] for j in members(k)) for k in ((r[0],), (r[0], r[1])))
+        host = (s_host * rate + in_host - p[i]) / (s_host + len(members((r[0],))) - 1)
+        out.append((rate, (s_path * host + in_path - p[i]) / (s_path + len(members((r[0], r[1]))) - 1)))
+    return out
+
+
+def test_rates_without_the_document_against_brute_force(spark):
+    draw = random.Random(6)
+    tilt = {h: draw.uniform(-2, 2) for h in "abcd"}
+    rows = [(h, draw.choice([f"{h}1", f"{h}2", None]), (draw.gauss(tilt[h], 1), draw.gauss(-1, 1))) for h in draw.choices("abcd", k=90)] + [(None, None, (0.3, 0.1))]
+    scored = spark.createDataFrame([(k, h, p, *z) for k, (h, p, z) in enumerate(rows)], "k int, h string, p string, z_low double, z_toxic double")
+    sums, priors = quality.site_sums(scored, F.col("h"), F.col("p"))
+    both = scored.join(sums, F.col("h").eqNullSafe(F.col("host")) & F.col("p").eqNullSafe(F.col("path")))
+    for k, head in enumerate(quality.HEADS):
+        got = {r.k: r.x for r in both.select("k", quality.posterior(head, priors[head], F.col(f"z_{head}"))[1].alias("x")).collect()}
+        for i, (rate, x) in enumerate(brute_rates(rows, k)):
+            assert abs(got[i] - x) < 1e-9 and abs(priors[head][0] - rate) < 1e-9
+
+
+def test_quality_keeps_clashing_columns(spark):
+    docs = docs_of(spark, [(1, "fine words", "en", "s"), (2, "other words", "de", "s")]).withColumns({c: F.lit(7) for c in ("n", "host", "path", "low_sum", "_h2", "host_n", "_n", "p_low")})
+    labels = spark.createDataFrame([(1, 1, 0), (2, 0, 1)], "doc_id long, quality int, toxic int")
+    got = quality.judge(docs, labels)
+    assert [r.n + r.host + r.path + r.low_sum + r._h2 + r.host_n + r["_n"] for r in got.collect()] == [49, 49] and 0 <= got.first().p_low <= 1
+
+
 def test_quality_odd_rows(spark):
     docs = docs_of(spark, [(1, None, None, None), (2, "", "en", "s"), (None, "fine words here", "en", "s"), (3, "### $$$ " * 20_000, "en", "s"), (3, "### $$$ " * 20_000, "en", "s")]).withColumn("p_low", F.lit(5))
     none = spark.createDataFrame([], "doc_id long, quality int, toxic int")
