@@ -7,13 +7,17 @@ same set are one class and are compared once.
    Each class shows the bucket of a gram a part of its set (those with the smallest hashes: a little more than what a
    partner may lack); a class of which too few of these stand elsewhere too is done. This drops nearly all documents,
    and also those that only share boilerplate.
-2. *Global order.* Over the classes left, all grams are counted, and ordered from rare to frequent. Classes that share
-   a gram in their prefixes (the first n - ceil(t n) + 1) may link; the groups of this graph are found by
-   relayout.llm.components. Frequent grams come last, so boilerplate doesn't tie groups together.
-3. *Vertical partitioning.* Within a group the order is cut into fragments; each fragment counts the partial overlaps
-   of all pairs by a product of two incidence matrices, and the sums over fragments give each pair's overlap. A group
-   larger than a block is cut into blocks of classes, and each pair of blocks is a task of bounded memory. Only the links
-   of a spanning forest and each class's number of links leave a task, never all pairs.
+2. *Global order.* Over the classes left, all grams are counted, and ordered from rare to frequent (by powers of two, then
+   by hash). Classes that share a gram in their prefixes (the first n - ceil(t n) + 1) may link; the groups of this graph
+   are found by relayout.llm.components. Frequent grams come last, so boilerplate doesn't tie groups together.
+3. *Vertical partitioning.* The order is cut into fragments of about equal weight. A fragment of a group is a task of its own: it
+   counts the partial overlaps of the pairs by a product of two incidence matrices. The partial counts are shuffled by pair
+   of blocks, and summed there to the overlap of each pair, which decides. Only the links of a spanning forest and each
+   class's number of links leave that step, never all pairs.
+4. *Large groups.* A group larger than a block first gets representatives: the member whose grams are the most frequent, and
+   all within half of the allowed distance of it are its ball. Jaccard distance is a metric, so all in a ball are linked
+   and need no comparison; only blocks of different balls, and of members in none, are compared. A large group of near
+   copies of one text costs a pass, not its square.
 """
 
 from __future__ import annotations
@@ -29,11 +33,14 @@ from pyspark.sql import functions as F
 
 from relayout.llm.components import components
 from relayout.llm.repeats import bucket_of, per_part, unnull
-from relayout.llm.shared import Rolling, blocks, keyed, lowered, materialise, mix, parts, table, trim, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import TWO, Rolling, blocks, discard, in_pieces, keyed, lowered, materialise, mix, parts, table, trim, utf8, word_hashes, word_twins, words_in_documents
 
 GRAM, NUM, DEN = 5, 80, 100
-FLUSH, PART_GRAMS, GROUP_BLOCK, FRAGMENT = 1_000_000, 250_000, 512, 2048
-ASK = np.dtype([("f", "<u4"), ("c", "<u8")])
+FLUSH, PART_GRAMS, GROUP_BLOCK, COLUMNS = 1_000_000, 250_000, 512, 2048
+#: Fragments of the global order; rounds of representatives of a large group; grams that share a task of small groups.
+FRAGMENTS, ROUNDS, TASK_GRAMS = 8, 4, 4_000_000
+ASK = np.dtype([("f", "<u8"), ("c", "<u8")])
+PAIR = np.dtype([("u", "<i8"), ("v", "<i8"), ("n", "<i8")])
 SEEN = np.dtype([("a", "<u8"), ("n", "<u4")])
 
 
@@ -42,41 +49,45 @@ def missing(n: np.ndarray, num: int = NUM, den: int = DEN) -> np.ndarray:
     return n - -(-num * n // den)
 
 
-def gram_sets(column: pa.Array, gram: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """By block: the first document, all sets end to end, and where each begins. Sets are sorted."""
+def gram_sets(column: pa.Array, gram: int, twins: bool = False) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """By block: the first document, all sets end to end, where each begins, and (if asked for) a second hash of each
+    gram that is independent of the first from the bytes on. Sets are sorted."""
     data, offsets = utf8(column)
     for a, b in blocks(offsets):
         part = lowered(data[offsets[a] : offsets[b]])
         starts, ends, at = words_in_documents(part, offsets[a : b + 1] - offsets[a])
-        words = np.concatenate([word_hashes(part[starts[k] : ends[min(k + 200_000, len(ends)) - 1]], starts[k : k + 200_000] - starts[k], ends[k : k + 200_000] - starts[k]) for k in range(0, len(starts), 200_000)] or [np.zeros(0, np.uint64)])
-        rolling = Rolling(words)
-        every, sets = rolling.every(gram), []
+        rolling = Rolling(in_pieces(word_hashes, part, starts, ends))
+        other = Rolling(in_pieces(word_twins, part, starts, ends), TWO) if twins else None
+        none = np.zeros(0, np.uint64)
+        every, second, sets, pairs = rolling.every(gram), other.every(gram) if twins else none, [], []
         for i, j in zip(at[:-1], at[1:], strict=True):
             if j - i >= gram:
-                x = np.sort(every[i : j - gram + 1])
-                sets.append(x[np.append(True, x[1:] != x[:-1])])
+                x = every[i : j - gram + 1]
+                order = np.argsort(x, kind="stable") if twins else None
+                x = x[order] if twins else np.sort(x)
+                new = np.append(True, x[1:] != x[:-1])
+                sets.append(x[new])
+                pairs.append(second[i : j - gram + 1][order][new] if twins else none)
             else:
-                sets.append(rolling.of(np.array([i]), np.array([j])) if j > i else words[:0])
-        yield a, np.concatenate([words[:0], *sets]), np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int64)
+                sets.append(rolling.of(np.array([i]), np.array([j])) if j > i else none)
+                pairs.append(other.of(np.array([i]), np.array([j])) if twins and j > i else none)
+        yield a, np.concatenate([none, *sets]), np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int64), np.concatenate([none, *pairs])
 
 
-def class_keys(grams: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """128 bits of each set, whatever the order; 0 for an empty one."""
+def class_key(grams: np.ndarray, at: np.ndarray, salt: int = 0x2545F4914F6CDD1D) -> np.ndarray:
+    """64 bits of each set, whatever the order; 0 for an empty one."""
     n = np.diff(at)
-    out = []
-    for salt in (0x2545F4914F6CDD1D, 0x9E6C63D0876A9A47):
-        sums = np.concatenate([[np.uint64(0)], np.cumsum(mix(grams ^ np.uint64(salt)))])
-        out.append(np.where(n > 0, mix(sums[at[1:]] - sums[at[:-1]] + n.astype(np.uint64)), np.uint64(0)))
-    return out[0], out[1]
+    sums = np.concatenate([[np.uint64(0)], np.cumsum(mix(grams ^ np.uint64(salt)))])
+    return np.where(n > 0, mix(sums[at[1:]] - sums[at[:-1]] + n.astype(np.uint64)), np.uint64(0))
 
 
 def document_classes(docs: DataFrame, gram: int) -> DataFrame:
-    """(doc_id, rid, n_shingles, c1, c2) of each document."""
+    """(doc_id, rid, n_shingles, c1, c2) of each document; c1 and c2 rest on independent hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, grams, at in gram_sets(batch.column("text"), gram):
-                c1, c2 = class_keys(grams, at)
+            for first, grams, at, twins in gram_sets(batch.column("text"), gram, twins=True):
+                c1, c2 = class_key(grams, at), class_key(twins, at, 0x9E6C63D0876A9A47)
                 n = len(at) - 1
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(first, n), batch.column("rid").slice(first, n), pa.array(np.diff(at)), pa.array(c1.view(np.int64)), pa.array(c2.view(np.int64))], ["doc_id", "rid", "n_shingles", "c1", "c2"])
 
@@ -101,10 +112,10 @@ def shown_grams(docs: DataFrame, gram: int, num: int, den: int, buckets: int) ->
         held: list[tuple[np.ndarray, np.ndarray]] = []
         size = 0
         for batch in batches:
-            for _, grams, at in gram_sets(batch.column("text"), gram):
+            for _, grams, at, _ in gram_sets(batch.column("text"), gram):
                 n = np.diff(at)
                 k = shown(n, num, den)[0]
-                c1, _ = class_keys(grams, at)
+                c1 = class_key(grams, at)
                 where = np.repeat(at[:-1] - (np.cumsum(k) - k), k) + np.arange(k.sum())
                 held.append((mix(grams[where] ^ np.uint64(0xA0761D6478BD642F)), np.repeat(c1, k)))
                 size += len(where)
@@ -126,11 +137,11 @@ def shown_grams(docs: DataFrame, gram: int, num: int, den: int, buckets: int) ->
         begin = np.flatnonzero(new)
         n = np.diff(np.append(begin, len(h)))
         once = np.repeat(n == 1, n)
-        bucket, low = bucket_of(h, buckets), (h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(32)
+        bucket = bucket_of(h, buckets)
         rows: list[tuple[int, int, bytes]] = []
         for kind, pick in ((0, once), (1, new & ~once)):
             b, x = bucket[pick], np.empty(int(pick.sum()), ASK)
-            x["f"], x["c"] = low[pick], c[pick] if kind == 0 else 0
+            x["f"], x["c"] = h[pick], c[pick] if kind == 0 else 0
             cut = np.flatnonzero(np.diff(b, prepend=-1, append=-2))
             rows += [(int(b[i]), kind, x[i:j].tobytes()) for i, j in zip(cut[:-1], cut[1:], strict=True)]
         rows.append((-1, 2, counted(c[~once])))
@@ -199,7 +210,7 @@ def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, size = TaskContext.get().partitionId() << 32, 0
         for batch in batches:
-            for first, grams, at in gram_sets(batch.column("text"), gram):
+            for first, grams, at, _ in gram_sets(batch.column("text"), gram):
                 n = np.diff(at)
                 own = (np.cumsum(n) + size) // PART_GRAMS
                 yield pa.RecordBatch.from_arrays([pa.array(part + own), batch.column("rid").slice(first, len(n)), pa.array(n), batch.column("weight").slice(first, len(n)), pa.array([grams[i:j].tobytes() for i, j in zip(at[:-1], at[1:], strict=True)], pa.binary())], ["part", "node", "n", "weight", "grams"])
@@ -209,8 +220,14 @@ def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
     return joined.mapInArrow(run, "part long, node long, n long, weight long, grams binary")
 
 
+def cell_of(grams: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """Where a gram lies in the global order, coarsely: by the power of two below its count, then by its first four bits."""
+    return np.floor(np.log2(np.maximum(count, 1))).astype(np.int64) * 16 + (grams >> np.uint64(60)).astype(np.int64)
+
+
 def gram_counts(sets: DataFrame, buckets: int) -> DataFrame:
-    """(part, body): grams of the part that stand in two classes or more of the corpus, with the number of classes."""
+    """(part, body, cell, n): grams of the part that stand in two classes or more of the corpus, with the number of classes
+    (cell null); and with part null, how many occurrences of such grams lie in a cell of the global order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -240,65 +257,96 @@ def gram_counts(sets: DataFrame, buckets: int) -> DataFrame:
         sums = np.repeat(np.add.reduceat(r["n"].astype(np.int64), begin), n)
         out = np.empty(int((sums > 1).sum()), SEEN)
         out["a"], out["n"] = r["a"][sums > 1], np.minimum(sums[sums > 1], 2**32 - 1)
-        return per_part(out, part[sums > 1])
+        found = per_part(out, part[sums > 1])
+        each = sums[begin] > 1
+        weight = np.bincount(cell_of(r["a"][begin][each], sums[begin][each]), sums[begin][each]) if each.any() else np.zeros(0)
+        cells = np.flatnonzero(weight)
+        replies = {"part": pd.array([*found["part"], *[None] * len(cells)], "Int64"), "body": [*found["body"], *[None] * len(cells)]}
+        return pd.DataFrame(replies | {"cell": pd.array([*[None] * len(found), *cells], "Int32"), "n": pd.array([*[None] * len(found), *weight[cells].astype(np.int64)], "Int64")})
 
-    return sets.select("part", "grams").mapInArrow(run, "bucket int, part long, body binary").groupBy("bucket").applyInPandas(total, "part long, body binary")
+    return sets.select("part", "grams").mapInArrow(run, "bucket int, part long, body binary").groupBy("bucket").applyInPandas(total, "part long, body binary, cell int, n long")
 
 
-def prefix_links(sets: DataFrame, counts: DataFrame, num: int, den: int, buckets: int) -> DataFrame:
-    """(u, v): classes that may link, as stars around the least holder of each gram in a prefix."""
+def fragment_cuts(counts: DataFrame, fragments: int = FRAGMENTS) -> np.ndarray:
+    """The cells of the global order at which fragments of about equal weight begin, but for the first."""
+    rows = sorted((r["cell"], r["n"]) for r in counts.filter("cell IS NOT NULL").groupBy("cell").agg(F.sum("n").alias("n")).collect())  # 64 x 16 cells at most
+    if not rows:
+        return np.zeros(0, np.int64)
+    cell, n = np.array(rows).T
+    return np.unique(cell[np.searchsorted(np.cumsum(n), [n.sum() * k / fragments for k in range(1, fragments)])])
+
+
+#: What prefix_segments() writes: links within a part, least holders of prefix grams, sets, and their segments.
+LOCAL, STAR, NODE, SEGMENT = 0, 1, 2, 3
+HOLDER = np.dtype([("a", "<u8"), ("v", "<i8")])
+PLACED = "kind int, bucket int, u long, v long, n long, weight long, score double, body binary"
 
-    def prefixes(left: pa.Table, right: pa.Table) -> pa.Table:
-        schema = pa.schema([("bucket", pa.int32()), ("u", pa.int64()), ("v", pa.int64()), ("body", pa.binary())])
+
+def prefix_segments(sets: DataFrame, counts: DataFrame, cuts: np.ndarray, num: int, den: int, buckets: int) -> DataFrame:
+    """PLACED rows, from one pass over the sets with the counts of their grams. Links: (u, v). Stars: (bucket, body). Sets:
+    (u the node, n, weight, score: how frequent its grams are). Segments: (u the node, v the fragment, body: its grams
+    there that another class holds too)."""
+    schema = pa.schema([("kind", pa.int32()), ("bucket", pa.int32()), ("u", pa.int64()), ("v", pa.int64()), ("n", pa.int64()), ("weight", pa.int64()), ("score", pa.float64()), ("body", pa.binary())])
+
+    def place(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
             return schema.empty_table()
         known = np.sort(np.frombuffer(b"".join(right.column("body").to_pylist()), SEEN), order="a")
         known = known[np.append(True, known["a"][1:] != known["a"][:-1])] if len(known) else known
         flat, at = utf8(left.column("grams"))
         grams, at = np.frombuffer(flat.tobytes(), "<u8"), at // 8
-        n, node = np.diff(at), left.column("node").to_numpy()
+        n, node, weight = np.diff(at), left.column("node").to_numpy(), left.column("weight").to_numpy()
         k = np.minimum(np.searchsorted(known["a"], grams), max(len(known) - 1, 0))
-        count = np.where(known["a"][k] == grams, known["n"][k], 1) if len(known) else np.ones(len(grams), np.int64)
+        count = np.where(known["a"][k] == grams, known["n"][k], 1).astype(np.int64) if len(known) else np.ones(len(grams), np.int64)
         owner = np.repeat(np.arange(len(n)), n)
-        order = np.lexsort((grams, count, owner))
+        power = np.floor(np.log2(count)).astype(np.int64)
+        order = np.lexsort((grams, power, owner))
         nth = np.arange(len(grams)) - np.repeat(at[:-1], n)
         take = order[nth < np.repeat(missing(n, num, den) + 1, n)]
         take = take[count[take] > 1]
         g, who = grams[take], node[owner[take]]
-        order = np.lexsort((who, g))
-        g, who = g[order], who[order]
+        first = np.lexsort((who, g))
+        g, who = g[first], who[first]
         begin = np.flatnonzero(np.append(True, g[1:] != g[:-1])) if len(g) else np.zeros(0, np.int64)
         star = np.repeat(who[begin], np.diff(np.append(begin, len(g)))) if len(g) else who
-        local = np.unique(np.stack([who, star], axis=1)[who != star], axis=0)
-        out = np.empty(len(begin), np.dtype([("a", "<u8"), ("v", "<i8")]))
+        rows = [(LOCAL, None, int(a), int(b), None, None, None, None) for a, b in np.unique(np.stack([who, star], axis=1)[who != star], axis=0)]
+        out = np.empty(len(begin), HOLDER)
         out["a"], out["v"] = g[begin], who[begin]
         bucket = bucket_of(mix(out["a"]), buckets)
-        order = np.argsort(bucket, kind="stable")
-        out, bucket = out[order], bucket[order]
+        first = np.argsort(bucket, kind="stable")
+        out, bucket = out[first], bucket[first]
         cut = np.flatnonzero(np.diff(bucket, prepend=-1, append=-2))
-        rows = [(-1, int(a), int(b), None) for a, b in local] + [(int(bucket[i]), 0, 0, out[i:j].tobytes()) for i, j in zip(cut[:-1], cut[1:], strict=True)]
-        columns = list(zip(*rows, strict=True)) or [()] * 4
-        return pa.Table.from_arrays([pa.array(x, f.type) for x, f in zip(columns, schema, strict=True)], schema=schema)
+        rows += [(STAR, int(bucket[i]), None, None, None, None, None, out[i:j].tobytes()) for i, j in zip(cut[:-1], cut[1:], strict=True)]
+        score = np.bincount(owner, power, len(n)) / np.maximum(n, 1)
+        rows += [(NODE, None, int(u), None, int(size), int(w), float(x), None) for u, size, w, x in zip(node, n, weight, score, strict=True)]
+        order = order[count[order] > 1]  # rare to frequent within each set; a gram of one class overlaps with none
+        fragment = np.searchsorted(cuts, cell_of(grams[order], count[order]), "right")
+        cut = np.flatnonzero(np.diff(owner[order] * (FRAGMENTS + 1) + fragment, prepend=-1, append=-2))
+        rows += [(SEGMENT, None, int(node[owner[order[i]]]), int(fragment[i]), None, None, None, grams[order[i:j]].tobytes()) for i, j in zip(cut[:-1], cut[1:], strict=True)]
+        return pa.Table.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
+
+    return sets.select("part", "node", "weight", "grams").groupBy("part").cogroup(counts.filter("cell IS NULL").groupBy("part")).applyInArrow(place, PLACED)
+
+
+def prefix_links(placed: DataFrame) -> DataFrame:
+    """(u, v): classes that may link, as stars around the least holder of each gram in a prefix."""
 
     def stars(frame: pd.DataFrame) -> pd.DataFrame:
-        r = np.concatenate([np.frombuffer(x, np.dtype([("a", "<u8"), ("v", "<i8")])) for x in frame["body"]])
-        r = np.sort(r, order=["a", "v"])
+        r = np.sort(np.concatenate([np.frombuffer(x, HOLDER) for x in frame["body"]]), order=["a", "v"])
         begin = np.flatnonzero(np.append(True, r["a"][1:] != r["a"][:-1]))
         star = np.repeat(r["v"][begin], np.diff(np.append(begin, len(r))))
         pairs = np.unique(np.stack([r["v"], star], axis=1)[r["v"] != star], axis=0)
         return pd.DataFrame({"u": pairs[:, 0], "v": pairs[:, 1]})
 
-    rows = sets.select("part", "node", "grams").groupBy("part").cogroup(counts.groupBy("part")).applyInArrow(prefixes, "bucket int, u long, v long, body binary")
-    rows = materialise(rows, "prefixes")
-    across = rows.filter("bucket >= 0").groupBy("bucket").applyInPandas(stars, "u long, v long")
-    return rows.filter("bucket < 0").select("u", "v").union(across).distinct()
+    across = placed.filter(F.col("kind") == STAR).select("bucket", "body").groupBy("bucket").applyInPandas(stars, "u long, v long")
+    return placed.filter(F.col("kind") == LOCAL).select("u", "v").union(across).distinct()
 
 
 # ---- 3. vertical partitioning -----------------------------------------------------------------------
 
 
-def overlaps(left: list[np.ndarray], right: list[np.ndarray], fragment: int = FRAGMENT) -> np.ndarray:
-    """Of each pair the number of common grams: partial overlaps by fragment of the gram order, summed."""
+def overlaps(left: list[np.ndarray], right: list[np.ndarray], columns: int = COLUMNS) -> np.ndarray:
+    """Of each pair the number of common grams: products of incidence matrices of so many grams at a time, summed."""
     def flat(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
         return np.concatenate([np.zeros(0, np.uint64), *sets]), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
 
@@ -309,21 +357,15 @@ def overlaps(left: list[np.ndarray], right: list[np.ndarray], fragment: int = FR
     in_b = common[np.minimum(at_b, max(len(common) - 1, 0))] == b if len(common) else np.zeros(len(b), bool)
     at_a, row, at_b, column = at_a[in_a], row[in_a], at_b[in_b], column[in_b]
     total = np.zeros((len(left), len(right)), np.int64)
-    for f in range(0, len(common), fragment):
-        x, y = np.zeros((len(left), min(fragment, len(common) - f)), np.float32), np.zeros((len(right), min(fragment, len(common) - f)), np.float32)
-        i, j = (at_a >= f) & (at_a < f + fragment), (at_b >= f) & (at_b < f + fragment)
+    for f in range(0, len(common), columns):
+        x, y = np.zeros((len(left), min(columns, len(common) - f)), np.float32), np.zeros((len(right), min(columns, len(common) - f)), np.float32)
+        i, j = (at_a >= f) & (at_a < f + columns), (at_b >= f) & (at_b < f + columns)
         x[row[i], at_a[i] - f] = 1
         y[column[j], at_b[j] - f] = 1
         total += (x @ y.T).astype(np.int64)
     return total
 
 
-def linked(left: list[np.ndarray], right: list[np.ndarray], num: int, den: int) -> np.ndarray:
-    common = overlaps(left, right)
-    size = np.array([len(x) for x in left])[:, None] + np.array([len(x) for x in right])[None, :]
-    return den * common >= num * (size - common)
-
-
 def forest(hit: np.ndarray) -> list[tuple[int, int]]:
     """Links that connect what hit (symmetric) connects, one fewer than nodes in each tree."""
     n, out = len(hit), []
@@ -342,42 +384,128 @@ def forest(hit: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
-def group_links(sets: DataFrame, groups: DataFrame, num: int, den: int, buckets: int, block: int) -> DataFrame:
+def with_representatives(info: DataFrame, segments: DataFrame, num: int, den: int, block: int) -> DataFrame:
+    """(node, ball, common): of the members of groups larger than a block (info: grp, node, n, score, size) those within
+    half of the allowed distance of a representative, ball its node; round by round among those left, while some group
+    has more than a block of them."""
+    found: DataFrame | None = None
+    left = materialise(info, "left")
+    for _ in range(ROUNDS):
+        if left.isEmpty():
+            break
+        best = left.groupBy("grp").agg(F.max_by(F.struct("node", "n"), F.struct("score", "n", -F.col("node"))).alias("b"), F.count(F.lit(1)).alias("members"))
+        best = best.select("grp", F.col("b.node").alias("ball"), F.col("b.n").alias("ball_n"), F.ceil(F.col("members") / block).cast("int").alias("salts"))
+        mine = left.join(best, "grp").withColumn("salt", F.pmod(F.xxhash64("node"), F.col("salts")).cast("int"))
+        mine = mine.select("node", "ball", "salt").join(segments, "node").select("ball", "salt", "fragment", "node", "body")
+        # a representative's segments go to every salt of its group: no task holds a whole group
+        theirs = best.select(F.col("ball").alias("node"), "salts").join(segments, "node").select(F.col("node").alias("ball"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), "fragment", "body").toDF("ball", "salt", "fragment", "body")
+
+        def partial(members: pa.Table, centre: pa.Table) -> pa.Table:
+            kind = pa.schema([("node", pa.int64()), ("common", pa.int64())])
+            if not members.num_rows or not centre.num_rows:
+                return kind.empty_table()
+            grams = np.sort(np.frombuffer(centre.column("body")[0].as_py(), "<u8"))
+            n = [int(np.isin(np.frombuffer(x, "<u8"), grams).sum()) for x in members.column("body").to_pylist()]
+            return pa.table([members.column("node").combine_chunks(), pa.array(n, pa.int64())], schema=kind)
+
+        keys = ["ball", "salt", "fragment"]
+        common = mine.groupBy(*keys).cogroup(theirs.groupBy(*keys)).applyInArrow(partial, "node long, common long").groupBy("node").agg(F.sum("common").alias("common"))
+        near = left.join(best.select("grp", "ball", "ball_n"), "grp").join(common, "node", "left").withColumn("common", F.when(F.col("node") == F.col("ball"), F.col("n")).otherwise(F.coalesce("common", F.lit(0))))
+        union = F.col("n") + F.col("ball_n") - F.col("common")
+        near = materialise(near.withColumn("inside", F.lit(2 * den) * F.col("common") >= F.lit(den + num) * union), "near")
+        inside = near.filter("inside").select("node", "ball")
+        found = inside if found is None else found.union(inside)
+        rest = near.filter("NOT inside").select(info.columns)
+        large = rest.groupBy("grp").agg(F.count(F.lit(1)).alias("m")).filter(F.col("m") > block).select("grp")
+        left = materialise(rest.join(large, "grp", "left_semi"), "left")
+    return found if found is not None else info.select("node", F.col("node").alias("ball")).limit(0)
+
+
+def group_links(placed: DataFrame, groups: DataFrame, num: int, den: int, buckets: int, block: int) -> DataFrame:
     """(u, v, links): links of a spanning forest with links null, and for each class u (v null) how many documents of
     other classes it links with."""
-    members = sets.select("node", "weight", "grams").join(groups.select("node", F.col("component").alias("grp")), "node")
-    sizes = groups.groupBy(F.col("component").alias("grp")).agg(F.count(F.lit(1)).alias("size"))
-    members = members.join(sizes, "grp").withColumn("blocks", F.ceil(F.col("size") / block).cast("int"))
-    members = members.withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    alone = F.col("blocks") == 1
-    members = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    # groups of one block share tasks; of larger ones each pair of blocks is a task
-    key = F.when(alone, F.pmod(F.xxhash64("grp"), F.lit(buckets * 4))).otherwise(F.xxhash64("grp", F.least("own", "other"), F.greatest("own", "other")))
-    members = members.select(key.alias("key"), "grp", "own", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "node", "weight", "grams")
-
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
+    info = placed.filter(F.col("kind") == NODE).select(F.col("u").alias("node"), "n", "weight", "score").join(groups.select("node", F.col("component").alias("grp")), "node")
+    sizes = info.groupBy("grp").agg(F.count(F.lit(1)).alias("size"))
+    info = materialise(info.join(sizes, "grp"), "members")
+    segments = placed.filter(F.col("kind") == SEGMENT).select(F.col("u").alias("node"), F.col("v").alias("fragment"), "body")
+    balls = materialise(with_representatives(info.filter(F.col("size") > block), segments, num, den, block), "balls")
+    # within a ball: a star around the representative, and all others of the ball
+    member = info.join(balls, "node").select("node", "ball", "weight")
+    whole = member.groupBy("ball").agg(F.sum("weight").alias("all"))
+    in_ball = member.filter("node <> ball").select(F.col("node").alias("u"), F.col("ball").alias("v"), F.lit(None).cast("long").alias("links"))
+    in_ball = in_ball.union(member.join(whole, "ball").select(F.col("node").alias("u"), F.lit(None).cast("long").alias("v"), (F.col("all") - F.col("weight")).alias("links")))
+
+    # blocks: of each ball, and of the members of a group in none; pairs of blocks, but for two of one ball
+    info = info.join(balls, "node", "left").withColumn("loose", F.col("ball").isNull()).withColumn("ball", F.coalesce("ball", "grp"))
+    parts_of = info.groupBy("grp", "ball", "loose").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("cuts"))
+    info = info.join(parts_of, ["grp", "ball", "loose"]).withColumn("cut", F.pmod(F.xxhash64("node", F.lit(5)), F.col("cuts")).cast("int"))
+    x, y = (parts_of.select("grp", *(F.col(c).alias(f"{c}_{k}") for c in ("ball", "loose", "cuts"))) for k in ("x", "y"))
+    order = F.struct("loose_x", "ball_x") < F.struct("loose_y", "ball_y")
+    same = F.col("loose_x") & F.col("loose_y")
+    pairs = x.join(y, "grp").filter(same | order)  # a few balls a group
+    pairs = pairs.withColumn("cut_x", F.explode(F.sequence(F.lit(0), F.col("cuts_x") - 1))).withColumn("cut_y", F.explode(F.sequence(F.when(same, F.col("cut_x")).otherwise(0), F.col("cuts_y") - 1)))
+    total = info.agg(F.sum("n")).first()[0] or 0
+    shared = max(buckets * 4, -(-total // TASK_GRAMS))
+    alone = same & (F.col("cuts_x") == 1) & (F.col("cuts_y") == 1)
+    # pairs of small groups share tasks; each pair of blocks of a large one is a task
+    one = F.xxhash64("grp", "ball_x", "loose_x", "cut_x", "ball_y", "loose_y", "cut_y")
+    pairs = pairs.withColumns({"pair": one, "key": F.when(alone, F.pmod(F.xxhash64("grp"), F.lit(shared))).otherwise(one)})
+    both = same & (F.col("cut_x") == F.col("cut_y"))
+    sides = pairs.select("key", "pair", "grp", F.col("ball_x").alias("ball"), F.col("loose_x").alias("loose"), F.col("cut_x").alias("cut"), F.when(both, 2).otherwise(0).alias("side"))
+    sides = sides.union(pairs.filter(~both).select("key", "pair", "grp", "ball_y", "loose_y", "cut_y", F.lit(1)))
+    rows = materialise(info.join(sides, ["grp", "ball", "loose", "cut"]).select("key", "pair", "side", "node", "n", "weight"), "pairs")
+
+    def partial(frame: pd.DataFrame) -> pd.DataFrame:
+        """One fragment of one task: (key, pair, body), the partial overlaps of each pair of classes."""
+        out = []
+        for pair, r in frame.groupby("pair", sort=False):
+            node, n, side = r["node"].to_numpy(), r["n"].to_numpy(), r["side"].to_numpy()
+            held = [np.frombuffer(x, "<u8") for x in r["body"]]
+            a, b = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
+            common = overlaps([held[i] for i in a], [held[i] for i in b])
+            # of a block with itself each pair once; sizes that are too far apart can't link
+            some = (common > 0) & (np.minimum(n[a][:, None], n[b][None, :]) * den >= num * np.maximum(n[a][:, None], n[b][None, :]))
+            if (side == 2).any():
+                some &= a[:, None] < b[None, :]
+            i, j = np.nonzero(some)
+            if len(i):
+                body = np.empty(len(i), PAIR)
+                body["u"], body["v"], body["n"] = node[a[i]], node[b[j]], common[i, j]
+                swap = body["u"] > body["v"]
+                body["u"][swap], body["v"][swap] = body["v"][swap], body["u"][swap]
+                out.append((int(frame["key"].iloc[0]), int(pair), body.tobytes()))
+        trim()
+        return pd.DataFrame(out, columns=["key", "pair", "body"])
+
+    counted = rows.join(segments, "node").select("key", "pair", "side", "fragment", "node", "n", "body").groupBy("key", "fragment").applyInPandas(partial, "key long, pair long, body binary")
+    ends = rows.select("key", "pair", "node", "n", "weight", F.lit(None).cast("binary").alias("body")).unionByName(counted.withColumns({c: F.lit(0).cast("long") for c in ("node", "n", "weight")}))  # a null long would turn into a float in pandas
+
+    def decide(frame: pd.DataFrame) -> pd.DataFrame:
+        """One task: the partial overlaps of each pair summed over fragments, and what links."""
         edges: list[tuple[int, int]] = []
-        counts: list[tuple[int, int]] = []
-        for (_, low, high), rows in frame.groupby(["grp", "low", "high"], sort=False):
-            node, weight, own = rows["node"].to_numpy(), rows["weight"].to_numpy(), rows["own"].to_numpy()
-            held = [np.frombuffer(x, "<u8") for x in rows["grams"]]
-            if low == high:
-                hit = linked(held, held, num, den)
-                np.fill_diagonal(hit, False)
-            else:
-                a, b = np.flatnonzero(own == low), np.flatnonzero(own == high)
-                hit = np.zeros((len(node), len(node)), bool)
-                hit[np.ix_(a, b)] = linked([held[i] for i in a], [held[i] for i in b], num, den)
-                hit |= hit.T
-            edges += [(int(node[u]), int(node[v])) for u, v in forest(hit)]
-            n = hit @ weight
-            counts += [(int(node[i]), int(n[i])) for i in np.flatnonzero(n)]
-        u = [a for a, _ in edges] + [a for a, _ in counts]
-        v = [b for _, b in edges] + [None] * len(counts)
+        links: list[tuple[int, int]] = []
+        for _, r in frame.groupby("pair", sort=False):
+            known = r[r["body"].isna()]
+            got = np.concatenate([np.zeros(0, PAIR), *(np.frombuffer(x, PAIR) for x in r["body"].dropna())])
+            if not len(got):
+                continue
+            got = np.sort(got, order=["u", "v"])
+            begin = np.flatnonzero(np.append(True, (got["u"][1:] != got["u"][:-1]) | (got["v"][1:] != got["v"][:-1])))
+            u, v, common = got["u"][begin], got["v"][begin], np.add.reduceat(got["n"], begin)
+            by = known.sort_values("node")
+            node, n, weight = (by[c].to_numpy(np.int64) for c in ("node", "n", "weight"))
+            i, j = np.searchsorted(node, u), np.searchsorted(node, v)
+            ok = den * common >= num * (n[i] + n[j] - common)
+            hit = np.zeros((len(node), len(node)), bool)
+            hit[i[ok], j[ok]] = hit[j[ok], i[ok]] = True
+            edges += [(int(node[a]), int(node[b])) for a, b in forest(hit)]
+            m = hit @ weight
+            links += [(int(node[k]), int(m[k])) for k in np.flatnonzero(m)]
+        u, v = [a for a, _ in edges] + [a for a, _ in links], [b for _, b in edges] + [None] * len(links)
         trim()
-        return pd.DataFrame({"u": pd.array(u, "Int64"), "v": pd.array(v, "Int64"), "links": pd.array([None] * len(edges) + [n for _, n in counts], "Int64")})
+        return pd.DataFrame({"u": pd.array(u, "Int64"), "v": pd.array(v, "Int64"), "links": pd.array([None] * len(edges) + [m for _, m in links], "Int64")})
 
-    return members.groupBy("key").applyInPandas(run, "u long, v long, links long")
+    return ends.groupBy("key").applyInPandas(decide, "u long, v long, links long").union(in_ball)
 
 
 def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buckets: int | None = None, block: int = GROUP_BLOCK) -> DataFrame:
@@ -394,8 +522,12 @@ def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buck
     classes = materialise(classes, "classes")
     chosen = may_link(docs, classes, gram, num, den, buckets).select(F.col("first.doc_id").alias("doc_id"), F.col("first.rid").alias("rid"), "weight")
     sets = materialise(set_parts(docs, chosen, gram), "sets")
-    groups = components(prefix_links(sets, gram_counts(sets, buckets), num, den, buckets))
-    links = materialise(group_links(sets, groups, num, den, buckets, block), "links")
+    counts = materialise(gram_counts(sets, buckets), "counts")
+    placed = materialise(prefix_segments(sets, counts, fragment_cuts(counts), num, den, buckets), "placed")
+    discard(sets, counts)
+    groups = components(prefix_links(placed))
+    links = materialise(group_links(placed, groups, num, den, buckets, block), "links")
+    discard(placed)
     reach = components(links.filter("v IS NOT NULL").select("u", "v"))
     count = links.filter("v IS NULL").groupBy(F.col("u").alias("node")).agg(F.sum("links").alias("links"))
     nodes = classes.select("c1", "c2", F.col("first.rid").alias("node"), "first", "weight")

@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, materialise, mix, parts, run_ends, sliding_min, trim, utf8, word_hashes, words_in_documents
+from relayout.llm.shared import BLOCK, BYTE_ONE, BYTE_TWO, NO_ID, TWO, Rolling, blocks, discard, in_pieces, materialise, mix, parts, run_ends, sliding_min, trim, utf8, word_hashes, word_twins, words_in_documents
 
 PLACE = np.uint64((1 << 30) - 1)
 PART_BYTES = 1_000_000
@@ -68,15 +68,14 @@ class Block:
     unit_end: np.ndarray | None
 
 
-def units(search: Search, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray | None, np.ndarray | None]:
+def units(search: Search, data: np.ndarray, offsets: np.ndarray, both: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray | None, np.ndarray | None]:
+    """Two independent hashes of each unit (of words the second only if both are asked for), where documents begin, and
+    where words begin and end."""
     if not search.words:
         return BYTE_ONE[data], BYTE_TWO[data], offsets, None, None
     starts, ends, at = words_in_documents(data, offsets)
-    one = np.empty(len(starts), np.uint64)
-    for k in range(0, len(starts), 200_000):  # sums over bytes need memory, and a text may be long
-        a, b = starts[k : k + 200_000], ends[k : k + 200_000]
-        one[k : k + 200_000] = word_hashes(data[a[0] : b[-1]], a - a[0], b - a[0])
-    return one, mix(one ^ np.uint64(0x5851F42D4C957F2D)), at, starts, ends
+    one = in_pieces(word_hashes, data, starts, ends)
+    return one, in_pieces(word_twins, data, starts, ends) if both else one, at, starts, ends
 
 
 def read_blocks(search: Search, data: np.ndarray, offsets: np.ndarray) -> Iterator[Block]:
@@ -90,7 +89,7 @@ def read_blocks(search: Search, data: np.ndarray, offsets: np.ndarray) -> Iterat
                 own = np.array([[s - f, min(high, s + BLOCK) - f]])
                 yield Block(BYTE_ONE[part], BYTE_TWO[part], np.array([0, t - f]), np.array([a]), np.array([f - low]), own, np.arange(f, t), None)
             continue
-        one, two, at, starts, ends = units(search, data[low:high], offsets[a : b + 1] - low)
+        one, two, at, starts, ends = units(search, data[low:high], offsets[a : b + 1] - low, both=False)
         own = np.stack([at[:-1], at[1:]], axis=1)
         if starts is None:
             starts, ends = low + np.arange(high - low), None

@@ -11,7 +11,7 @@ import ctypes
 import gc
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -231,6 +231,20 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return Rolling(BYTE_ONE[data]).of(starts, ends)
 
 
+def word_twins(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A second hash of each word, independent of the first: other values of bytes, other powers."""
+    return Rolling(BYTE_TWO[data], TWO).of(starts, ends)
+
+
+def in_pieces(hashes: Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray], data: np.ndarray, starts: np.ndarray, ends: np.ndarray, size: int = 200_000) -> np.ndarray:
+    """hashes of all words, so many at a time: sums over bytes need memory, and a text may be long."""
+    out = np.empty(len(starts), np.uint64)
+    for k in range(0, len(starts), size):
+        a, b = starts[k : k + size], ends[k : k + size]
+        out[k : k + size] = hashes(data[a[0] : b[-1]], a - a[0], b - a[0])
+    return out
+
+
 def sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     """Minimum of each window, by doubling."""
     n, span = len(x) - width + 1, 1
