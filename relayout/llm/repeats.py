@@ -36,6 +36,7 @@ PLACE = np.uint64((1 << 30) - 1)
 PART_BYTES = 1_000_000
 FLUSH = 1_000_000
 RECORD = np.dtype([("a", "<u8"), ("b", "<u8"), ("doc", "<i8"), ("p", "<i4"), ("n", "<i4")])
+ASK = np.dtype([("f", "<u8"), ("rid", "<i8")])
 REPLY = np.dtype([("a", "<u8"), ("b", "<u8"), ("first", "<u1")])
 
 
@@ -222,10 +223,9 @@ def decide(replies: np.ndarray, a: np.ndarray, b: np.ndarray, doc: np.ndarray, p
 
 
 def fingerprints(docs: DataFrame, search: Search, buckets: int) -> DataFrame:
-    """(bucket, echo, body): anchors' fingerprints as (32 bits below the bucket's, rid). One that stands once in a task
+    """(bucket, kind, body): anchors' fingerprints as (64 bits, rid). One that stands once in a task
     asks its bucket; of one that stands several times the bucket gets a single note, and its documents an echo, which
     goes to any bucket: they need no answer."""
-    fields = np.dtype([("f", "<u4"), ("rid", "<i8")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, np.ndarray]] = []
@@ -247,7 +247,7 @@ def fingerprints(docs: DataFrame, search: Search, buckets: int) -> DataFrame:
         h, rid = (np.concatenate(x) for x in zip(*held, strict=True))
         order = np.lexsort((rid, h))
         h, rid = h[order], rid[order]
-        bucket, low = bucket_of(h, buckets), h.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)
+        bucket = bucket_of(h, buckets)
         new = np.ones(len(h), bool)
         new[1:] = h[1:] != h[:-1]
         begin = np.flatnonzero(new)
@@ -258,8 +258,8 @@ def fingerprints(docs: DataFrame, search: Search, buckets: int) -> DataFrame:
         rows: list[tuple[int, int, bytes]] = []
         # kind 0: asks; 1: a note that it is repeated; 2: an echo
         for kind, pick in ((0, once), (1, new & ~once), (2, ~once & other)):
-            b, x = bucket[pick], np.empty(int(pick.sum()), fields)
-            x["f"], x["rid"] = low[pick], rid[pick]
+            b, x = bucket[pick], np.empty(int(pick.sum()), ASK)
+            x["f"], x["rid"] = h[pick], rid[pick]
             if kind == 1:
                 x["rid"] = 0
             cut = np.flatnonzero(np.diff(b, prepend=-1, append=-2))
@@ -270,9 +270,6 @@ def fingerprints(docs: DataFrame, search: Search, buckets: int) -> DataFrame:
     return docs.select("rid", "text").mapInArrow(run, "bucket int, kind int, body binary")
 
 
-ASK = np.dtype([("f", "<u4"), ("rid", "<i8")])
-
-
 def shared_fingerprints(asked: np.ndarray, noted: np.ndarray, known: np.ndarray | None = None) -> np.ndarray:
     """Of sorted asks those whose fingerprint stands elsewhere too: twice among the asks, in a note, or known."""
     f = asked["f"]
@@ -286,10 +283,10 @@ def shared_fingerprints(asked: np.ndarray, noted: np.ndarray, known: np.ndarray
     return asked[twice]
 
 
-def answers(hit: np.ndarray, bucket: int) -> tuple[np.ndarray, list[bytes]]:
-    """Hits by document: rids, and the fingerprints of each with the bucket's number above."""
+def answers(hit: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
+    """Hits by document: rids, and the fingerprints of each."""
     hit = hit[np.argsort(hit["rid"], kind="stable")]
-    full = hit["f"].astype("<u8") | np.uint64(int(bucket) << 32)
+    full = np.ascontiguousarray(hit["f"])
     cut = np.flatnonzero(np.diff(hit["rid"], prepend=0, append=0) | (np.arange(len(hit) + 1) == 0) | (np.arange(len(hit) + 1) == len(hit))) if len(hit) else np.zeros(1, np.int64)
     return hit["rid"][cut[:-1]], [full[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)]
 
@@ -297,16 +294,16 @@ def answers(hit: np.ndarray, bucket: int) -> tuple[np.ndarray, list[bytes]]:
 def ask_once(entries: DataFrame) -> DataFrame:
     """(rid, body): the repeated fingerprints of each document."""
 
-    def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
         kinds = {k: np.sort(np.concatenate([np.frombuffer(x, ASK) for x in frame["body"][frame["kind"] == k]] or [np.zeros(0, ASK)]), order="f", kind="stable") for k in (0, 1, 2)}
         hit = np.concatenate([shared_fingerprints(kinds[0], kinds[1]), kinds[2]])
-        rids, bodies = answers(hit, key[0])
+        rids, bodies = answers(hit)
         return pd.DataFrame({"rid": rids, "body": bodies})
 
     return entries.groupBy("bucket").applyInPandas(run, "rid long, body binary")
 
 
-def pieces(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> DataFrame:
+def pieces(docs: DataFrame, hits: DataFrame, search: Search) -> DataFrame:
     """(part, doc_id, rid, start, body, anchors): stretches of the documents with repeated anchors. anchors: triples of
     place, first and last window within the stretch. part: at most about PART_BYTES of one task's stretches."""
     per_doc = hits.groupBy("rid").agg(F.collect_list("body").alias("found"))
@@ -322,11 +319,10 @@ def pieces(docs: DataFrame, hits: DataFrame, search: Search, buckets: int) -> Da
             rows: list[tuple[int, int, int, int, bytes, bytes]] = []
             for block in read_blocks(search, data, offsets):
                 s, p, lo, hi, h = anchors(search, block)
-                full = (bucket_of(h, buckets).astype(np.uint64) << np.uint64(32)) | (h * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32))
                 cut = np.searchsorted(s, np.arange(len(block.doc) + 1))
                 keep = np.zeros(len(s), bool)
                 for i, d in enumerate(block.doc):
-                    keep[cut[i] : cut[i + 1]] = np.isin(full[cut[i] : cut[i + 1]], known[d])
+                    keep[cut[i] : cut[i + 1]] = np.isin(h[cut[i] : cut[i + 1]], known[d])
                 s, p, lo, hi = s[keep], p[keep], lo[keep], hi[keep]
                 c0, c1 = np.maximum(p - w + 1, block.at[s]), np.minimum(p + w, block.at[s + 1])
                 apart = np.ones(len(s), bool)
@@ -546,7 +542,7 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
 
     docs: (doc_id, rid, text) as keyed() gives it; hits: (rid, body), the repeated fingerprints of each document; spent:
     written tables that only hits needs."""
-    found = materialise(pieces(docs, hits, search, buckets), "pieces")
+    found = materialise(pieces(docs, hits, search), "pieces")
     discard(*spent)
 
     def of_contexts(x: Stretches) -> pa.RecordBatch:

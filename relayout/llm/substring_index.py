@@ -1,10 +1,14 @@
 """Substring dedup over words by a log-structured fingerprint index.
 
-The index is a list of immutable runs. A run has, for each bucket of the fingerprint space, the sorted fingerprints of
-the anchors of one batch of documents (relayout.llm.repeats): with the document's rid where it is the only holder so far,
-without one where several hold it. Adding a batch merge-joins its sorted fingerprints with the runs, bucket by bucket,
-and gives the batch's and, once, the historical document's hits. A new run is written each time; beyond ``fanout`` runs
-they are compacted into one. Hits are then verified: their windows are compared by 128-bit hashes of all words.
+The index is a list of immutable runs. A run has, for each bucket of the fingerprint space, the sorted 64-bit hashes of
+the anchor windows (relayout.llm.repeats) of one batch of documents: with the document's rid where it is the only holder
+so far, without one where several hold it. Adding a batch merge-joins its sorted fingerprints with the runs, bucket by
+bucket, and gives the batch's and, once, the historical document's hits. A new run is written each time; when a batch
+comes and there are more than ``fanout`` runs, they are compacted into one first. Hits are then verified: their windows
+are compared by 128-bit hashes of all words.
+
+The index lives on: ``save`` writes runs and hits below a path, ``open`` reads them in another session, and ``repeated``
+takes a batch and tells what of it stood before, reading the batch, and of the history only documents with hits.
 
 A fingerprint that a third of all documents hold is one entry of a run.
 """
@@ -12,7 +16,9 @@ A fingerprint that a third of all documents hold is one entry of a run.
 from __future__ import annotations
 
 import hashlib
+import json
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -23,7 +29,8 @@ from pyspark.sql import functions as F
 from relayout.llm.repeats import ASK, Search, answers, default_buckets, find, fingerprints, ranges_of, unnull, with_ranges
 from relayout.llm.shared import keyed, materialise, table, utf8
 
-WINDOW, GRAM, FANOUT, BATCHES = 20, 8, 2, 3
+#: With three batches and one run at most, the third batch is merged with a compacted run.
+WINDOW, GRAM, FANOUT, BATCHES = 20, 8, 1, 3
 HIT, RUN = 0, 1
 MERGED = "kind int, bucket int, rid long, body binary"
 
@@ -58,7 +65,7 @@ def _merge(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
     twice |= np.isin(f, notes["f"]) | np.isin(f, history["f"])
     # a single holder in the history hears of it once; the new run's entry without a rid says that it has
     woken = history[(history["rid"] != 0) & (np.isin(history["f"], f) | np.isin(history["f"], notes["f"]))]
-    rids, bodies = answers(np.concatenate([asks[twice], woken, echoes]), key[0])
+    rids, bodies = answers(np.concatenate([asks[twice], woken, echoes]))
     single, shared = asks[~twice], np.unique(np.concatenate([f[twice], notes["f"]]))
     fresh = np.zeros(len(shared), ASK)
     fresh["f"] = shared
@@ -79,28 +86,58 @@ class SubstringIndex:
     def __init__(self, spark: SparkSession, search: Search, buckets: int, fanout: int = FANOUT):
         self.spark, self.search, self.buckets, self.fanout = spark, search, buckets, fanout
         self.runs: list[DataFrame] = []
+        self.hits: list[DataFrame] = []
         self.written: list[DataFrame] = []
 
     def add(self, docs: DataFrame) -> DataFrame:
         """docs as keyed() gives them; (rid, body) of hits, of this batch and of earlier ones."""
+        if len(self.runs) > self.fanout:
+            self.compact()
         rows = fingerprints(docs, self.search, self.buckets)
         for run in self.runs:
             rows = rows.union(run.select("bucket", F.lit(3).alias("kind"), "body"))
         merged = materialise(rows.groupBy("bucket").applyInPandas(_merge, MERGED), "index")
         self.written.append(merged)
         self.runs.append(merged.filter(F.col("kind") == RUN))
-        if len(self.runs) > self.fanout:
-            self.compact()
-        return merged.filter(F.col("kind") == HIT).select("rid", "body")
+        self.hits.append(merged.filter(F.col("kind") == HIT).select("rid", "body"))
+        return self.hits[-1]
+
+    def all_hits(self) -> DataFrame:
+        return reduce(DataFrame.union, self.hits)
 
     def compact(self) -> None:
-        rows = self.runs[0]
-        for run in self.runs[1:]:
-            rows = rows.union(run)
-        rows = rows.select("bucket", F.lit(3).alias("kind"), "body").groupBy("bucket").applyInPandas(_compact, MERGED)
+        rows = reduce(DataFrame.union, self.runs).select("bucket", F.lit(3).alias("kind"), "body").groupBy("bucket").applyInPandas(_compact, MERGED)
         self.runs = [materialise(rows, "compacted")]
         self.written.append(self.runs[0])
 
+    def repeated(self, docs: DataFrame, history: DataFrame) -> DataFrame:
+        """Adds a batch, and gives (doc_id, rid, found) of its documents that hold a window which stands earlier, in the batch
+        or in the history: what was added before, as keyed() gives it. Ids rise from batch to batch."""
+        self.add(docs)
+        hits = self.all_hits()
+        told = hits.select("rid").distinct()
+        both = docs.select("doc_id", "rid", "text").unionByName(history.select("doc_id", "rid", "text").join(told, "rid", "left_semi"))
+        found = find(both, hits, self.search, self.buckets)
+        return found.join(docs.select("doc_id", "rid").distinct(), ["doc_id", "rid"], "left_semi")
+
+    def save(self, path: str) -> None:
+        """Runs, hits and parameters below path, which must not exist."""
+        s = self.search
+        about = json.dumps({"window": s.window, "gram": s.gram, "buckets": self.buckets, "fanout": self.fanout, "runs": len(self.runs)})
+        for k, run in enumerate(self.runs):
+            run.write.parquet(f"{path}/run{k}")
+        if self.hits:
+            self.all_hits().write.parquet(f"{path}/hits")
+        self.spark.createDataFrame([(about,)], "about string").coalesce(1).write.text(f"{path}/about")  # last: it says that all is there
+
+    @classmethod
+    def open(cls, spark: SparkSession, path: str) -> SubstringIndex:
+        about = json.loads(spark.read.text(f"{path}/about").first()[0])
+        out = cls(spark, Search(words=True, window=about["window"], gram=about["gram"], later=True), about["buckets"], about["fanout"])
+        out.runs = [spark.read.schema(MERGED).parquet(f"{path}/run{k}") for k in range(about["runs"])]
+        out.hits = [spark.read.schema("rid long, body binary").parquet(f"{path}/hits")] if about["runs"] else []
+        return out
+
 
 def in_batches(docs: DataFrame, n: int) -> list[DataFrame]:
     """docs (doc_id, ...) cut by doc_id into about equal batches, in order; null ids come first."""
@@ -131,12 +168,10 @@ def repeated_words(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, buck
     search = Search(words=True, window=window, gram=gram, later=True)
     buckets = buckets or default_buckets(docs)
     index = SubstringIndex(docs.sparkSession, search, buckets)
-    hits = None
     docs = one_of_equals(keyed(docs))
     for batch in in_batches(docs, batches):
-        found = index.add(batch)
-        hits = found if hits is None else hits.union(found)
-    return with_ranges(docs, find(docs, hits, search, buckets, tuple(index.written)))
+        index.add(batch)
+    return with_ranges(docs, find(docs, index.all_hits(), search, buckets, tuple(index.written)))
 
 
 def kept(text: bytes, ranges: np.ndarray) -> tuple[int, bytes]:

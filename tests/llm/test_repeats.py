@@ -7,6 +7,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from relayout.llm import jaccard, repeats, substring_index, suffix_dedup
@@ -131,13 +132,56 @@ def test_index_runs_are_compacted(spark):
     for k in range(5):
         found = index.add(docs.filter(f"doc_id % 5 = {k}"))
         hits = found if hits is None else hits.union(found)
-        assert len(index.runs) <= 2
+        assert len(index.runs) <= 3  # two, and the batch's own
     whole = one.add(docs)
     pairs = lambda h: {(r.rid, x) for r in h.collect() for x in np.frombuffer(r.body, "<u8").tolist()}
     # added at once or in batches, the same documents are hit by the same fingerprints
     assert pairs(hits) == pairs(whole)
 
 
+def test_index_lives_on(spark, tmp_path):
+    rows = sorted((r for r in corpus(8, 70) if r[0] >= 0), key=lambda r: r[0])
+    docs = keyed(frame(spark, rows)).persist()
+    search = repeats.Search(words=True, window=8, gram=3, later=True)
+    cuts, got = [0, 20, 40, 60, 100], {}
+    index = substring_index.SubstringIndex(spark, search, 4, fanout=1)
+    for k in range(4):
+        batch, history = docs.filter(f"doc_id >= {cuts[k]} AND doc_id < {cuts[k + 1]}"), docs.filter(f"doc_id < {cuts[k]}")
+        for r in index.repeated(batch, history).collect():
+            got[r.doc_id] = repeats.ranges_of(r.found)
+        index.save(f"{tmp_path}/{k}")
+        index = substring_index.SubstringIndex.open(spark, f"{tmp_path}/{k}")  # each batch by another index
+        assert len(index.runs) <= 2
+    want = {doc_id: n for doc_id, _, n, _ in brute_words(rows, 8) if n}
+    assert {k: int((r[:, 1] - r[:, 0]).sum()) for k, r in got.items()} == want
+
+
+def test_columns_that_clash(spark):
+    rows = corpus(2)
+    docs = frame(spark, rows).selectExpr("doc_id", "text", *(f"7 AS {c}" for c in ("rid", "found", "copies", "n", "c1", "node", "component", "part", "bucket")))
+    assert sorted(map(tuple, substring_index.digest(docs, window=8, gram=3).collect())) == brute_words(rows, 8)
+    got = jaccard.join(keyed(docs), gram=2, num=60)
+    assert sorted((r.doc_id, r.n_shingles, r.component_id, r.n_links) for r in got.collect()) == brute_join(rows, 2, 60, 100)
+
+
+def test_large_groups_are_not_compared_pair_by_pair(spark):
+    draw = random.Random(5)
+    base = [f"t{k}" for k in range(300)]
+    rows = [(0, " ".join(base))]
+    for i in range(1, 120):
+        words = list(base)
+        words[draw.randrange(300)] = f"own{i}"
+        rows.append((i, " ".join(words)))
+    docs = keyed(frame(spark, rows))
+    classes = jaccard.join(docs, block=8)
+    assert sorted((r.doc_id, r.n_shingles, r.component_id, r.n_links) for r in classes.collect()) == brute_join(rows, 5, 80, 100)
+    info = spark.createDataFrame([(1, k, 296, 1.0 + (k == 0)) for k in range(120)], "grp long, node long, n long, score double")
+    sets = {k: next(iter(jaccard.gram_sets(pa.array([t]), 5)))[1] for k, t in rows}
+    segments = spark.createDataFrame([(k, 0, bytearray(x.tobytes())) for k, x in sets.items()], "node long, fragment long, body binary")
+    balls = jaccard.with_representatives(info, segments, 80, 100, 8).collect()
+    assert len(balls) == 120 and {r.ball for r in balls} == {0}  # the common ancestor is everybody's representative
+
+
 def brute_sets(rows, gram):
     out = []
     for doc_id, text in rows:
