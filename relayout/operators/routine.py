@@ -3,20 +3,23 @@
 Rows at rest carry the site that holds them and lie in the partition of that number. The relabeling is planned from the
 descriptors; only rows whose site changes cross an exchange (the local bypass), once, to the partition of their new
 site; scaling and conjugation happen on receipt. What stays is folded with beta * A where it lies, and one join on the
-site's own partitions adds what arrives.
+site's own partitions adds what arrives. Each cell stands at most once in B and in A.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import reduce
+from math import prod
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from relayout.plans.cost import Cost
-from relayout.plans.layout import Layout
-from relayout.plans.relabel import Plan, find_matrix_relabeling, find_relabeling, sigma_expr
+from relayout.plans.layout import Layout, Splits
+from relayout.plans.overlay import layout_parcels, parcels_from_rows, tensor_parcels
+from relayout.plans.relabel import Plan, find_matrix_relabeling, find_relabeling, op_layout, sigma_expr
 
 OPS = ("identity", "transpose", "conj_transpose", "conj")
 
@@ -69,42 +72,65 @@ def _checked(t: Task) -> None:
         raise ValueError("beta needs A")
 
 
-def rows_of(t: Task, sigma: list[int], send: bool) -> DataFrame:
-    """(i, j, v, src, pid, kind): B's cells at their place in A, and A's cells (kind 1) at home."""
+def rows_of(t: Task, sigma: list[int], send: bool, a_home: str = "relabelled") -> DataFrame:
+    """(i, j, v, src, pid, kind): B's cells at their place in A, and A's cells (kind 1) where A lies: at the relabelled
+    site, or with a_home 'original' at the site of the layout as it was, so that a moved role moves A's content too."""
     complex_ = is_complex(t.b)
     turn = t.op in ("transpose", "conj_transpose")
     i, j = (F.col("j"), F.col("i")) if turn else (F.col("i"), F.col("j"))
     v = _apply(F.col("v"), t.alpha, t.op, complex_) if send else F.col("v")
     b = t.b.select(i.alias("i"), j.alias("j"), v.alias("v"), t.lb.owner_of(F.col("i"), F.col("j")).alias("src"), F.lit(0).alias("kind"))
-    target = sigma_expr(sigma, t.la.owner_of(F.col("i"), F.col("j")))
+    role = t.la.owner_of(F.col("i"), F.col("j"))
+    target = sigma_expr(sigma, role)
     rows = b.withColumn("pid", target)
     if t.beta:
-        rows = rows.unionByName(t.a.select("i", "j", "v", target.alias("src"), F.lit(1).alias("kind"), target.alias("pid")))
+        home = role if a_home == "original" else target
+        rows = rows.unionByName(t.a.select("i", "j", "v", home.alias("src"), F.lit(1).alias("kind"), target.alias("pid")))
     return rows
 
 
-def assemble(t: Task, rows: DataFrame, n: int, send: bool, bypass: bool = True) -> DataFrame:
-    """(i, j, v, pid): the target's cells in the partition of their site."""
-    complex_ = is_complex(t.b)
-    got = F.col("v") if send else _apply(F.col("v"), t.alpha, t.op, complex_)
+def assemble(tasks: list[Task], rows: DataFrame, n: int, send: bool, bypass: bool = True) -> DataFrame:
+    """(mat, i, j, v, pid): the targets' cells in the partition of their site. rows: those of all tasks, with mat their number;
+    all that moves, of all tasks, crosses one exchange, and is transformed on receipt."""
+    complex_ = is_complex(tasks[0].b)
+
+    def received(v: Column) -> Column:
+        return v if send else _of_task(tasks, lambda t: _apply(v, t.alpha, t.op, complex_))
+
     moving = F.col("src") != F.col("pid") if bypass else F.lit(True)
-    if not t.beta:
-        stay = rows.filter(~moving) if bypass else None
-        moved = rows.filter(moving).repartitionById(n, "pid")
-        both = moved if stay is None else stay.unionByName(moved)
-        return both.select("i", "j", got.alias("v"), "pid")
-    rest = rows.repartitionById(n, "src").persist()  # rows at rest: each in its site's partition
-    stay = rest.filter((F.col("kind") == 1) | ~moving)
-    old = F.max(F.when(F.col("kind") == 1, F.col("v"))).alias("old") if not complex_ else F.first(F.when(F.col("kind") == 1, F.col("v")), ignorenulls=True).alias("old")
-    new = F.max(F.when(F.col("kind") == 0, F.col("v"))).alias("here") if not complex_ else F.first(F.when(F.col("kind") == 0, F.col("v")), ignorenulls=True).alias("here")
-    local = stay.groupBy("pid", "i", "j").agg(old, new)
-    moved = rest.filter((F.col("kind") == 0) & moving).select("pid", "i", "j", F.col("v").alias("came")).repartitionById(n, "pid")
-    both = local.join(moved, ["pid", "i", "j"], "full")
-    arrived = F.coalesce("here", "came")
-    received = arrived if send else _apply(arrived, t.alpha, t.op, complex_)
-    received = F.when(arrived.isNotNull(), received)
-    kept = F.when(F.col("old").isNotNull(), _apply(F.col("old"), t.beta, None, complex_))
-    return both.select("i", "j", _plus(received, kept, complex_).alias("v"), "pid")
+    if not any(t.beta for t in tasks):
+        moved = rows.filter(moving).repartitionById(n, "pid") if bypass else rows.repartitionById(n, "pid")
+        both = rows.filter(~moving).unionByName(moved) if bypass else moved
+        return both.select("mat", "i", "j", received(F.col("v")).alias("v"), "pid")
+    # rows at rest lie in their site's partition: what stays is folded there, and meets what arrives by (mat, cell)
+    keys = ["mat", "pid", "i", "j"]
+    one = F.first if complex_ else F.max
+    some = {"ignorenulls": True} if complex_ else {}
+    pick = lambda kind, name: one(F.when(F.col("kind") == kind, F.col("v")), **some).alias(name)
+    stay = rows.filter(~moving) if bypass else rows.filter("kind = 1")
+    came = rows.filter(moving) if bypass else rows.filter("kind = 0")
+    local = stay.repartitionById(n, "src").groupBy(*keys).agg(pick(1, "old"), pick(0, "here"))
+    moved = came.repartitionById(n, "pid").groupBy(*keys).agg(pick(1, "old_came"), pick(0, "came"))
+    both = local.join(moved, keys, "full")
+    arrived, old = F.coalesce("here", "came"), F.coalesce("old", "old_came")
+    new = F.when(arrived.isNotNull(), received(arrived))
+    kept = F.when(old.isNotNull(), _of_task(tasks, lambda t: _apply(old, t.beta, None, complex_)))
+    return both.select("mat", "i", "j", _plus(new, kept, complex_).alias("v"), "pid")
+
+
+def _of_task(tasks: list[Task], value: Callable[[Task], Column]) -> Column:
+    """value of the row's own task; one expression where all tasks agree."""
+    if len({(t.alpha, t.beta, t.op) for t in tasks}) == 1:
+        return value(tasks[0])
+    out = F.when(F.col("mat") == 0, value(tasks[0]))
+    for k, t in enumerate(tasks[1:], 1):
+        out = out.when(F.col("mat") == k, value(t))
+    return out
+
+
+def worth_bypassing(before: int, plan: Plan, beta: bool) -> bool:
+    """Keeping rows that stay out of the exchange takes a second look at B: worth it where a tenth of the bytes stays."""
+    return beta or (before > 0 and plan.after <= 0.9 * before)
 
 
 def shuffle_transpose(
@@ -125,39 +151,31 @@ def shuffle_transpose(
     plan = find_matrix_relabeling(b.sparkSession, la, lb, cost, op, solver, a_home=a_home, beta=beta)
     send = transform == "send"
     if bypass_local is None:
-        total = la.m * la.n * 8
-        bypass_local = bool(beta) or (total > 0 and plan.after <= 0.9 * total)
-    out = assemble(t, rows_of(t, plan.sigma, send), n, send, bypass_local)
+        bypass_local = worth_bypassing(la.m * la.n * 8, plan, bool(beta))
+    out = assemble([t], rows_of(t, plan.sigma, send, a_home).withColumn("mat", F.lit(0)), n, send, bypass_local).drop("mat")
     return out, la.widened(n).relabel(plan.sigma), plan
 
 
-def shuffle_transpose_batch(tasks: list[Task], cost: Cost | None = None, relabel: str = "optimal", sigma: str = "shared") -> tuple[DataFrame, list[Plan]]:
-    """(mat, i, j, v, pid) of several instances in one exchange. sigma: one relabeling on the summed volumes, or per_pair."""
+def shuffle_transpose_batch(tasks: list[Task], cost: Cost | None = None, relabel: str = "optimal", sigma: str = "shared", transform: str = "receive") -> tuple[DataFrame, list[Plan]]:
+    """(mat, i, j, v, pid) of several instances in one exchange, transformed on receipt, each with its own alpha, beta and op.
+    sigma: one relabeling on the summed volumes, or per_pair. Equal pairs of layouts are planned once: their volumes
+    only add up to a multiple, which has the same best relabeling."""
     n = max(max(t.la.n_sites, t.lb.n_sites) for t in tasks)
     spark, solver = tasks[0].b.sparkSession, {"optimal": "auto"}.get(relabel, relabel)
     for t in tasks:
         _checked(t)
-        if t.beta:
-            raise ValueError("a batch takes beta = 0; use shuffle_transpose for the others")
-    if sigma == "per_pair":
+    if len({is_complex(t.b) for t in tasks}) > 1:
+        raise ValueError("a batch is complex or real, not both")
+    if sigma == "per_pair" or len({(t.la, op_layout(t.lb, t.op)) for t in tasks}) == 1:
         plans = [find_matrix_relabeling(spark, t.la, t.lb, cost, t.op, solver) for t in tasks]
     else:
-        from relayout.plans.overlay import layout_parcels
-        from relayout.plans.relabel import op_layout
-
         each = [layout_parcels(spark, t.la, op_layout(t.lb, t.op)) for t in tasks]
-        total = each[0]
-        for other in each[1:]:
-            total = total.unionByName(other)
-        total = total.groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
+        total = reduce(DataFrame.unionByName, each).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
         plans = [find_relabeling(total, cost, solver, n)] * len(tasks)
-    rows = None
-    for k, (t, p) in enumerate(zip(tasks, plans, strict=True)):
-        one = rows_of(t, p.sigma, True).withColumn("mat", F.lit(k))
-        rows = one if rows is None else rows.unionByName(one)
-    moving = F.col("src") != F.col("pid")
-    out = rows.filter(~moving).unionByName(rows.filter(moving).repartitionById(n, "pid"))
-    return out.select("mat", "i", "j", "v", "pid"), plans
+    send = transform == "send"
+    rows = reduce(DataFrame.unionByName, [rows_of(t, p.sigma, send).withColumn("mat", F.lit(k)) for k, (t, p) in enumerate(zip(tasks, plans, strict=True))])
+    bypass = any(worth_bypassing(t.la.m * t.la.n * 8, p, bool(t.beta)) for t, p in zip(tasks, plans, strict=True))
+    return assemble(tasks, rows, n, send, bypass), plans
 
 
 def redistribute(b: DataFrame, spec_from: dict, spec_to: dict, window: tuple[int, int, int, int] | None = None) -> tuple[DataFrame, Layout, Plan]:
@@ -180,17 +198,33 @@ def submatrix(b: DataFrame, window: tuple[int, int, int, int]) -> DataFrame:
 
 def relabel_repartition(df: DataFrame, src: Column, dst: Column, n: int, vol: Column | None = None) -> tuple[DataFrame, Plan]:
     """A table's rows at the partition that plays their bucket's role, chosen to move little: df with pid."""
-    from relayout.plans.overlay import parcels_from_rows
-
     plan = find_relabeling(parcels_from_rows(df, src, dst, vol), n=n)
     rows = df.withColumns({"_src": src.cast("int"), "pid": sigma_expr(plan.sigma, dst)})
     moving = F.col("_src") != F.col("pid")
     return rows.filter(~moving).unionByName(rows.filter(moving).repartitionById(n, "pid")).drop("_src"), plan
 
 
-def reshuffle_tensor(b: DataFrame, perm: list[int]) -> DataFrame:
-    """(idx, v) with the axes permuted: axis k of the result is axis perm[k] of b."""
-    return b.select(F.array(*(F.element_at("idx", p + 1) for p in perm)).alias("idx"), "v")
+def tensor_owner(axes: list[tuple[Splits, int]], idx: list[Column]) -> Column:
+    """The site of a cell of a tensor: blocks of each axis are dealt in turn to its sites, the last axis fastest."""
+    site = F.lit(0)
+    for (splits, p), x in zip(axes, idx, strict=True):
+        site = site * F.lit(p) + F.pmod(splits.block_of(x), F.lit(p))
+    return site.cast("int")
+
+
+def reshuffle_tensor(b: DataFrame, perm: list[int], la: list[tuple[Splits, int]], lb: list[tuple[Splits, int]], alpha: float | int = 1, relabel: str = "optimal") -> tuple[DataFrame, Plan]:
+    """(idx, v, pid) with the axes permuted (axis k of the result is axis perm[k] of b) and laid out as la says, relabelled so
+    that little moves; only cells whose site changes cross the exchange. b: (idx, v), each cell at most once; la, lb: of
+    each axis the splits and the number of sites along it."""
+    if sorted(perm) != list(range(len(lb))) or [s.extent for s, _ in la] != [lb[p][0].extent for p in perm]:
+        raise ValueError("A's axes are B's, permuted")
+    sites = [prod(p for _, p in x) for x in (la, lb)]
+    plan = find_relabeling(tensor_parcels(b.sparkSession, la, lb, perm=perm), None, {"optimal": "auto"}.get(relabel, relabel), max(sites))
+    at = lambda k: F.element_at("idx", k + 1)
+    rows = b.select(F.array(*(at(p) for p in perm)).alias("idx"), "v", tensor_owner(lb, [at(k) for k in range(len(lb))]).alias("src"), sigma_expr(plan.sigma, tensor_owner(la, [at(p) for p in perm])).alias("pid"))
+    moving = F.col("src") != F.col("pid")
+    out = rows.filter(~moving).unionByName(rows.filter(moving).repartitionById(max(sites), "pid"))
+    return out.select("idx", _apply(F.col("v"), alpha, None, False).alias("v"), "pid"), plan
 
 
 # ---- baselines ----------------------------------------------------------------------------------

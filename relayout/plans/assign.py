@@ -13,16 +13,18 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from relayout.sources.durable import durable
+from relayout.sources.durable import drop, durable
 
 EXACT_LIMIT, BRUTE_LIMIT = 4000, 8
 
 
 def dense(delta: DataFrame, n: int, diagonal: np.ndarray | None = None) -> np.ndarray:
     """gain[role, site]; pairs that delta lacks gain minus diagonal[role] (the volume kept at home)."""
+    if n > EXACT_LIMIT:
+        raise ValueError(f"{n} sites need an array of {n} x {n}; beyond {EXACT_LIMIT} use the solvers rounds or auction")
     out = np.zeros((n, n)) if diagonal is None else np.repeat(-diagonal[:, None].astype(float), n, axis=1)
-    for role, site, gain in delta.select("role", "site", F.col("gain").cast("double")).toPandas().itertuples(index=False):  # at most n * n rows, n bounded by the caller
-        out[int(role), int(site)] = gain
+    found = delta.select("role", "site", F.col("gain").cast("double").alias("gain")).toPandas()  # at most n * n rows
+    out[found["role"].to_numpy(int), found["site"].to_numpy(int)] = found["gain"].to_numpy()
     return out
 
 
@@ -134,21 +136,27 @@ def solve_random_swap(gain: np.ndarray, seed: int = 0, rounds: int = 2000) -> li
     return list(range(n)) if gain_of(gain, sigma) < 0 else sigma
 
 
-def solve_dominant_rounds(volumes: DataFrame, n: int) -> DataFrame:
-    """(role, site): greedy by retained volume, distributed. volumes: (role, site, vol), sparse; others retain nothing.
+def solve_dominant_rounds(values: DataFrame, n: int, value: str = "vol") -> DataFrame:
+    """(role, site): greedy, distributed. values: (role, site, and a value): sparse volumes, where a pair without one retains
+    nothing, or gains of all pairs (value "gain").
 
-    A round keeps the pairs that are the best left for both ends under one strict order; this is what taking pairs one by
-    one in that order gives. Roles without a pair in the end keep their own site if it is free, the rest is by rank."""
-    spark = volumes.sparkSession
-    left = durable(volumes.filter("vol > 0").select("role", "site", "vol"), "greedy")
+    A round keeps the pairs that are the best left for both ends under one strict order (value, then role, then site); this
+    is what taking pairs one by one in that order gives. Roles without a pair in the end keep their own site if it is free,
+    the rest is by rank. Each round's tables are dropped once the next ones are written."""
+    spark = values.sparkSession
+    values = values.select("role", "site", F.col(value).alias("x"))
+    left = durable(values.filter("x > 0") if value == "vol" else values, "greedy")
     chosen: DataFrame | None = None
-    rank = F.struct(F.col("vol"), -F.col("role"), -F.col("site"))
+    rank = F.struct(F.col("x"), (-F.col("role")).alias("r"), (-F.col("site")).alias("s"))
     while not left.isEmpty():
-        a = left.groupBy("role").agg(F.max(rank).alias("best")).select("role", (-F.col("best").getField("col3")).alias("site"))
-        b = left.groupBy("site").agg(F.max(rank).alias("best")).select("site", (-F.col("best").getField("col2")).alias("role"))
+        a = left.groupBy("role").agg(F.max(rank).alias("best")).select("role", (-F.col("best.s")).alias("site"))
+        b = left.groupBy("site").agg(F.max(rank).alias("best")).select("site", (-F.col("best.r")).alias("role"))
         now = durable(a.join(b, ["role", "site"]), "greedy")
         chosen = now if chosen is None else chosen.union(now.select(chosen.columns))
-        left = durable(left.join(now.select("role"), "role", "left_anti").join(now.select("site"), "site", "left_anti").select("role", "site", "vol"), "greedy")
+        rest = durable(left.join(now.select("role"), "role", "left_anti").join(now.select("site"), "site", "left_anti").select("role", "site", "x"), "greedy")
+        drop(left)
+        left = rest
+    drop(left)
     every = spark.range(n).select(F.col("id").cast("int").alias("role"))
     if chosen is None:
         return every.select("role", F.col("role").alias("site"))

@@ -70,14 +70,16 @@ class LinkCost(Cost):
 
 @dataclass(frozen=True)
 class TransformCost(Cost):
-    """c for each byte that is transformed: all bytes or those that move; speed: site -> factor of the receiver."""
+    """c for each byte that is transformed: all bytes or those that move; speed: site -> factor of the receiver; needs: a
+    column of the parcels with the bytes that need a transform (else all do)."""
 
     c: float = 1.0
     charge: str = "all"
     speed: tuple[float, ...] | None = None
+    needs: str | None = None
 
     def of(self, src, dst, vol, pieces, lat, bw):  # noqa: ANN001, ANN201
-        cost = F.lit(self.c) * vol
+        cost = F.lit(self.c) * (F.col(self.needs) if self.needs else vol)
         if self.speed:
             cost = cost * F.element_at(F.array(*(F.lit(float(x)) for x in self.speed)), dst.cast("int") + 1)
         return cost if self.charge == "all" else F.when(src != dst, cost).otherwise(F.lit(0.0))
@@ -85,14 +87,18 @@ class TransformCost(Cost):
 
 @dataclass(frozen=True)
 class LocalityCost(Cost):
-    """Bytes rounded up to a whole number of aligned lines a piece, times a penalty where storage is strided."""
+    """Bytes rounded up to a whole number of aligned stretches, times a penalty where storage is strided. lines: a column of
+    the parcels with the number of runs that their pieces are stored in (overlay.parcel_lines, by the order of storage);
+    without it a piece counts as one run."""
 
     stride_penalty: float = 1.5
     align: int = 64
     strided: bool = True
+    lines: str | None = None
 
     def of(self, src, dst, vol, pieces, lat, bw):  # noqa: ANN001, ANN201
-        each = F.ceil(vol / pieces / F.lit(self.align)) * F.lit(self.align) * pieces
+        runs = F.col(self.lines) if self.lines else pieces
+        each = F.ceil(vol / runs / F.lit(self.align)) * F.lit(self.align) * runs
         return F.when(src != dst, each * F.lit(self.stride_penalty if self.strided else 1.0)).otherwise(F.lit(0.0))
 
 
@@ -112,16 +118,25 @@ class Weighted(Cost):
 
     terms: tuple[tuple[float, Cost], ...]
 
-    @property
-    def links(self) -> DataFrame | None:  # type: ignore[override]
-        return next((c.links for _, c in self.terms if c.links is not None), None)
-
     def of(self, src, dst, vol, pieces, lat, bw):  # noqa: ANN001, ANN201
+        if any(c.links is not None or isinstance(c, Weighted) for _, c in self.terms):
+            raise ValueError("a sum of link costs has a table of links for each term: use weight()")
         out = F.lit(0.0)
         for w, c in self.terms:
             out = out + F.lit(w) * c.of(src, dst, vol, pieces, lat, bw)
         return out
 
+    def weight(self, df: DataFrame, src: str = "src", dst: str = "dst", name: str = "weight") -> DataFrame:
+        """Each term is priced with its own links."""
+        depth = sum(c.startswith("_term") for c in df.columns)
+        own = [f"_term{depth + k}" for k in range(len(self.terms))]
+        for (_, c), column in zip(self.terms, own, strict=True):
+            df = c.weight(df, src, dst, column)
+        total = F.lit(0.0)
+        for (w, _), column in zip(self.terms, own, strict=True):
+            total = total + F.lit(w) * F.col(column)
+        return df.withColumn(name, total).drop(*(c for c in own if c != name))
+
 
 def region_links(spark, n: int = 5) -> DataFrame:  # noqa: ANN001
     """Links of sites in a row: latency 1000 times their distance, and the distance for each byte."""

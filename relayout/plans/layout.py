@@ -8,6 +8,7 @@ what its descriptor costs.
 from __future__ import annotations
 
 import json
+from bisect import bisect_left, bisect_right
 from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -19,6 +20,14 @@ def whole_div(a: Column, b: int) -> Column:
     return ((a - F.pmod(a, F.lit(b))) / F.lit(b)).cast("long")
 
 
+def numbers(xs: tuple[int, ...] | list[int], kind: str = "int") -> Column:
+    """An array constant. A long one is one string literal that the optimizer folds once: no expression for each entry, so
+    plans stay small whatever the number of sites."""
+    if len(xs) <= 64:
+        return F.array(*(F.lit(int(x)).cast(kind) for x in xs))
+    return F.split(F.lit(",".join(str(int(x)) for x in xs)), ",").cast(f"array<{kind}>")
+
+
 @dataclass(frozen=True)
 class Splits:
     """Half-open ranges of an axis: equal blocks of ``block``, or the table ``bounds`` (first 0, last the extent)."""
@@ -54,7 +63,17 @@ class Splits:
         return F.array_min(F.filter(self._array(), lambda b: b > i))
 
     def _array(self) -> Column:
-        return F.array(*(F.lit(b).cast("long") for b in self.bounds))
+        return numbers(self.bounds, "long")
+
+    def cuts(self, lo: int, hi: int) -> list[tuple[int, int, int]]:
+        """(block, from, to) of the blocks that lo to hi meets, on the driver or in a kernel."""
+        if lo >= hi:
+            return []
+        if self.block:
+            return [(k, max(lo, k * self.block), min(hi, (k + 1) * self.block)) for k in range(lo // self.block, (hi - 1) // self.block + 1)]
+        first = bisect_right(self.bounds, lo) - 1
+        last = bisect_left(self.bounds, hi)
+        return [(k, max(lo, self.bounds[k]), min(hi, self.bounds[k + 1])) for k in range(first, last)]
 
     def frame(self, spark: SparkSession) -> DataFrame:
         """(k, lo, hi)."""
@@ -153,16 +172,28 @@ class Layout:
         if self.flipped:
             bi, bj = bj, bi
         if self.owners is not None:
-            line = F.array(*(F.lit(x) for x in self.owners))
+            line = numbers(self.owners)
             site = F.element_at(line, (bi * F.lit(self.cols.count) + bj + 1).cast("int"))
         else:
             (pr, pc), (sr, sc) = self.grid, self.shift
             r, c = F.pmod(bi + F.lit(sr), F.lit(pr)), F.pmod(bj + F.lit(sc), F.lit(pc))
             site = r * F.lit(pc) + c if self.site_order == "row" else c * F.lit(pr) + r
         if self.sigma is not None:
-            site = F.element_at(F.array(*(F.lit(x) for x in self.sigma)), (site + 1).cast("int"))
+            site = F.element_at(numbers(self.sigma), (site + 1).cast("int"))
         return site.cast("int")
 
+    def site_of(self, bi: int, bj: int) -> int:
+        """owner_of_block() of two numbers."""
+        if self.flipped:
+            bi, bj = bj, bi
+        if self.owners is not None:
+            site = self.owners[bi * self.cols.count + bj]
+        else:
+            (pr, pc), (sr, sc) = self.grid, self.shift
+            r, c = (bi + sr) % pr, (bj + sc) % pc
+            site = r * pc + c if self.site_order == "row" else c * pr + r
+        return self.sigma[site] if self.sigma is not None else site
+
     def owner_of(self, i: Column, j: Column) -> Column:
         return self.owner_of_block(*self.blocks_of(i, j))
 

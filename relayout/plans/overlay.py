@@ -10,10 +10,11 @@ from __future__ import annotations
 import math
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.plans.layout import Layout, Splits
+from relayout.plans.layout import Layout, Splits, numbers
 
 ELEM_BYTES = 8
 
@@ -92,7 +93,7 @@ def factored_parcels(spark: SparkSession, la: Layout, lb: Layout, elem_bytes: in
         pr, pc = layout.grid
         s = r * pc + c if layout.site_order == "row" else c * pr + r
         if layout.sigma is not None:
-            s = F.element_at(F.array(*(F.lit(x) for x in layout.sigma)), (s + 1).cast("int"))
+            s = F.element_at(numbers(layout.sigma), (s + 1).cast("int"))
         return s.cast("int")
 
     both = tables[0].crossJoin(tables[1])
@@ -101,6 +102,69 @@ def factored_parcels(spark: SparkSession, la: Layout, lb: Layout, elem_bytes: in
     )
 
 
+#: Pieces of one axis that are counted on the driver; longer axes that don't repeat sooner are counted by Spark.
+AXIS_PIECES = 4_000_000
+
+
+def axis_counts(a: tuple[Splits, int, int], b: tuple[Splits, int, int], pa: int, pb: int, ha: int, hb: int) -> tuple[np.ndarray, np.ndarray] | None:
+    """Length and pieces of an axis by (line of A's site grid, line of B's), without a job: equal blocks repeat after a
+    common multiple, so one period and a remainder are counted. None if that is too long."""
+    (sa, oa, extent), (sb, ob, _) = a, b
+    if not (sa.block and sb.block):
+        return None
+    period = math.lcm(sa.block * pa, sb.block * pb)
+    if (min(period, extent) // sa.block + min(period, extent) // sb.block) * 2 > AXIS_PIECES:
+        return None
+
+    def count(size: int, first: bool) -> tuple[np.ndarray, np.ndarray]:
+        """0 to size; what begins at 0 is a new piece at the first period, later only if a block begins there."""
+        length, pieces = np.zeros((pa, pb), np.int64), np.zeros((pa, pb), np.int64)
+        if size <= 0:
+            return length, pieces
+        starts = np.unique(np.concatenate([[0], np.arange(-oa % sa.block, size, sa.block), np.arange(-ob % sb.block, size, sb.block)]))
+        at = ((starts + oa) // sa.block + ha) % pa, ((starts + ob) // sb.block + hb) % pb
+        new = np.ones(len(starts), np.int64)
+        new[0] = first or oa % sa.block == 0 or ob % sb.block == 0
+        np.add.at(length, at, np.diff(np.append(starts, size)))
+        np.add.at(pieces, at, new)
+        return length, pieces
+
+    whole, rest = divmod(extent, period)
+    parts_ = [(1, count(period, True))] * (whole > 0) + [(whole - 1, count(period, False))] * (whole > 1) + [(1, count(rest, whole == 0))]
+    return sum(k * x[0] for k, x in parts_), sum(k * x[1] for k, x in parts_)
+
+
+def grid_parcels(la: Layout, lb: Layout, elem_bytes: int = ELEM_BYTES) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray] | None:
+    """src, dst, n_pieces and vol of factored_parcels() on the driver, or None where the axes are too long for that."""
+    if la.grid is None or lb.grid is None:
+        return None
+    if (la.m, la.n) != (lb.m, lb.n):
+        raise ValueError("shapes differ")
+    axes = []
+    for which in (0, 1):
+        x, y = which ^ la.flipped, which ^ lb.flipped
+        found = axis_counts(la.axis(which), lb.axis(which), la.grid[x], lb.grid[y], la.shift[x], lb.shift[y])
+        if found is None:
+            return None
+        a, b = np.nonzero(found[1] + found[0])
+        axes.append((a, b, found[0][a, b], found[1][a, b]))
+    (ra, rb, r_len, r_n), (ca, cb, c_len, c_n) = axes
+
+    def site(layout: Layout, r: np.ndarray, c: np.ndarray) -> np.ndarray:
+        r, c = (c[None, :], r[:, None]) if layout.flipped else (r[:, None], c[None, :])
+        out = (r * layout.grid[1] + c if layout.site_order == "row" else c * layout.grid[0] + r).ravel()
+        return np.asarray(layout.sigma)[out] if layout.sigma is not None else out
+
+    # a pair of lines of each grid is one site of each: no two entries share a parcel
+    return site(lb, rb, cb), site(la, ra, ca), np.outer(r_n, c_n).ravel(), np.outer(r_len, c_len).ravel() * elem_bytes
+
+
+def parcel_lines(pieces: DataFrame, order: str = "row", elem_bytes: int = ELEM_BYTES) -> DataFrame:
+    """parcels() and n_lines: the runs of bytes that the pieces are stored in, by rows or by columns."""
+    rows, cols = F.col("r_hi") - F.col("r_lo"), F.col("c_hi") - F.col("c_lo")
+    return pieces.groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n_pieces"), F.sum(rows * cols * elem_bytes).alias("vol"), F.sum(rows if order == "row" else cols).alias("n_lines"))
+
+
 def layout_parcels(spark: SparkSession, la: Layout, lb: Layout, elem_bytes: int = ELEM_BYTES) -> DataFrame:
     if la.grid is not None and lb.grid is not None:
         return factored_parcels(spark, la, lb, elem_bytes)
@@ -113,9 +177,12 @@ def parcels_from_rows(df: DataFrame, src: Column, dst: Column, vol: Column | Non
     return df.groupBy(src.cast("int").alias("src"), dst.cast("int").alias("dst")).agg(F.count(F.lit(1)).alias("n_pieces"), F.sum(vol).cast("long").alias("vol"))
 
 
-def tensor_parcels(spark: SparkSession, a: list[tuple[Splits, int]], b: list[tuple[Splits, int]], elem_bytes: int = ELEM_BYTES) -> DataFrame:
+def tensor_parcels(spark: SparkSession, a: list[tuple[Splits, int]], b: list[tuple[Splits, int]], elem_bytes: int = ELEM_BYTES, perm: list[int] | None = None) -> DataFrame:
     """Parcels of an n-dimensional tensor: for each axis the splits and the number of sites along it, in A and in B.
-    Sites are numbered with the last axis fastest. One factor table for each axis."""
+    Sites are numbered with the last axis fastest. With perm, axis k of A is axis perm[k] of B, whose sites keep the
+    numbers of B's own order. One factor table for each axis."""
+    perm = perm or list(range(len(b)))
+    own, b = b, [b[p] for p in perm]
     tables = []
     for k, ((sa, pa), (sb, pb)) in enumerate(zip(a, b, strict=True)):
         ax = axis_overlay(spark, (sa, 0, sa.extent), (sb, 0, sb.extent))
@@ -124,5 +191,6 @@ def tensor_parcels(spark: SparkSession, a: list[tuple[Splits, int]], b: list[tup
     both = reduce(lambda x, y: x.crossJoin(y), tables)
     number = lambda name, sizes: reduce(lambda s, kp: s * kp[1] + F.col(f"{name}{kp[0]}"), enumerate(sizes), F.lit(0))
     product = lambda name: reduce(lambda x, y: x * y, (F.col(f"{name}{k}") for k in range(len(a))))
-    src, dst = number("b", [p for _, p in b]), number("a", [p for _, p in a])
+    of_b = reduce(lambda s, kp: s * kp[1] + F.col(f"b{perm.index(kp[0])}"), enumerate(p for _, p in own), F.lit(0))
+    src, dst = of_b, number("a", [p for _, p in a])
     return both.groupBy(src.cast("int").alias("src"), dst.cast("int").alias("dst")).agg(F.sum(product("n")).alias("n_pieces"), F.sum(product("l") * elem_bytes).alias("vol"))

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from collections.abc import Callable
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -10,18 +11,20 @@ from pyspark.sql import functions as F
 
 from relayout.plans import assign
 from relayout.plans.cost import Cost, VolumeCost
-from relayout.plans.graph import comm_graph, gain_matrix, gain_matrix_volume, relabel_graph
-from relayout.plans.layout import Layout
-from relayout.plans.overlay import layout_parcels
+from relayout.plans.graph import comm_graph, gain_matrix, gain_matrix_volume, relabel_graph, total_cost
+from relayout.plans.layout import Layout, numbers
+from relayout.plans.overlay import grid_parcels, layout_parcels
 
 
-#: Plans of pairs of layouts: they depend on the descriptors alone.
+#: Assignments by the volumes between sites, so that instances of one shape are solved once.
 _PLANS: dict = {}
 
 
 @dataclass
 class Plan:
-    parcels: DataFrame
+    """before and after: remote bytes; cost_before and cost_after: the same under the cost that the plan is for."""
+
+    make_parcels: Callable[[], DataFrame]
     sigma: list[int]
     before: int
     after: int
@@ -29,6 +32,16 @@ class Plan:
     pieces: int
     solver: str
     certificate: tuple[np.ndarray, np.ndarray] | None = None
+    cost_before: float | None = None
+    cost_after: float | None = None
+
+    def __post_init__(self) -> None:
+        if self.cost_before is None:
+            self.cost_before, self.cost_after = float(self.before), float(self.after)
+
+    @property
+    def parcels(self) -> DataFrame:
+        return self.make_parcels()
 
     @property
     def reduction(self) -> float | None:
@@ -43,7 +56,7 @@ class Plan:
 
 
 def remote_volume(parcels: DataFrame, sigma: list[int] | None = None) -> int:
-    dst = F.col("dst") if sigma is None else F.element_at(F.array(*(F.lit(s) for s in sigma)), F.col("dst") + 1)
+    dst = F.col("dst") if sigma is None else sigma_expr(sigma, F.col("dst"))
     return int(parcels.agg(F.coalesce(F.sum(F.when(F.col("src") != dst, F.col("vol"))), F.lit(0))).first()[0])
 
 
@@ -61,45 +74,83 @@ def gains(parcels: DataFrame, cost: Cost | None, n: int) -> np.ndarray:
     return assign.dense(gain_matrix(parcels, cost, n), n)
 
 
+def _cost_of(parcels: DataFrame, cost: Cost, sigma: list[int] | None = None) -> float:
+    """W of the graph, or of the one with receivers relabelled."""
+    if sigma is not None:
+        parcels = parcels.withColumn("dst", sigma_expr(sigma, F.col("dst")))
+    return float(total_cost(comm_graph(parcels, cost)).first()[0])
+
+
+def _solve(held: np.ndarray, solver: str) -> tuple[list[int], tuple[np.ndarray, np.ndarray] | None]:
+    """For the volume cost, from the volumes between all sites: the relabeling, and the exact solver's certificate."""
+    home = np.diag(held).astype(float)
+    gain = held.T - home[:, None]
+    if solver == "exact":
+        return assign.solve_exact(gain)
+    return _DRIVER[solver](gain, home), None
+
+
+_DRIVER: dict[str, Callable[[np.ndarray, np.ndarray | None], list[int]]] = {
+    "flow": lambda g, home: assign.solve_flow(g),
+    "brute": lambda g, home: assign.solve_bruteforce(g),
+    "swap": lambda g, home: assign.solve_random_swap(g),
+    "greedy": lambda g, home: assign.solve_greedy(g),
+    "retained": lambda g, home: assign.solve_greedy(g, "retained", home=home),
+}
+
+
+def _volume_plan(make: Callable[[], DataFrame], src: np.ndarray, dst: np.ndarray, n_pieces: np.ndarray, vol: np.ndarray, n: int, solver: str) -> Plan:
+    """A plan for the volume cost from parcels on the driver: no job at all."""
+    held, far = np.zeros((n, n), np.int64), src != dst
+    held[src, dst] = vol
+    messages, pieces, before = int((far & (n_pieces > 0)).sum()), int(n_pieces[far].sum()), int(held.sum() - np.trace(held))
+    sigma, certificate, own = list(range(n)), None, list(range(n))
+    if solver != "none" and before:
+        sigma, certificate = _solve(held, solver)
+    else:
+        solver = "none"
+    return Plan(make, sigma, before, int(held.sum() - held[sigma, own].sum()), messages, pieces, solver, certificate)
+
+
 def find_relabeling(parcels: DataFrame, cost: Cost | None = None, solver: str = "auto", n: int | None = None) -> Plan:
-    """The relabeling with the largest gain: solver exact, flow, greedy, retained, swap, brute, rounds, auction, none, or
-    auto (exact for up to EXACT_LIMIT sites, else distributed greedy). Gains are skipped where nothing can be won."""
+    """The relabeling with the largest gain under the cost: solver exact, flow, greedy, retained, swap, brute, rounds, auction,
+    none, or auto (exact for up to EXACT_LIMIT sites, else distributed greedy rounds). Rounds order pairs by retained
+    volume for the volume cost, and by gain for any other; both equal greedy one by one. Solvers with an n x n array refuse
+    more than EXACT_LIMIT sites. A relabeling that loses is dropped for the identity."""
     n = n if n is not None else int(parcels.agg(F.greatest(F.max("src"), F.max("dst"))).first()[0] or 0) + 1
-    certificate, own = None, list(range(n))
+    volume = cost is None or isinstance(cost, VolumeCost)
     if solver == "auto":
         solver = "exact" if n <= assign.EXACT_LIMIT else "rounds"
-    volume = cost is None or isinstance(cost, VolumeCost)
-    if n <= assign.EXACT_LIMIT:
-        # all parcels between so few sites fit the driver: one job, and no other for the volume cost
+    if volume and n <= assign.EXACT_LIMIT and solver in ("exact", "none", *_DRIVER):
+        # all parcels between so few sites fit the driver: one job, and no other
         found = parcels.groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol")).toPandas()
-        held, far = np.zeros((n, n), np.int64), (found["src"] != found["dst"]).to_numpy()
-        held[found["src"].to_numpy(), found["dst"].to_numpy()] = found["vol"].to_numpy()
-        messages, pieces, before = int(far.sum()), int(found["n_pieces"].to_numpy()[far].sum()), int(held.sum() - np.trace(held))
-        after = lambda sigma: int(held.sum() - held[sigma, own].sum())
-        home = np.diag(held).astype(float)
-        gain_of_volume = lambda: held.T - home[:, None]
-    else:
-        parcels = parcels.persist()
-        stats = parcels.filter("src <> dst").agg(F.count(F.lit(1)).alias("m"), F.coalesce(F.sum("n_pieces"), F.lit(0)).alias("p")).first()
-        messages, pieces, before = int(stats["m"]), int(stats["p"]), remote_volume(parcels)
-        after = lambda sigma: remote_volume(parcels, sigma)
-        home, gain_of_volume = None, lambda: gains(parcels, None, n)
+        return _volume_plan(lambda: parcels, *(found[c].to_numpy(np.int64) for c in ("src", "dst", "n_pieces", "vol")), n, solver)
+    certificate, own = None, list(range(n))
+    far = parcels.filter("src <> dst").agg(F.count(F.lit(1)).alias("m"), F.coalesce(F.sum("n_pieces"), F.lit(0)).alias("p"), F.coalesce(F.sum("vol"), F.lit(0)).alias("v")).first()
+    messages, pieces, before = int(far["m"]), int(far["p"]), int(far["v"])
+    cost_before = float(before) if volume else _cost_of(parcels, cost)
     if solver == "none" or (volume and not before):
         sigma, solver = own, "none"
     elif solver == "rounds":
-        volumes = parcels.select(F.col("dst").alias("role"), F.col("src").alias("site"), "vol")
-        sigma = [r["site"] for r in assign.solve_dominant_rounds(volumes, n).orderBy("role").collect()]  # n rows
-        if after(sigma) > before:
-            sigma = own
+        if volume:
+            pairs = parcels.groupBy(F.col("dst").alias("role"), F.col("src").alias("site")).agg(F.sum("vol").alias("vol"))
+            best = assign.solve_dominant_rounds(pairs, n)
+        else:
+            best = assign.solve_dominant_rounds(gain_matrix(parcels, cost, n), n, "gain")
+        sigma = [r["site"] for r in best.orderBy("role").collect()]  # n rows
     elif solver == "auction":
         sigma = assign.solve_auction(gain_matrix(parcels, cost or VolumeCost(), n), n)
     else:
-        gain = gain_of_volume() if volume else gains(parcels, cost, n)
+        gain = gains(parcels, cost, n)
         if solver == "exact":
             sigma, certificate = assign.solve_exact(gain)
         else:
-            sigma = {"flow": assign.solve_flow, "brute": assign.solve_bruteforce, "swap": assign.solve_random_swap, "greedy": assign.solve_greedy, "retained": lambda g: assign.solve_greedy(g, "retained", home=home if volume else None)}[solver](gain)
-    return Plan(parcels, sigma, before, after(sigma), messages, pieces, solver, certificate)
+            sigma = _DRIVER[solver](gain, _diagonal(parcels, n) if volume else None)
+    cost_after = float(remote_volume(parcels, sigma)) if volume else _cost_of(parcels, cost, sigma)
+    if cost_after > cost_before:
+        sigma, cost_after = own, cost_before
+    after = int(cost_after) if volume else remote_volume(parcels, sigma)
+    return Plan(lambda: parcels, sigma, before, after, messages, pieces, solver, certificate, cost_before, cost_after)
 
 
 def op_layout(lb: Layout, op: object) -> Layout:
@@ -110,24 +161,30 @@ def find_matrix_relabeling(spark: SparkSession, la: Layout, lb: Layout, cost: Co
     """Parcels of A <- op(B) from the two descriptors alone, then find_relabeling. With a_home 'original' and a beta, what
     A holds counts as parcels from each role to itself: moving the role would move A's old content."""
     n = max(la.n_sites, lb.n_sites)
-    key = (spark.sparkContext.applicationId, la, lb, op, solver, elem_bytes, a_home, bool(beta)) if cost is None and isinstance(op, str) else None
-    if key in _PLANS:
-        return _PLANS[key]
-    found = layout_parcels(spark, la, op_layout(lb, op), elem_bytes)
-    if beta and a_home == "original":
-        held = la.blocks(spark).groupBy("site").agg(F.count(F.lit(1)).alias("n_pieces"), F.sum((F.col("r_hi") - F.col("r_lo")) * (F.col("c_hi") - F.col("c_lo")) * elem_bytes).alias("vol"))
-        held = held.select(F.col("site").alias("src"), F.col("site").alias("dst"), "n_pieces", "vol")
-        found = found.unionByName(held).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
-    plan = find_relabeling(found, cost, solver, n)
-    if key:
-        if len(_PLANS) >= 256:
-            _PLANS.pop(next(iter(_PLANS)))
-        _PLANS[key] = plan
-    return plan
+    lb = op_layout(lb, op)
+    held = beta and a_home == "original"
+    volume = cost is None or isinstance(cost, VolumeCost)
+    wanted = "exact" if solver == "auto" and n <= assign.EXACT_LIMIT else solver
+    if volume and not held and n <= assign.EXACT_LIMIT and wanted in ("exact", "none", *_DRIVER):
+        found = grid_parcels(la, lb, elem_bytes)
+        if found is not None:  # two site grids: counted on the driver, without a job
+            key = (tuple(x.tobytes() for x in found), n, wanted)
+            make = lambda: layout_parcels(spark, la, lb, elem_bytes)
+            if key not in _PLANS:
+                if len(_PLANS) >= 256:
+                    _PLANS.pop(next(iter(_PLANS)))
+                _PLANS[key] = _volume_plan(make, *found, n, wanted)
+            return replace(_PLANS[key], make_parcels=make)
+    found = layout_parcels(spark, la, lb, elem_bytes)
+    if held:
+        own = la.blocks(spark).groupBy("site").agg(F.count(F.lit(1)).alias("n_pieces"), F.sum((F.col("r_hi") - F.col("r_lo")) * (F.col("c_hi") - F.col("c_lo")) * elem_bytes).alias("vol"))
+        own = own.select(F.col("site").alias("src"), F.col("site").alias("dst"), "n_pieces", "vol")
+        found = found.unionByName(own).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
+    return find_relabeling(found, cost, solver, n)
 
 
 def sigma_expr(sigma: list[int], role: Column) -> Column:
-    return F.element_at(F.array(*(F.lit(s) for s in sigma)), role.cast("int") + 1)
+    return F.element_at(numbers(sigma), role.cast("int") + 1)
 
 
 __all__ = ["Plan", "comm_graph", "find_matrix_relabeling", "find_relabeling", "gains", "op_layout", "relabel_graph", "remote_volume", "sigma_expr"]

@@ -222,6 +222,19 @@ query("axpby_self", f"WITH {sql.EMB} SELECT i, j, v * 3 AS v FROM emb")(lambda s
 query("submatrix_emb", f"WITH {sql.EMB} SELECT i - 100 AS i, j - 8 AS j, v FROM emb WHERE i >= 100 AND i < 300 AND j >= 8 AND j < 40")(lambda s, d: run(routine.submatrix(emb(s, d), (100, 300, 8, 40)), ends(s, d)[0].window(100, 300, 8, 40), BC(200, 32, 8, 8, 4, 4)))
 query("col_major_tiles", T_EMB)(lambda s, d: tiles.from_tiles(tiles.transpose_tiles(tiles.to_tiles(emb(s, d), ends(s, d)[1], order="col"))).select(*CELL))
 query("strided_tiles", SELECT_EMB)(lambda s, d: tiles.from_tiles(tiles.to_tiles(emb(s, d), ends(s, d)[1], pad=3)).select(*CELL))
+
+
+def tiled(spark: SparkSession, d: str, flip: bool = False, order: str = "row", pad: int = 0, to: str = "row", to_pad: int = 0, **how: object) -> DataFrame:
+    """The embeddings as tiles of the source layout, through the routine to tiles of the target's, and as cells again."""
+    lb, la = ends(spark, d, flip)
+    return tiles.from_tiles(tiles.shuffle_tiles(tiles.to_tiles(emb(spark, d), lb, order=order, pad=pad), lb, la, op="transpose" if flip else "identity", order=to, pad=to_pad, **how)[0]).select(*CELL)
+
+
+query("reshuffle_tiles", SELECT_EMB)(lambda s, d: tiled(s, d))
+query("transpose_tiles", f"WITH {sql.EMB} SELECT j AS i, i AS j, v * 2 AS v FROM emb")(lambda s, d: tiled(s, d, True, alpha=2))
+query("reshuffle_tiles_col_major", SELECT_EMB)(lambda s, d: tiled(s, d, order="col", to="row"))
+query("transpose_tiles_strided", T_EMB)(lambda s, d: tiled(s, d, True, order="row", pad=3, to="col", to_pad=5))
+query("axpby_tiles", f"WITH {sql.EMB} SELECT i, j, 2 * v + 3 * (v + 1) AS v FROM emb")(lambda s, d: tiles.from_tiles(tiles.shuffle_tiles(tiles.to_tiles(emb(s, d), (x := ends(s, d))[0]), *x, 2, 3, tiles.to_tiles(emb(s, d).withColumn("v", F.col("v") + 1), x[1], order="col"))[0]).select(*CELL))
 query("reshuffle_decimal", f"WITH {sql.EMB} SELECT i, j, CAST(v AS DECIMAL(18, 2)) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("decimal(18,2)")), *ends(s, d)))
 query("reshuffle_int", f"WITH {sql.EMB} SELECT i, j, CAST(v AS INTEGER) AS v FROM emb")(lambda s, d: run(emb(s, d).withColumn("v", F.col("v").cast("int")), *ends(s, d)))
 query("bypass_split", f"WITH {sql.EMB} SELECT {sql.own('i', 'j', 8, 8, 4, 4)} <> {sql.own('i', 'j', 2, 2, 4, 4)} AS moves, count(*) AS cells FROM emb GROUP BY 1")(
@@ -267,10 +280,13 @@ def conj_transpose_emb(spark: SparkSession, d: str) -> DataFrame:
 
 @query("tensor_permute", """SELECT m, s, p, CAST(sum(l_quantity) AS BIGINT) AS v FROM (SELECT month(l_shipdate) - 1 AS m, l_suppkey - 1 AS s, l_partkey % 10 AS p, l_quantity FROM lineitem) GROUP BY 1, 2, 3""")
 def tensor_permute(spark: SparkSession, d: str) -> DataFrame:
+    """(supplier, part, month) to (month, supplier, part), from blocks on 4 x 2 x 2 sites to others on 2 x 4 x 2."""
     line = src.table(spark, d, "lineitem")
     idx = F.array((F.col("l_suppkey") - 1).cast("long"), F.pmod("l_partkey", F.lit(10)), (F.month("l_shipdate") - 1).cast("long"))
     t = line.select(idx.alias("idx"), "l_quantity").groupBy("idx").agg(F.sum("l_quantity").cast("long").alias("v"))
-    out = routine.reshuffle_tensor(t, [2, 0, 1])
+    n = line.agg(F.max("l_suppkey")).first()[0] or 1
+    lb, la = [(Splits(n, 3), 4), (Splits(10, 2), 2), (Splits(12, 3), 2)], [(Splits(12, 4), 2), (Splits(n, 5), 4), (Splits(10, 5), 2)]
+    out = routine.reshuffle_tensor(t, [2, 0, 1], la, lb)[0]
     return out.select(F.get("idx", 0).alias("m"), F.get("idx", 1).alias("s"), F.get("idx", 2).alias("p"), "v")
 
 
