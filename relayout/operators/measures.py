@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import time
+from collections.abc import Callable
+
+import numpy as np
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.plans.relabel import sigma_expr
+from relayout.plans.relabel import _solve, sigma_expr
 
 
 def volume_remote(parcels: DataFrame, sigma: list[int] | None = None) -> DataFrame:
@@ -33,6 +37,29 @@ def site_load(parcels: DataFrame) -> DataFrame:
     return sent.join(got, "site", "full").select("site", F.coalesce("sent", F.lit(0)).alias("sent"), F.coalesce("received", F.lit(0)).alias("received"))
 
 
+def shuffled(spark: SparkSession, action: Callable[[], object]) -> tuple[int, int]:
+    """Bytes and records that an action's stages write to exchanges: what physically moves, beside the logical volume."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+
+    def stages() -> dict[tuple[int, int], tuple[int, int]]:
+        found = store.stageList(spark.sparkContext._jvm.java.util.ArrayList(), False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), spark.sparkContext._jvm.java.util.ArrayList())
+        return {(x.stageId(), x.attemptId()): (x.shuffleWriteBytes(), x.shuffleWriteRecords()) for x in (found.apply(k) for k in range(found.size()))}
+
+    before = set(stages())
+    action()
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+    new = [v for k, v in stages().items() if k not in before]
+    return sum(b for b, _ in new), sum(r for _, r in new)
+
+
+def solver_seconds(n: int, solver: str = "exact", seed: int = 0) -> float:
+    """Seconds to assign n roles to n sites for random volumes; planning cost against n."""
+    volumes = np.random.default_rng(seed).integers(0, 1000, (n, n))
+    began = time.perf_counter()
+    _solve(volumes, solver)
+    return time.perf_counter() - began
+
+
 def max_residual(a: DataFrame, b: DataFrame) -> DataFrame:
     """(residual): the largest absolute difference of two matrices' cells."""
     both = a.select("i", "j", F.col("v").alias("x")).join(b.select("i", "j", F.col("v").alias("y")), ["i", "j"], "full")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from relayout.operators.routine import Task, rows_of
 from relayout.plans.layout import Layout
-from relayout.plans.relabel import Plan, find_matrix_relabeling, sigma_expr
+from relayout.plans.relabel import Plan, find_matrix_relabeling, find_shared_relabeling, sigma_expr
 
 #: Columns of a block of C, and cells of a stretch of rows that one kernel call holds.
 WIDTH, CELLS = 1024, 2_000_000
@@ -22,13 +22,13 @@ def gram(a: DataFrame, b: DataFrame, la: Layout, lb: Layout, lc: Layout, p: int)
 
     A cell of C is there if some row has both factors, as in a join of cells; sums are exact up to 64 bits."""
     spark = a.sparkSession
-    native = Layout.slabs(la.m, la.n, p)
-    plan_a, plan_b = find_matrix_relabeling(spark, native, la), find_matrix_relabeling(spark, Layout.slabs(lb.m, lb.n, p), lb)
+    ends = [(Layout.slabs(x.m, x.n, p), x, "identity") for x in (la, lb)]
+    plan = find_shared_relabeling(spark, ends)  # a slab of A and that of B lie at one site
     plan_c = find_matrix_relabeling(spark, lc, Layout.slabs(lc.m, lc.n, p))
-    c = slab_product(_on_slabs(a, la, p, plan_a), _on_slabs(b, lb, p, plan_b), la.n, lb.n)
+    c = slab_product(_on_slabs(a, la, p, plan), _on_slabs(b, lb, p, plan), la.n, lb.n)
     n = max(lc.n_sites, p)
     pid = sigma_expr(plan_c.sigma, lc.owner_of(F.col("i"), F.col("j")))
-    return c.withColumn("pid", pid).repartitionById(n, "pid"), [plan_a, plan_b, plan_c]
+    return c.withColumn("pid", pid).repartitionById(n, "pid"), [plan, plan, plan_c]
 
 
 def _on_slabs(x: DataFrame, layout: Layout, p: int, plan: Plan) -> DataFrame:

@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 
 from relayout.plans.cost import Cost
 from relayout.plans.layout import Layout, Splits
-from relayout.plans.overlay import layout_parcels, parcels_from_rows, tensor_parcels
-from relayout.plans.relabel import Plan, find_matrix_relabeling, find_relabeling, op_layout, sigma_expr
+from relayout.plans.overlay import parcels_from_rows, tensor_parcels
+from relayout.plans.relabel import Plan, find_matrix_relabeling, find_relabeling, find_shared_relabeling, op_layout, sigma_expr
 
 OPS = ("identity", "transpose", "conj_transpose", "conj")
 
@@ -169,9 +169,7 @@ def shuffle_transpose_batch(tasks: list[Task], cost: Cost | None = None, relabel
     if sigma == "per_pair" or len({(t.la, op_layout(t.lb, t.op)) for t in tasks}) == 1:
         plans = [find_matrix_relabeling(spark, t.la, t.lb, cost, t.op, solver) for t in tasks]
     else:
-        each = [layout_parcels(spark, t.la, op_layout(t.lb, t.op)) for t in tasks]
-        total = reduce(DataFrame.unionByName, each).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
-        plans = [find_relabeling(total, cost, solver, n)] * len(tasks)
+        plans = [find_shared_relabeling(spark, [(t.la, t.lb, t.op) for t in tasks], cost, solver)] * len(tasks)
     send = transform == "send"
     rows = reduce(DataFrame.unionByName, [rows_of(t, p.sigma, send).withColumn("mat", F.lit(k)) for k, (t, p) in enumerate(zip(tasks, plans, strict=True))])
     bypass = any(worth_bypassing(t.la.m * t.la.n * 8, p, bool(t.beta)) for t, p in zip(tasks, plans, strict=True))

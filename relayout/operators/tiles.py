@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import IntegerType, LongType, StringType, StructField, StructType
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, StructField, StructType
 
 from relayout.plans.cost import Cost
 from relayout.plans.layout import Layout
@@ -20,20 +20,26 @@ from relayout.plans.relabel import Plan, find_matrix_relabeling
 
 
 def to_tiles(entries: DataFrame, layout: Layout, mat: str = "A", order: str = "row", pad: int = 0) -> DataFrame:
-    """Dense tiles of a layout's blocks; absent cells are 0. pad: unused places behind each line."""
+    """Dense tiles of a layout's blocks, one exchange of cells; absent cells are 0. pad: unused places behind each line.
+    Values are numbers."""
     bi, bj = layout.blocks_of(F.col("i"), F.col("j"))
-    held = entries.select(bi.alias("bi"), bj.alias("bj"), "i", "j", "v").groupBy("bi", "bj").agg(F.map_from_entries(F.collect_list(F.struct(F.struct("i", "j"), "v"))).alias("cells"))
-    frame = layout.blocks(entries.sparkSession)
-    nr, nc = F.col("r_hi") - F.col("r_lo"), F.col("c_hi") - F.col("c_lo")
-    kind = dict(entries.dtypes)["v"]
-    lines, size = (nr, nc) if order == "row" else (nc, nr)
-    cell = lambda k: F.struct(*((F.col("r_lo") + _div(k, size + pad)).alias("i"), (F.col("c_lo") + F.pmod(k, size + pad)).alias("j")) if order == "row" else ((F.col("r_lo") + F.pmod(k, size + pad)).alias("i"), (F.col("c_lo") + _div(k, size + pad)).alias("j")))
-    value = lambda k: F.when(F.pmod(k, size + pad) < size, F.coalesce(F.try_element_at("cells", cell(k)), F.lit(0).cast(kind))).otherwise(F.lit(0).cast(kind))
-    data = F.transform(F.sequence(F.lit(0).cast("long"), lines * (size + pad) - 1), value)
-    return frame.join(held, ["bi", "bj"], "left").select(
-        F.lit(mat).alias("mat"), "bi", "bj", F.col("r_lo").alias("r0"), F.col("c_lo").alias("c0"), nr.cast("int").alias("nr"), nc.cast("int").alias("nc"),
-        (size + pad).cast("int").alias("ld"), F.lit(order).alias("ord"), data.alias("data"), F.col("site").alias("pid"),
-    )
+    held = entries.select(bi.alias("bi"), bj.alias("bj"), "i", "j", "v").groupBy("bi", "bj").agg(F.collect_list(F.struct(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), "v")).alias("cells"))
+    frame = layout.blocks(entries.sparkSession).join(held, ["bi", "bj"], "left").select("bi", "bj", F.col("r_lo").alias("r0"), F.col("c_lo").alias("c0"), (F.col("r_hi") - F.col("r_lo")).cast("int").alias("nr"), (F.col("c_hi") - F.col("c_lo")).cast("int").alias("nc"), F.col("site").alias("pid"), "cells")
+    shape = StructType([StructField(c, LongType()) for c in ("bi", "bj", "r0", "c0")] + [StructField(c, IntegerType()) for c in ("nr", "nc", "ld")] + [StructField("ord", StringType()), StructField("data", ArrayType(entries.schema["v"].dataType)), StructField("pid", IntegerType())])
+
+    def fill(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cells = batch.column("cells")
+            kind = cells.type.value_type.field("v").type
+            for k in range(batch.num_rows):  # a tile at a time
+                bi, bj, r0, c0, nr, nc, pid = (batch.column(c)[k].as_py() for c in ("bi", "bj", "r0", "c0", "nr", "nc", "pid"))
+                own = cells.slice(k, 1).flatten()
+                tile = np.zeros((nr, nc), kind.to_pandas_dtype())
+                tile[own.field("i").to_numpy() - r0, own.field("j").to_numpy() - c0] = own.field("v").to_numpy(zero_copy_only=False)
+                flat, ld = _stored(tile, order, pad)
+                yield pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((bi, bj, r0, c0, nr, nc, ld, order, flat, pid), TILE(pa.list_(kind)), strict=True)], schema=TILE(pa.list_(kind)))
+
+    return frame.mapInArrow(fill, shape).select(F.lit(mat).alias("mat"), *(f.name for f in shape))
 
 
 def _div(a, b):  # noqa: ANN001, ANN202

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, replace
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -183,8 +184,26 @@ def find_matrix_relabeling(spark: SparkSession, la: Layout, lb: Layout, cost: Co
     return find_relabeling(found, cost, solver, n)
 
 
+def find_shared_relabeling(spark: SparkSession, pairs: list[tuple[Layout, Layout, object]], cost: Cost | None = None, solver: str = "auto", elem_bytes: int = 8) -> Plan:
+    """One relabeling of the target's sites for several instances (LA, LB, op) at once: on the sum of their parcels."""
+    n = max(max(la.n_sites, lb.n_sites) for la, lb, _ in pairs)
+    ends = [(la, op_layout(lb, op)) for la, lb, op in pairs]
+    make = lambda: reduce(DataFrame.unionByName, [layout_parcels(spark, la, lb, elem_bytes).select("src", "dst", "n_pieces", "vol") for la, lb in ends]).groupBy("src", "dst").agg(F.sum("n_pieces").alias("n_pieces"), F.sum("vol").alias("vol"))
+    wanted = "exact" if solver == "auto" and n <= assign.EXACT_LIMIT else solver
+    if (cost is None or isinstance(cost, VolumeCost)) and n <= assign.EXACT_LIMIT and wanted in ("exact", "none", *_DRIVER):
+        found = [grid_parcels(la, lb, elem_bytes) for la, lb in ends]
+        if all(f is not None for f in found):
+            src, dst, n_pieces, vol = (np.concatenate(x) for x in zip(*found, strict=True))
+            key, at = np.unique(src * n + dst, return_inverse=True)
+            sums = [np.zeros(len(key), np.int64) for _ in range(2)]
+            np.add.at(sums[0], at, n_pieces)
+            np.add.at(sums[1], at, vol)
+            return _volume_plan(make, key // n, key % n, *sums, n, wanted)
+    return find_relabeling(make(), cost, solver, n)
+
+
 def sigma_expr(sigma: list[int], role: Column) -> Column:
     return F.element_at(numbers(sigma), role.cast("int") + 1)
 
 
-__all__ = ["Plan", "comm_graph", "find_matrix_relabeling", "find_relabeling", "gains", "op_layout", "relabel_graph", "remote_volume", "sigma_expr"]
+__all__ = ["Plan", "comm_graph", "find_matrix_relabeling", "find_relabeling", "find_shared_relabeling", "gains", "op_layout", "relabel_graph", "remote_volume", "sigma_expr"]

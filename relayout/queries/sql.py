@@ -36,6 +36,17 @@ def parcels(m: int, n: int, a: tuple, b: tuple, elem: int = 8, flip: bool = Fals
   CAST(count(*) * {elem} AS BIGINT) AS vol FROM cells GROUP BY 1, 2)"""
 
 
+def remote_of_grids(cases: list[tuple]) -> str:
+    """(name, before) of pairs of block-cyclic layouts, from counts of each axis, so that any shape can be checked. A case:
+    name, shape, and of A and B (mb, nb, pr, pc, order)."""
+    one = []
+    for name, (m, n), a, b in cases:
+        axis = lambda size, k, q: f"(SELECT (i // {a[k]}) % {a[k + 2]} AS a, (i // {b[k]}) % {b[k + 2]} AS b, count(*) AS n FROM range({size}) t(i) GROUP BY 1, 2) {q}"
+        site = lambda x, q: f"r.{q} * {x[3]} + c.{q}" if x[4] == "row" else f"c.{q} * {x[2]} + r.{q}"
+        one.append(f"SELECT '{name}' AS name, CAST(sum(CASE WHEN {site(a, 'a')} <> {site(b, 'b')} THEN r.n * c.n ELSE 0 END) AS BIGINT) AS before FROM {axis(m, 0, 'r')}, {axis(n, 1, 'c')}")
+    return " UNION ALL ".join(one)
+
+
 #: The smallest remote volume over all relabelings of five sites.
 BEST = f"{PERMS}, best AS (SELECT (SELECT CAST(sum(vol) AS BIGINT) FROM tr) - max(kept) AS after FROM (SELECT perms.s, CAST(sum(CASE WHEN tr.src = perms.s[tr.dst + 1] THEN vol ELSE 0 END) AS BIGINT) AS kept FROM perms, tr GROUP BY perms.s))"
 

@@ -104,5 +104,9 @@ def trade(spark: SparkSession, sf_dir: str, level: str) -> DataFrame:
 
 def square(spark: SparkSession, n: int) -> DataFrame:
     """A synthetic square matrix, v = (31 i + 17 j) mod 1009."""
+    return rectangle(spark, n, n)
+
+
+def rectangle(spark: SparkSession, m: int, n: int) -> DataFrame:
     i = ((F.col("id") - F.pmod("id", F.lit(n))) / n).cast("long")
-    return spark.range(n * n).select(i.alias("i"), F.pmod("id", F.lit(n)).alias("j")).select("i", "j", F.pmod(F.col("i") * 31 + F.col("j") * 17, F.lit(1009)).alias("v"))
+    return spark.range(m * n).select(i.alias("i"), F.pmod("id", F.lit(n)).alias("j")).select("i", "j", F.pmod(F.col("i") * 31 + F.col("j") * 17, F.lit(1009)).alias("v"))

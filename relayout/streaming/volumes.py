@@ -67,19 +67,24 @@ def refresh(n: int, keep: dict, margin: float = 0.05) -> Callable[[DataFrame, in
 
 
 def assembled(pieces: DataFrame, side: int, area: int) -> DataFrame:
-    """(bi, bj, cells, total): tiles of ``area`` cells, each given out when its last cell arrives. pieces: (i, j, v), a
-    streaming DataFrame in any order; state is kept only for tiles that are not complete."""
+    """(bi, bj, cells, total, data): square tiles of ``area`` cells, each given out when its last cell arrives, with all its
+    cells row by row. pieces: (i, j, v), a streaming DataFrame in any order; a cell that comes again replaces the one
+    before it. State is kept only for tiles that are not complete: what has come of them, as places and values."""
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        cells, total = state.get if state.exists else (0, 0)
+        places, values = state.get if state.exists else ([], [])
+        held = dict(zip(places, values, strict=True))
         for f in frames:
-            cells, total = cells + len(f), total + int(f["v"].sum())
-        if cells >= area:
-            state.remove()
-            yield pd.DataFrame({"bi": [key[0]], "bj": [key[1]], "cells": [cells], "total": [total]})
+            held.update(zip(f["place"].tolist(), f["v"].tolist(), strict=True))
+        if len(held) >= area:
+            if state.exists:
+                state.remove()
+            data = [held[k] for k in sorted(held)]
+            yield pd.DataFrame({"bi": [key[0]], "bj": [key[1]], "cells": [len(data)], "total": [sum(data)], "data": [data]})
         else:
-            state.update((cells, total))
+            state.update((list(held), list(held.values())))
 
     block = lambda c: ((F.col(c) - F.pmod(c, F.lit(side))) / side).cast("long")
-    keyed = pieces.select(block("i").alias("bi"), block("j").alias("bj"), "v")
-    return keyed.groupBy("bi", "bj").applyInPandasWithState(run, "bi long, bj long, cells long, total long", "cells long, total long", "append", GroupStateTimeout.NoTimeout)
+    place = F.pmod("i", F.lit(side)) * side + F.pmod("j", F.lit(side))
+    keyed = pieces.select(block("i").alias("bi"), block("j").alias("bj"), place.cast("long").alias("place"), "v")
+    return keyed.groupBy("bi", "bj").applyInPandasWithState(run, "bi long, bj long, cells long, total long, data array<long>", "places array<long>, vals array<long>", "append", GroupStateTimeout.NoTimeout)

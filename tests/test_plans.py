@@ -8,10 +8,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from relayout.operators import measures
 from relayout.plans import assign, cost, graph
 from relayout.plans.layout import Layout, Splits
-from relayout.plans.overlay import axis_overlay, factored_parcels, grid_overlay, layout_parcels, parcels
+from relayout.plans.overlay import axis_overlay, factored_parcels, grid_overlay, grid_parcels, layout_parcels, parcel_lines, parcels
 from relayout.plans.relabel import find_matrix_relabeling, find_relabeling, gains
+from relayout.sources import tables
 
 BC = Layout.block_cyclic
 
@@ -135,3 +137,91 @@ def test_edges(spark):
         with pytest.raises(ValueError):
             bad()
     assert find_relabeling(spark.createDataFrame([], "src int, dst int, n_pieces long, vol long"), n=3).sigma == [0, 1, 2]
+
+
+def test_driver_counts_are_the_spark_counts(spark):
+    pairs = [
+        (BC(37, 23, 5, 4, 2, 3), BC(37, 23, 3, 7, 3, 2, "col")), (BC(37, 23, 5, 4, 2, 3).transposed(), BC(23, 37, 3, 7, 3, 2)), (BC(400, 90, 2, 3, 2, 2), BC(400, 90, 3, 2, 2, 2)),
+        (BC(50, 40, 5, 4, 2, 3).window(3, 31, 7, 40), BC(28, 33, 4, 4, 3, 2, r_src=1, c_src=1)), (BC(900, 40, 4, 4, 2, 2).window(2, 802, 0, 40).relabel([2, 0, 3, 1]), BC(800, 40, 6, 5, 2, 2)), (BC(9, 5, 2, 2, 2, 2).window(3, 3, 0, 5), BC(9, 5, 3, 3, 2, 2).window(3, 3, 0, 5)),
+    ]
+    for la, lb in pairs:
+        got = grid_parcels(la, lb)
+        want = rows(factored_parcels(spark, la, lb).select("src", "dst", "n_pieces", "vol"))
+        assert sorted(x for x in zip(*(c.tolist() for c in got), strict=True)) == want
+
+
+def test_long_constants_are_one_literal(spark):
+    n = 5000
+    sigma = list(range(n))[::-1]
+    layout = BC(n, 1, 1, 1, n, 1).relabel(sigma)
+    df = spark.range(n).select(layout.owner_of(F.col("id"), F.lit(0).cast("long")).alias("site"))
+    assert [r.site for r in df.collect()] == sigma
+    assert len(df._jdf.queryExecution().analyzed().toString()) < 60_000
+
+
+def greedy_by_gain(gain):
+    """One pair after the other: the largest gain left, ties by role, then site."""
+    n, sigma, taken = len(gain), {}, set()
+    for _, x, y in sorted((-gain[x][y], x, y) for x in range(n) for y in range(n)):
+        if x not in sigma and y not in taken:
+            sigma[x] = y
+            taken.add(y)
+    return [sigma[x] for x in range(n)]
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_costs_hold_beyond_the_limit(spark, monkeypatch, seed):
+    p, links = random_parcels(spark, 5, seed), cost.LinkCost(cost.region_links(spark))
+    for model in (links, links + 0.5 * cost.ItemCost()):
+        delta = gains(p, model, 5)
+        want = greedy_by_gain(delta.tolist())
+        want = want if assign.gain_of(delta, want) >= 0 else list(range(5))
+        with monkeypatch.context() as m:
+            m.setattr(assign, "EXACT_LIMIT", 2)
+            plan = find_relabeling(p, model, n=5)
+        assert plan.solver == "rounds" and plan.sigma == want
+        assert abs(plan.cost_before - plan.cost_after - assign.gain_of(delta, want)) < 1e-6
+    with monkeypatch.context() as m:
+        m.setattr(assign, "EXACT_LIMIT", 2)
+        for solver in ("exact", "greedy", "swap", "flow"):
+            with pytest.raises(ValueError):
+                find_relabeling(p, links, solver, n=5)
+
+
+def test_each_term_has_its_own_links(spark):
+    p = spark.createDataFrame([(0, 1, 1, 10), (1, 0, 1, 7)], "src int, dst int, n_pieces long, vol long")
+    one = cost.LinkCost(spark.createDataFrame([(0, 1, 3000.0, 0.0), (1, 0, 1.0, 0.0)], "src int, dst int, lat double, bw double"))
+    two = cost.LinkCost(spark.createDataFrame([(0, 1, 1.0, 2.0), (1, 0, 5.0, 1.0)], "src int, dst int, lat double, bw double"))
+    price = lambda c: {r.src: r.weight for r in graph.comm_graph(p, c).collect()}
+    assert price(one) == {0: 3000.0, 1: 1.0} and price(two) == {0: 21.0, 1: 12.0}
+    assert price(one + two) == {0: 3021.0, 1: 13.0} and price(2 * (one + 3 * two) + cost.VolumeCost()) == {0: 6136.0, 1: 81.0}
+    with pytest.raises(ValueError):
+        (one + two).of(F.lit(0), F.lit(1), F.lit(1), F.lit(1), F.lit(0.0), F.lit(0.0))
+
+
+def test_costs_read_lines_and_needs(spark):
+    la, lb = BC(8, 8, 4, 4, 2, 1), BC(8, 8, 8, 4, 1, 2)
+    by_row, by_col = (parcel_lines(grid_overlay(spark, la, lb), o) for o in ("row", "col"))
+    assert {r.n_lines for r in by_row.collect()} == {4} and {r.vol for r in by_row.collect()} == {128}
+    locality = lambda p: {r.weight for r in graph.comm_graph(p, cost.LocalityCost(2.0, 64, True, "n_lines")).filter("src <> dst").collect()}
+    assert locality(by_row) == locality(by_col) == {4 * 64 * 2.0}
+    p = spark.createDataFrame([(0, 1, 1, 10, 4), (1, 0, 1, 7, 0)], "src int, dst int, n_pieces long, vol long, turned long")
+    assert [r.weight for r in cost.TransformCost(0.5, needs="turned").weight(p).collect()] == [2.0, 0.0]
+
+
+def test_solver_cost_grows_with_sites():
+    assert 0 < measures.solver_seconds(16) < 5 and measures.solver_seconds(64, "greedy") > 0
+
+
+def test_files_and_descriptors(spark, tmp_path):
+    layout = BC(9, 5, 2, 2, 2, 2).window(1, 8, 0, 5).relabel([1, 0, 3, 2])
+    tables.save_layout(spark, layout, f"{tmp_path}/layout")
+    assert tables.load_layout(spark, f"{tmp_path}/layout") == layout
+    df = spark.range(20).select("id", (F.col("id") % 3).alias("site"))
+    tables.write(df, f"{tmp_path}/sites", by=["site"])
+    assert sorted(p.name for p in (tmp_path / "sites").iterdir() if p.is_dir()) == ["site=0", "site=1", "site=2"]
+    assert rows(tables.read(spark, f"{tmp_path}/sites").select("id", F.col("site").cast("long"))) == rows(df)
+    tables.write(df, f"{tmp_path}/c", fmt="csv")
+    assert rows(tables.read(spark, f"{tmp_path}/c", "csv", "id long, site long")) == rows(df)
+    with pytest.raises(ValueError):
+        tables.write(df, f"{tmp_path}/b", buckets=4)

@@ -51,7 +51,28 @@ def test_tiles_are_given_out_when_complete(spark, folder):
     want = {}
     for r in cells.collect():
         want.setdefault((r.i // 4, r.j // 4), []).append(r.v)
-    assert {(r.bi, r.bj): r.total for r in got.collect()} == {k: sum(v) for k, v in want.items() if len(v) == 16}
+    assert {(r.bi, r.bj): (r.total, r.cells, r.data) for r in got.collect()} == {k: (sum(v), 16, sorted(v)) for k, v in want.items() if len(v) == 16}
+
+
+def test_replies_within_the_interval(spark, folder):
+    asks = spark.createDataFrame([(1, "00:00"), (2, "00:10")], "user_id long, t string")
+    replies = spark.createDataFrame([(1, "00:30"), (1, "05:00"), (2, "00:05"), (2, "00:40"), (3, "00:01")], "user_id long, t string")
+    both = []
+    for k, df in enumerate((asks, replies)):
+        timed = df.select("user_id", F.to_timestamp(F.concat(F.lit("2026-01-01 00:"), "t")).alias("ts"))
+        timed.write.parquet(f"{folder}/{k}")
+        both.append(spark.readStream.schema(timed.schema).parquet(f"{folder}/{k}").withWatermark("ts", "10 minutes"))
+    got = played(volumes.answered(*both, "1 MINUTE"))
+    assert sorted((r.user, r.replied.second) for r in got.collect()) == [(1, 30), (2, 40)]
+
+
+def test_relabeling_is_refreshed_by_a_stream(spark, folder):
+    keep: dict = {}
+    rows = spark.createDataFrame([(0, 1, 100), (1, 0, 100), (0, 0, 5)], "src int, dst int, vol long")
+    q = stream(spark, rows, folder).writeStream.foreachBatch(volumes.refresh(2, keep)).start()
+    q.processAllAvailable()
+    q.stop()
+    assert keep["sigma"] == [1, 0] and sum(keep["parcels"].values()) == 205
 
 
 def test_relabeling_changes_only_for_a_real_gain(spark):
