@@ -35,12 +35,22 @@ def gain_of(gain: np.ndarray, sigma: list[int]) -> float:
 def solve_exact(gain: np.ndarray) -> tuple[list[int], tuple[np.ndarray, np.ndarray]]:
     """Largest total gain, and prices (u, v) that prove it: u[x] + v[y] >= gain[x, y], equal on the assignment.
 
-    Roles enter one at a time; each grows a tree of tight pairs (shortest augmenting path) until it meets a free site."""
+    Prices start at each role's best gain, and roles take a free site of that gain, their own before others. The others
+    enter one at a time; each grows a tree of tight pairs (shortest augmenting path) until it meets a free site."""
     n = len(gain)
     cost = -np.asarray(gain, float)
     price_role, price_site = np.zeros(n + 1), np.zeros(n + 1)
     role_at = np.full(n + 1, n)
-    for x in range(n):
+    waiting = []
+    if n:
+        price_role[:n] = cost.min(axis=1)
+        for x in sorted(range(n), key=lambda x: cost[x, x] != price_role[x]):
+            tight = np.flatnonzero((cost[x] == price_role[x]) & (role_at[:n] == n))
+            if len(tight):
+                role_at[x if role_at[x] == n and cost[x, x] == price_role[x] else tight[0]] = x
+            else:
+                waiting.append(x)
+    for x in waiting:
         role_at[n] = x
         slack, came, done = np.full(n + 1, np.inf), np.full(n + 1, n), np.zeros(n + 1, bool)
         at = n
