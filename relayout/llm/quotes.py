@@ -1,14 +1,16 @@
 """Chat formatting by quotation linking.
 
-A message's lines are parsed into nested quote levels (``>`` marks, as in mail and forums); consecutive quoted lines of
-one level are a passage. Passages are normalised and hashed, line by line, and joined to the messages whose own
-(unquoted) lines hash alike: first within the conversation, to the latest earlier turn; passages found nowhere there
-are looked up among all conversations. A message replies to the turn that it quotes at the lowest level, or else to the
-turn before it. Quotes and attribution lines are then dropped, and each conversation is put in reply order: a branch
-that answers an older turn comes after the branch that it leaves.
-
-Only built-in functions. Originals are cut down to the hashes that some quote asks for before they move, and equal
-lines of a conversation are one row, so a line that everybody writes makes no group larger than the quotes of it.
+A message's lines are parsed into nested quote levels (``>`` marks, as in mail and forums). Consecutive lines of one level
+are a passage: its lines are joined, whatever way they were wrapped, and normalised. A passage is looked up by its lines
+and sentences, and by the first and the last five words of it, so a quote that was wrapped again, or is a part of a
+sentence, is found as well. Keys are compared as text. The other side are the messages' own (unquoted) passages: their
+lines and sentences, and every run of five words. A passage is looked for first within the conversation, in the latest
+earlier turn; one that is found nowhere there, among all conversations. A message replies to the turn that it quotes at
+the lowest level, or else to the turn before it. Quotes and attribution lines are then dropped, and each conversation is
+put in reply order: a branch that answers an older turn comes after the branch that it leaves.
+
+Only built-in functions. Originals are cut down to the keys that some quote asks for before they move, and equal keys of
+a conversation are one row, so a line that everybody writes makes no group larger than the quotes of it.
 """
 
 from __future__ import annotations
@@ -28,22 +30,53 @@ def normalised(line: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(F.regexp_replace(line, MARK, "")), r"[^\p{L}\p{N}]+", " "))
 
 
+#: Words of a run that identifies a quoted passage.
+RUN = 5
+#: Marks that don't occur in texts, between passages and between their parts.
+CUT, PART = "\u0002", "\u0003"
+
+
 def parse(messages: DataFrame) -> DataFrame:
-    """messages with ``lines``: structs (at, level, raw, key); level 0 is the message's own text, key null for blanks."""
-    raw = F.split(F.coalesce(F.col("text"), F.lit("")), r"\r?\n")
-    marks = lambda x: F.regexp_extract(x, MARK, 0)
+    """messages with ``lines``: structs (at, level, raw), level 0 the message's own text; and ``passages``: structs (level,
+    text, lines), runs of lines of one level, the text without quote marks and line breaks, lines the lines alone."""
+    raw = F.split(F.regexp_replace(F.coalesce(F.col("text"), F.lit("")), f"[{CUT}{PART}]", " "), r"\r?\n")
 
     def line(x: Column, i: Column) -> Column:
-        norm = normalised(x)
-        level = F.length(F.regexp_replace(marks(x), r"[^>]", ""))
-        return F.struct(i.alias("at"), level.alias("level"), x.alias("raw"), F.when(norm != "", F.xxhash64(norm)).alias("key"))
-
-    return messages.withColumn("lines", F.transform(raw, line))
+        return F.struct(i.alias("at"), F.length(F.regexp_replace(F.regexp_extract(x, MARK, 0), r"[^>]", "")).alias("level"), x.alias("raw"))
+
+    # one string in which each passage begins with its level: a pass over the lines, however many there are (a lambda that
+    # looked into the column of lines would compute it again for each line)
+    level = F.transform("lines", lambda x: x["level"])
+    before = F.concat(F.array(F.lit(-1)), F.slice(level, 1, F.greatest(F.size(level) - 1, F.lit(1))))
+    marked = F.zip_with("lines", before, lambda x, b: F.when(x.isNotNull(), F.concat(F.when(x["level"] != b, F.concat(F.lit(CUT), x["level"].cast("string"))).otherwise(F.lit("")), F.lit(PART), F.regexp_replace(x["raw"], MARK, ""))))
+    blocks = F.filter(F.split(F.array_join(marked, ""), CUT), lambda x: x != "")
+
+    def passage(x: Column) -> Column:
+        parts = F.split(x, PART)
+        rest = F.slice(parts, 2, F.size(parts))
+        return F.struct(F.element_at(parts, 1).cast("int").alias("level"), F.array_join(rest, " ").alias("text"), rest.alias("lines"))
+
+    out = messages.withColumn("lines", F.transform(raw, line))
+    return out.withColumn("passages", F.transform(blocks, passage))
+
+
+def keys_of(passage: Column, own: bool) -> Column:
+    """The keys of a passage: its lines and sentences, and runs of words: all of an own passage, first and last of a quote."""
+    units = F.transform(F.concat(passage["lines"], F.split(passage["text"], r"(?<=[.!?])\s+")), normalised)
+    words = F.split(normalised(passage["text"]), " ")
+    later = lambda k: F.slice(words, k + 1, F.greatest(F.size(words), F.lit(1)))
+    runs = words
+    for k in range(1, RUN):  # words side by side; a run that ends behind the last word is null
+        runs = F.zip_with(runs, later(k), lambda x, y: F.concat(x, F.lit(" "), y))
+    if not own:
+        whole = F.filter(runs, lambda x: x.isNotNull())
+        runs = F.array(F.get(whole, 0), F.try_element_at(whole, F.lit(-1)))
+    return F.array_distinct(F.filter(F.concat(units, runs), lambda x: x.isNotNull() & (x != "")))
 
 
 def link(messages: DataFrame) -> DataFrame:
     """One row a message: its columns, reply_to (turn, null for the first), reply_conv, n_quotes (quoted passages),
-    n_linked (quoted lines found in an original), thread and position (reply order in the conversation), and clean (the
+    n_linked (quoted passages found in an original), thread and position (reply order in the conversation), and clean (the
     text without quotes and attribution lines).
 
     messages: (conv_id, turn, role, text, ...). Null texts are empty messages; a null conv_id is one conversation, and
@@ -56,14 +89,14 @@ def link(messages: DataFrame) -> DataFrame:
     parsed = parse(messages.select(*own))
     same = lambda a, b: a.eqNullSafe(b)
 
-    quoted = parsed.select("conv_id", "turn", F.explode(F.filter("lines", lambda x: (x["level"] > 0) & x["key"].isNotNull())).alias("x"))
-    quoted = quoted.groupBy("conv_id", "turn", F.col("x.key").alias("key")).agg(F.min("x.level").alias("level"))
+    quoted = parsed.select("conv_id", "turn", F.posexplode(F.filter("passages", lambda x: x["level"] > 0)).alias("passage", "x"))
+    quoted = quoted.select("conv_id", "turn", "passage", F.col("x.level").alias("level"), F.explode(keys_of(F.col("x"), False)).alias("key"))
     asked = quoted.select("key").distinct()
-    originals = parsed.select("conv_id", "turn", F.explode(F.filter("lines", lambda x: (x["level"] == 0) & x["key"].isNotNull())).alias("x"))
-    originals = originals.select("conv_id", "turn", F.col("x.key").alias("key")).join(asked, "key", "left_semi").distinct()
+    originals = parsed.select("conv_id", "turn", F.explode(F.filter("passages", lambda x: x["level"] == 0)).alias("x"))
+    originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("key")).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
 
     # within the conversation: the last original before the quote, among rows of one line in one conversation
-    both = quoted.select("conv_id", "turn", "key", "level", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", F.lit(None).cast("int").alias("level"), F.lit(0).alias("q")))
+    both = quoted.select("conv_id", "turn", "key", "level", "passage", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", *(F.lit(None).cast("int").alias(c) for c in ("level", "passage")), F.lit(0).alias("q")))
     earlier = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
     both = both.withColumn("turn", F.coalesce(F.col("turn").cast("long"), F.lit(-1)))
     here = both.withColumn("found", F.max(F.when(F.col("q") == 0, F.col("turn"))).over(earlier)).filter("q = 1")
@@ -71,12 +104,12 @@ def link(messages: DataFrame) -> DataFrame:
     there = here.join(anywhere, "key", "left")
     other = F.col("found").isNull() & F.col("first").isNotNull() & ~same(F.col("first.conv_id"), F.col("conv_id"))
     hits = there.select(
-        "conv_id", "turn", "level", F.coalesce("found", F.when(other, F.col("first.turn"))).alias("to_turn"), F.when(F.col("found").isNotNull(), F.col("conv_id")).when(other, F.col("first.conv_id")).alias("to_conv"),
+        "conv_id", "turn", "level", "passage", F.coalesce("found", F.when(other, F.col("first.turn"))).alias("to_turn"), F.when(F.col("found").isNotNull(), F.col("conv_id")).when(other, F.col("first.conv_id")).alias("to_conv"),
         F.col("found").isNotNull().alias("inside"),
     )
     # the lowest level, then the conversation's own turns, then the latest
     best = hits.filter("to_turn IS NOT NULL").groupBy("conv_id", "turn").agg(
-        F.count(F.lit(1)).alias("n_linked"),
+        F.count_distinct("passage").alias("n_linked"),
         F.min(F.struct("level", (~F.col("inside")).alias("outside"), (-F.col("to_turn")).alias("back"), "to_conv")).alias("b"),
     )
     best = best.select(F.col("conv_id").alias("_c"), F.col("turn").alias("_t"), "n_linked", (-F.col("b.back")).alias("_to"), F.col("b.to_conv").alias("_tc"), (~F.col("b.outside")).alias("_in"))
@@ -86,7 +119,7 @@ def link(messages: DataFrame) -> DataFrame:
     turns = Window.partitionBy("conv_id").orderBy("_turn")
     last = F.max("_turn").over(turns.rangeBetween(Window.unboundedPreceding, -1))
     rows = rows.withColumn("_last", last)
-    passage = F.size(F.filter(F.transform("lines", lambda x, i: (x["level"] > 0) & ((i == 0) | (F.element_at("lines", F.greatest(i, F.lit(1)))["level"] != x["level"]))), lambda x: x))
+    passage = F.size(F.filter("passages", lambda x: x["level"] > 0))
     kept = F.filter("lines", lambda x: (x["level"] == 0) & ~F.rlike(x["raw"], F.lit(ATTRIBUTION)))
     rows = rows.withColumns({
         "reply_to": F.coalesce("_to", "_last"),

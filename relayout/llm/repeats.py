@@ -537,6 +537,20 @@ def sample_entries(search: Search, x: Stretches, buckets: int) -> pa.RecordBatch
     return pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int32()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.binary())], ["bucket", "part", "body"])
 
 
+#: About how many bytes of records one bucket holds; a task sorts one bucket at a time.
+BUCKET_BYTES = 64_000_000
+
+
+def buckets_for(total: int | None, least: int) -> int:
+    """How many buckets so many bytes of records need: they grow with the data, and no bucket does."""
+    return max(least, -(-(total or 0) // BUCKET_BYTES))
+
+
+def by_buckets(entries: DataFrame, n: int):  # noqa: ANN201
+    """entries grouped by bucket, over as many partitions as there are buckets."""
+    return entries.repartition(n, "bucket").groupBy("bucket")
+
+
 def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent: tuple[DataFrame, ...] = ()) -> DataFrame:
     """(doc_id, rid, found): ranges of units under repeated windows, each a binary of (from, to), 8 bytes each.
 
@@ -545,20 +559,24 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
     found = materialise(pieces(docs, hits, search), "pieces")
     discard(*spent)
 
+    n_contexts = buckets_for((found.agg(F.sum(F.octet_length("ranges"))).first()[0] or 0) // 12 * RECORD.itemsize, buckets)
+
     def of_contexts(x: Stretches) -> pa.RecordBatch:
-        return entries_of(x.part[x.of], *contexts(search, x), buckets)
+        return entries_of(x.part[x.of], *contexts(search, x), n_contexts)
 
-    replies = _each(found, search, 3, of_contexts, ENTRY).groupBy("bucket").applyInPandas(repeated, "part long, body binary")
+    replies = by_buckets(_each(found, search, 3, of_contexts, ENTRY), n_contexts).applyInPandas(repeated, "part long, body binary")
     settled = materialise(settle(search, found, replies), "settled")
     discard(found)
     open_ = settled.filter("kind = 1").drop("kind")
+    # a window begins at each byte, or at each word: words have a few bytes
+    n_windows = buckets_for((open_.agg(F.sum(F.octet_length("body"))).first()[0] or 0) * RECORD.itemsize // (4 if search.words else 1), buckets)
 
     def all_windows(x: Stretches) -> pa.RecordBatch:
         at, of = open_windows(x)
-        return entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], buckets)
+        return entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], n_windows)
 
     if search.cover:
-        shared = _each(open_, search, 2, lambda x: sample_entries(search, x, buckets), ENTRY).groupBy("bucket").applyInPandas(repeated_samples, "part long, body binary")
+        shared = by_buckets(_each(open_, search, 2, lambda x: sample_entries(search, x, n_windows), ENTRY), n_windows).applyInPandas(repeated_samples, "part long, body binary")
 
         def of_sampled(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
             if not left.num_rows or not len(got):
@@ -572,12 +590,12 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
             at, of = open_windows(x)
             some = marked[np.minimum(at + v, len(x.one) + v)] > marked[at]
             at, of = at[some], of[some]
-            yield pa.Table.from_batches([entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], buckets)])
+            yield pa.Table.from_batches([entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], n_windows)])
 
         entries = _with_replies(open_, shared, of_sampled, ENTRY, np.dtype("<u8"))
     else:
         entries = _each(open_, search, 2, all_windows, ENTRY)
-    same = entries.groupBy("bucket").applyInPandas(repeated, "part long, body binary")
+    same = by_buckets(entries, n_windows).applyInPandas(repeated, "part long, body binary")
 
     def final(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
         if not left.num_rows or not len(got):

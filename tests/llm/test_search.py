@@ -433,6 +433,26 @@ def test_quotes_are_linked(spark):
     assert quotes.render(quotes.link(m)).filter("conv_id = 1 AND position = 2").first().chat == "<|assistant|>\nFine, thanks.\n<|end|>"
 
 
+def test_wrapped_and_partial_quotes_are_linked(spark):
+    said = "The river rises every spring, and the old mill stands in water. Nobody has lived there for years! Still the wheel turns at night."
+    wrapped = "> The river rises every\n> spring, and the old mill\n> stands in water. Nobody has\n> lived there for years! Still the wheel turns at night.\nReally?"
+    m = spark.createDataFrame([
+        (1, 0, "user", said), (1, 1, "user", "Something else was said here, at some length too."), (1, 2, "user", wrapped),
+        (1, 3, "user", "> spring, and the old mill stands\nA part of a sentence."), (1, 4, "user", ">> NOBODY has lived\n>> there for years\n> Really?\nNo."),
+        (1, 5, "user", "> the old mill was never in\nfive words that nobody wrote"), (2, 0, "user", "> has lived there for years! Still the wheel [...]\nfrom afar"), (3, 0, "user", "a\x02b\x03c"),
+    ], "conv_id long, turn long, role string, text string")
+    got = {(r.conv_id, r.turn): r for r in quotes.link(m).collect()}
+    assert [got[1, k].reply_to for k in range(6)] == [None, 0, 0, 0, 2, 4] and [got[1, k].n_linked for k in range(6)] == [0, 0, 1, 1, 2, 0]
+    assert (got[2, 0].reply_conv, got[2, 0].reply_to, got[2, 0].clean) == (1, 0, "from afar") and got[1, 2].clean == "Really?" and got[3, 0].clean
+
+
+def test_a_long_message_is_parsed_in_one_pass(spark):
+    long = "\n".join(f"> quoted line number {k}" if k % 3 else f"own line {k}" for k in range(20_000))
+    m = spark.createDataFrame([(1, 0, "user", "quoted line number 1\nquoted line number 2"), (1, 1, "user", long), (1, 2, "user", "x " * 100_000)], "conv_id long, turn long, role string, text string")
+    got = {r.turn: r for r in quotes.link(m).collect()}
+    assert got[1].n_quotes == 6667 - (20_000 % 3 == 1) and got[1].reply_to == 0 and got[1].n_linked == 1
+
+
 def test_replies_against_a_plain_search(spark):
     draw = random.Random(4)
     said, rows = {}, []
