@@ -541,3 +541,16 @@ def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buck
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = join(keyed(table(spark, sf_dir, "documents").select("doc_id", "text")))
     return found.select(unnull("doc_id"), "n_shingles", unnull("component_id"), "n_links")
+
+
+#: All pairs that share a gram, and the closure of links.
+ORACLE = r"""
+WITH RECURSIVE d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+grams AS (SELECT DISTINCT doc_id, array_to_string(w[s : s + 4], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS s FROM d WHERE len(w) > 0)),
+size AS (SELECT doc_id, count(*) AS n FROM grams GROUP BY 1),
+common AS (SELECT a.doc_id AS u, b.doc_id AS v, count(*) AS n FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (SELECT u, v FROM common c JOIN size a ON a.doc_id = u JOIN size b ON b.doc_id = v WHERE 100 * c.n >= 80 * (a.n + b.n - c.n)),
+reach AS (SELECT u, v FROM links UNION SELECT reach.u, links.v FROM reach JOIN links ON reach.v = links.u)
+SELECT d.doc_id, coalesce(size.n, 0) AS n_shingles, least(d.doc_id, coalesce((SELECT min(v) FROM reach WHERE u = d.doc_id), d.doc_id)) AS component_id, (SELECT count(*) FROM links WHERE u = d.doc_id) AS n_links
+FROM d LEFT JOIN size ON size.doc_id = d.doc_id
+"""

@@ -17,6 +17,8 @@ QUERIES = {
     "op10_exact_topk": topk.query,
 }
 ORACLES = {
+    "op4_substring_dedup": substring_index.ORACLE,
     "op7_url_filter": url_filter.ORACLE,
+    "op9_jaccard_join": jaccard.ORACLE,
     "op10_exact_topk": topk.ORACLE,
 }

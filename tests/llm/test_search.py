@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import math
 import random
 import re
@@ -12,7 +13,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from relayout.llm import decontam, language_id, packing, quality, quotes, topk, url_filter
+from relayout.llm import decontam, jaccard, language_id, packing, quality, quotes, substring_index, topk, url_filter
 
 SF = "/root/testdata/sf0.01"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -25,12 +26,12 @@ def docs_of(spark, rows):
 @pytest.fixture(scope="module")
 def duck():
     con = duckdb.connect()
-    for t in ("pages", "embeddings"):
+    for t in ("pages", "embeddings", "documents"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
     return con
 
 
-@pytest.mark.parametrize("module", [url_filter, topk])
+@pytest.mark.parametrize("module", [url_filter, topk, jaccard, substring_index])
 def test_against_sql(spark, duck, module):
     got = sorted(map(tuple, module.query(spark, SF).collect()), key=str)
     assert got == sorted(duck.execute(module.ORACLE).fetchall(), key=str)
@@ -95,6 +96,33 @@ def test_held_out_accuracy(spark):
     assert sum(r.lang_pred == truth[r.doc_id] for r in held) / len(held) > 0.98
 
 
+def brute_labels(scores, penalty):
+    """The best labels of a short text by trying all sequences; ties to what Viterbi may choose are compared by value."""
+    value = lambda seq: sum(scores[t][k] for t, k in enumerate(seq)) - penalty * sum(a != b for a, b in zip(seq, seq[1:], strict=False))
+    return value, max(value(seq) for seq in itertools.product(range(len(scores[0])), repeat=len(scores)))
+
+
+def test_viterbi_against_all_sequences():
+    draw = np.random.default_rng(4)
+    model = language_id.Model(["a", "b", "c"], np.zeros((1, 3), np.float32), np.ones((1, 3), bool), 1, penalty=2.0)
+    for _ in range(25):
+        sizes = draw.integers(0, 7, 5)
+        doc = np.repeat(np.arange(5), sizes)
+        scores = draw.normal(0, 2, (len(doc), 3)).astype(np.float32)
+        labels = model.label(scores, doc, 5)
+        for d in range(5):
+            own = scores[doc == d].astype(float).tolist()
+            if own:
+                value, best = brute_labels(own, 2.0)
+                assert abs(value(labels[doc == d].tolist()) - best) < 1e-4
+
+
+def test_a_whole_word_counts():
+    words = ["unabhängigkeitserklärung", "unabhängigkeitserklärungen", "unabhängigkeitserklxrung"]
+    cells = [language_id.read_words([w], 18).cells[-1] for w in words]
+    assert len(set(cells)) == 3 and cells[0] == language_id.read_words(["x " + words[0].upper() + " y"], 18).cells[-2]
+
+
 def test_spans_of_mixed_text(spark, model):
     texts = {r.lang: r.text for r in spark.read.parquet(f"{SF}/documents.parquet").filter("length(text) BETWEEN 900 AND 1500").collect()}
     joined = texts["en"] + "\n" + texts["de"] + "\n" + texts["fr"]
