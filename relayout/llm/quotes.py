@@ -9,16 +9,18 @@ earlier turn; one that is found nowhere there, among all conversations. A messag
 the lowest level, or else to the turn before it. Quotes and attribution lines are then dropped, and each conversation is
 put in reply order: a branch that answers an older turn comes after the branch that it leaves.
 
-Only built-in functions. Originals are cut down to the keys that some quote asks for before they move, and equal keys of
+Only built-in functions. Conversations are put in order by ranges, so a long one lies in many partitions. Originals are cut down to the keys that some quote asks for before they move, and equal keys of
 a conversation are one row, so a line that everybody writes makes no group larger than the quotes of it.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from relayout.llm.shared import table
+from relayout.llm.shared import materialise, parts, table
 
 MARK = r"^[\s>]*>"
 #: How an attribution line ends, and what it holds, in four languages.
@@ -61,7 +63,8 @@ def parse(messages: DataFrame) -> DataFrame:
 
 
 def keys_of(passage: Column, own: bool) -> Column:
-    """The keys of a passage: its lines and sentences, and runs of words: all of an own passage, first and last of a quote."""
+    """The keys of a passage: its lines and sentences, and (weak) runs of words: all of an own passage, first and last of a
+    quote."""
     units = F.transform(F.concat(passage["lines"], F.split(passage["text"], r"(?<=[.!?])\s+")), normalised)
     words = F.split(normalised(passage["text"]), " ")
     later = lambda k: F.slice(words, k + 1, F.greatest(F.size(words), F.lit(1)))
@@ -71,7 +74,8 @@ def keys_of(passage: Column, own: bool) -> Column:
     if not own:
         whole = F.filter(runs, lambda x: x.isNotNull())
         runs = F.array(F.get(whole, 0), F.try_element_at(whole, F.lit(-1)))
-    return F.array_distinct(F.filter(F.concat(units, runs), lambda x: x.isNotNull() & (x != "")))
+    some = lambda xs, weak: F.transform(F.array_distinct(F.filter(xs, lambda x: x.isNotNull() & (x != ""))), lambda x: F.struct(x.alias("key"), F.lit(weak).alias("weak")))
+    return F.concat(some(units, 0), some(runs, 1))
 
 
 def link(messages: DataFrame) -> DataFrame:
@@ -90,13 +94,13 @@ def link(messages: DataFrame) -> DataFrame:
     same = lambda a, b: a.eqNullSafe(b)
 
     quoted = parsed.select("conv_id", "turn", F.posexplode(F.filter("passages", lambda x: x["level"] > 0)).alias("passage", "x"))
-    quoted = quoted.select("conv_id", "turn", "passage", F.col("x.level").alias("level"), F.explode(keys_of(F.col("x"), False)).alias("key"))
+    quoted = quoted.select("conv_id", "turn", "passage", F.col("x.level").alias("level"), F.explode(keys_of(F.col("x"), False)).alias("k")).groupBy("conv_id", "turn", "passage", "level", F.col("k.key").alias("key")).agg(F.min("k.weak").alias("weak"))
     asked = quoted.select("key").distinct()
     originals = parsed.select("conv_id", "turn", F.explode(F.filter("passages", lambda x: x["level"] == 0)).alias("x"))
-    originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("key")).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
+    originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("k")).select("conv_id", "turn", F.col("k.key").alias("key")).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
 
     # within the conversation: the last original before the quote, among rows of one line in one conversation
-    both = quoted.select("conv_id", "turn", "key", "level", "passage", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", *(F.lit(None).cast("int").alias(c) for c in ("level", "passage")), F.lit(0).alias("q")))
+    both = quoted.select("conv_id", "turn", "key", "level", "passage", "weak", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", *(F.lit(None).cast("int").alias(c) for c in ("level", "passage", "weak")), F.lit(0).alias("q")))
     earlier = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
     both = both.withColumn("turn", F.coalesce(F.col("turn").cast("long"), F.lit(-1)))
     here = both.withColumn("found", F.max(F.when(F.col("q") == 0, F.col("turn"))).over(earlier)).filter("q = 1")
@@ -104,37 +108,61 @@ def link(messages: DataFrame) -> DataFrame:
     there = here.join(anywhere, "key", "left")
     other = F.col("found").isNull() & F.col("first").isNotNull() & ~same(F.col("first.conv_id"), F.col("conv_id"))
     hits = there.select(
-        "conv_id", "turn", "level", "passage", F.coalesce("found", F.when(other, F.col("first.turn"))).alias("to_turn"), F.when(F.col("found").isNotNull(), F.col("conv_id")).when(other, F.col("first.conv_id")).alias("to_conv"),
+        "conv_id", "turn", "level", "passage", "weak", F.coalesce("found", F.when(other, F.col("first.turn"))).alias("to_turn"), F.when(F.col("found").isNotNull(), F.col("conv_id")).when(other, F.col("first.conv_id")).alias("to_conv"),
         F.col("found").isNotNull().alias("inside"),
     )
-    # the lowest level, then the conversation's own turns, then the latest
+    # the lowest level, then the conversation's own turns, then lines and sentences before runs, then the latest
     best = hits.filter("to_turn IS NOT NULL").groupBy("conv_id", "turn").agg(
         F.count_distinct("passage").alias("n_linked"),
-        F.min(F.struct("level", (~F.col("inside")).alias("outside"), (-F.col("to_turn")).alias("back"), "to_conv")).alias("b"),
+        F.min(F.struct("level", (~F.col("inside")).alias("outside"), "weak", (-F.col("to_turn")).alias("back"), "to_conv")).alias("b"),
     )
     best = best.select(F.col("conv_id").alias("_c"), F.col("turn").alias("_t"), "n_linked", (-F.col("b.back")).alias("_to"), F.col("b.to_conv").alias("_tc"), (~F.col("b.outside")).alias("_in"))
 
     keyed = parsed.withColumn("_turn", F.coalesce(F.col("turn").cast("long"), F.lit(-1)))
     rows = keyed.join(best, same(F.col("conv_id"), F.col("_c")) & (F.col("_turn") == F.col("_t")), "left")
-    turns = Window.partitionBy("conv_id").orderBy("_turn")
-    last = F.max("_turn").over(turns.rangeBetween(Window.unboundedPreceding, -1))
-    rows = rows.withColumn("_last", last)
     passage = F.size(F.filter("passages", lambda x: x["level"] > 0))
     kept = F.filter("lines", lambda x: (x["level"] == 0) & ~F.rlike(x["raw"], F.lit(ATTRIBUTION)))
+    clean = F.when(F.col("text").isNotNull(), F.regexp_replace(F.array_join(F.transform(kept, lambda x: x["raw"]), "\n"), r"^\s+|\s+$", ""))
+    rows = rows.select(*own, "_turn", "_to", "_tc", "_in", passage.alias("n_quotes"), F.coalesce("n_linked", F.lit(0)).alias("n_linked"), clean.alias("clean"), F.xxhash64("text").alias("_hash"))
+
+    # in turn order, a long conversation over many partitions: what came before is looked up here and carried over
+    rows = in_ranges(rows, ["conv_id", "_turn"], "turns")
+    turns = Window.partitionBy("conv_id", "_part").orderBy("_turn")
+    rows = with_carried(rows, F.max("_turn"), F.max)
+    rows = rows.withColumn("_last", F.coalesce(F.max("_turn").over(turns.rangeBetween(Window.unboundedPreceding, -1)), "_carried"))
+    # a branch begins at the first turn, and where a turn answers another than the one before it
+    rows = rows.withColumn("_start", F.when(F.col("_last").isNull() | (F.coalesce(F.col("_in"), F.lit(False)) & (F.col("_to") != F.col("_last"))), F.col("_turn")))
+    rows = with_carried(rows.drop("_carried"), F.max("_start"), F.max)
+    # starts rise with turns, so the last one so far is the largest
+    rows = rows.withColumn("thread", F.coalesce(F.max("_start").over(turns.rangeBetween(Window.unboundedPreceding, Window.currentRow)), "_carried"))
     rows = rows.withColumns({
         "reply_to": F.coalesce("_to", "_last"),
         "reply_conv": F.when(F.col("_to").isNotNull(), F.col("_tc")).when(F.col("_last").isNotNull(), F.col("conv_id")),
-        "n_quotes": passage,
-        "n_linked": F.coalesce("n_linked", F.lit(0)),
-        "clean": F.when(F.col("text").isNotNull(), F.regexp_replace(F.array_join(F.transform(kept, lambda x: x["raw"]), "\n"), r"^\s+|\s+$", "")),
-        # a branch begins at the first turn, and where a turn answers another than the one before it
-        "_start": F.when(F.col("_last").isNull() | (F.coalesce(F.col("_in"), F.lit(False)) & (F.col("_to") != F.col("_last"))), F.col("_turn")),
     })
-    rows = rows.withColumn("thread", F.last("_start", ignorenulls=True).over(turns.rangeBetween(Window.unboundedPreceding, Window.currentRow)))
-    rows = rows.withColumn("position", F.row_number().over(Window.partitionBy("conv_id").orderBy("thread", "_turn", F.xxhash64("text"))))
+    order = ["thread", "_turn", "_hash"]
+    rows = in_ranges(rows.drop("_carried", "_part"), ["conv_id", *order], "replies")
+    rows = with_carried(rows, F.count(F.lit(1)), F.sum)
+    place = F.row_number().over(Window.partitionBy("conv_id", "_part").orderBy(*order))
+    rows = rows.withColumn("position", (place + F.coalesce("_carried", F.lit(0))).cast("int"))
     return rows.select(*own, *added)
 
 
+def in_ranges(rows: DataFrame, order: list[str], label: str) -> DataFrame:
+    """rows, written in order over the session's partitions, with _part, the number of the range each lies in: a conversation
+    of any length is cut into ranges. Equal keys share one."""
+    return materialise(rows.repartitionByRange(parts(rows.sparkSession), *order).withColumn("_part", F.spark_partition_id()), label)
+
+
+def with_carried(rows: DataFrame, value: Column, over: Callable[[Column], Column]) -> DataFrame:
+    """rows with _carried: value of each earlier range of the conversation, combined; null where there is none. Only
+    conversations that lie in several ranges have a row here: at most two ends and the ranges between, for each range."""
+    each = rows.groupBy("conv_id", "_part").agg(value.alias("v"))
+    whole = Window.partitionBy("conv_id")
+    before = over(F.col("v")).over(whole.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1))
+    each = each.select(F.col("conv_id").alias("_conv"), F.col("_part").alias("_at"), before.alias("_carried"), F.count(F.lit(1)).over(whole).alias("n")).filter("n > 1").drop("n")
+    return rows.join(F.broadcast(each), rows["conv_id"].eqNullSafe(F.col("_conv")) & (F.col("_part") == F.col("_at")), "left").drop("_conv", "_at")
+
+
 def render(linked: DataFrame) -> DataFrame:
     """A line of chat markup for each message: (conv_id, position, chat)."""
     role = F.coalesce(F.col("role"), F.lit("user"))

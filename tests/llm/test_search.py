@@ -474,6 +474,20 @@ def test_wrapped_and_partial_quotes_are_linked(spark):
     assert (got[2, 0].reply_conv, got[2, 0].reply_to, got[2, 0].clean) == (1, 0, "from afar") and got[1, 2].clean == "Really?" and got[3, 0].clean
 
 
+def test_a_hot_conversation_lies_in_many_ranges(spark):
+    rows = [(1, t, "user", f"> this was said in turn {t - 7} of all\nthis was said in turn {t} of all" if t % 50 == 9 else f"this was said in turn {t} of all") for t in range(400)]
+    rows += [(1, 20, "user", "again"), (2, 0, "user", "short"), (2, 1, "user", "one"), (None, 0, "user", "x"), (None, 5, "user", "y")]
+    got = quotes.link(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(3)).collect()
+    hot = sorted((r for r in got if r.conv_id == 1), key=lambda r: r.position)
+    assert [r.position for r in hot] == list(range(1, 402)) and len(got) == 405
+    starts = [0, *range(9, 400, 50)]
+    for r in hot:
+        assert r.thread == max(s for s in starts if s <= r.turn)
+        assert r.reply_to == (None if r.turn == 0 else r.turn - 7 if r.turn % 50 == 9 else r.turn - 1)
+    assert [(r.thread, r.turn) for r in hot] == sorted((r.thread, r.turn) for r in hot)
+    assert {(r.conv_id, r.turn): r.position for r in got if r.conv_id != 1} == {(2, 0): 1, (2, 1): 2, (None, 0): 1, (None, 5): 2}
+
+
 def test_a_long_message_is_parsed_in_one_pass(spark):
     long = "\n".join(f"> quoted line number {k}" if k % 3 else f"own line {k}" for k in range(20_000))
     m = spark.createDataFrame([(1, 0, "user", "quoted line number 1\nquoted line number 2"), (1, 1, "user", long), (1, 2, "user", "x " * 100_000)], "conv_id long, turn long, role string, text string")
