@@ -34,6 +34,8 @@ def normalised(line: Column) -> Column:
 
 #: Words of a run that identifies a quoted passage.
 RUN = 5
+#: Bits of the map of asked keys: 16 MB.
+BITS = 1 << 27
 #: Marks that don't occur in texts, between passages and between their parts.
 CUT, PART = "\u0002", "\u0003"
 
@@ -78,6 +80,18 @@ def keys_of(passage: Column, own: bool) -> Column:
     return F.concat(some(units, 0), some(runs, 1))
 
 
+def maybe_in(rows: DataFrame, asked: DataFrame) -> DataFrame:
+    """rows without most of those whose key nobody asks for, before they move. asked: (key). The keys' hashes are bits of a map
+    of BITS bits, whatever their number; a bit that two keys share only lets a row through that the join drops."""
+    bit = lambda key: F.pmod(F.xxhash64(key), F.lit(BITS)) + 1
+    marks = asked.select(bit(F.col("key")).alias("b")).groupBy(F.bitmap_bucket_number("b").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("b")).alias("map"))
+    at = F.bitmap_bit_position(bit(F.col("key"))).cast("int")
+    byte = F.conv(F.hex(F.substr("map", F.shiftright(at, 3) + 1, F.lit(1))), 16, 10).cast("int")
+    is_set = F.expr("shiftright(_byte, _bit)").bitwiseAND(F.lit(1)) == 1
+    near = rows.withColumn("_bucket", F.bitmap_bucket_number(bit(F.col("key")))).join(F.broadcast(marks), F.col("_bucket") == F.col("bucket"))  # at most BITS / 32768 rows of 4 KB
+    return near.withColumns({"_byte": byte, "_bit": at.bitwiseAND(F.lit(7))}).filter(is_set).select(*rows.columns)
+
+
 def link(messages: DataFrame) -> DataFrame:
     """One row a message: its columns, reply_to (turn, null for the first), reply_conv, n_quotes (quoted passages),
     n_linked (quoted passages found in an original), thread and position (reply order in the conversation), and clean (the
@@ -97,7 +111,8 @@ def link(messages: DataFrame) -> DataFrame:
     quoted = quoted.select("conv_id", "turn", "passage", F.col("x.level").alias("level"), F.explode(keys_of(F.col("x"), False)).alias("k")).groupBy("conv_id", "turn", "passage", "level", F.col("k.key").alias("key")).agg(F.min("k.weak").alias("weak"))
     asked = quoted.select("key").distinct()
     originals = parsed.select("conv_id", "turn", F.explode(F.filter("passages", lambda x: x["level"] == 0)).alias("x"))
-    originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("k")).select("conv_id", "turn", F.col("k.key").alias("key")).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
+    originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("k")).select("conv_id", "turn", F.col("k.key").alias("key"))
+    originals = maybe_in(originals, asked).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
 
     # within the conversation: the last original before the quote, among rows of one line in one conversation
     both = quoted.select("conv_id", "turn", "key", "level", "passage", "weak", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", *(F.lit(None).cast("int").alias(c) for c in ("level", "passage", "weak")), F.lit(0).alias("q")))
