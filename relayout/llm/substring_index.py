@@ -26,8 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relayout.llm.repeats import ASK, Search, answers, default_buckets, find, fingerprints, ranges_of, unnull, with_ranges
-from relayout.llm.shared import keyed, materialise, table, utf8
+from relayout.llm.repeats import ASK, Search, answers, bucket_of, default_buckets, find, fingerprints, ranges_of, unnull, with_ranges
+from relayout.llm.shared import keyed, materialise, mix, table, utf8
 
 #: With three batches and one run at most, the third batch is merged with a compacted run.
 WINDOW, GRAM, FANOUT, BATCHES = 20, 8, 1, 3
@@ -53,8 +53,9 @@ def _distinct(run: np.ndarray) -> np.ndarray:
     return out
 
 
-def _merge(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
-    """One bucket: asks, notes and echoes of the batch (kinds 0, 1, 2) and the runs (3) in; hits and the new run out."""
+def _merge(buckets: int, key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+    """One bucket: asks, notes and echoes of the batch (kinds 0, 1, 2) and the runs (3) in; the new run out, and hits, packed
+    by the bucket of their document: rows follow the buckets, not the documents."""
     asks, notes, echoes, history = (_sorted(frame, k) for k in (0, 1, 2, 3))
     history = _distinct(history)
     f = asks["f"]
@@ -65,17 +66,32 @@ def _merge(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
     twice |= np.isin(f, notes["f"]) | np.isin(f, history["f"])
     # a single holder in the history hears of it once; the new run's entry without a rid says that it has
     woken = history[(history["rid"] != 0) & (np.isin(history["f"], f) | np.isin(history["f"], notes["f"]))]
-    rids, bodies = answers(np.concatenate([asks[twice], woken, echoes]))
+    hits = np.concatenate([asks[twice], woken, echoes])
+    owner = bucket_of(mix(np.ascontiguousarray(hits["rid"]).view(np.uint64)), buckets)
+    order = np.argsort(owner, kind="stable")
+    hits, owner = hits[order], owner[order]
+    cut = np.flatnonzero(np.diff(owner, prepend=-1, append=-2))
     single, shared = asks[~twice], np.unique(np.concatenate([f[twice], notes["f"]]))
     fresh = np.zeros(len(shared), ASK)
     fresh["f"] = shared
     run = np.sort(np.concatenate([single, fresh]), order=["f", "rid"])
-    rows = pd.DataFrame({"kind": HIT, "bucket": key[0], "rid": rids, "body": bodies})
+    rows = pd.DataFrame({"kind": HIT, "bucket": owner[cut[:-1]], "rid": 0, "body": [hits[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)]})
     if len(run):
         rows = pd.concat([rows, pd.DataFrame({"kind": [RUN], "bucket": [key[0]], "rid": [0], "body": [run.tobytes()]})])
     return rows
 
 
+def _by_document(frame: pd.DataFrame) -> pd.DataFrame:
+    """One bucket of documents: (rid, body), all hit fingerprints of each."""
+    rids, bodies = answers(np.concatenate([np.frombuffer(x, ASK) for x in frame["body"]]))
+    return pd.DataFrame({"rid": rids, "body": bodies})
+
+
+def by_document(packed: DataFrame) -> DataFrame:
+    """(rid, body) of packed hits (bucket, body)."""
+    return packed.groupBy("bucket").applyInPandas(_by_document, "rid long, body binary")
+
+
 def _compact(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"kind": [RUN], "bucket": [key[0]], "rid": [0], "body": [_distinct(_sorted(frame, 3)).tobytes()]})
 
@@ -96,14 +112,19 @@ class SubstringIndex:
         rows = fingerprints(docs, self.search, self.buckets)
         for run in self.runs:
             rows = rows.union(run.select("bucket", F.lit(3).alias("kind"), "body"))
-        merged = materialise(rows.groupBy("bucket").applyInPandas(_merge, MERGED), "index")
+        buckets = self.buckets
+
+        def merge(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+            return _merge(buckets, key, frame)
+
+        merged = materialise(rows.groupBy("bucket").applyInPandas(merge, MERGED), "index")
         self.written.append(merged)
         self.runs.append(merged.filter(F.col("kind") == RUN))
-        self.hits.append(merged.filter(F.col("kind") == HIT).select("rid", "body"))
-        return self.hits[-1]
+        self.hits.append(merged.filter(F.col("kind") == HIT).select("bucket", "body"))
+        return by_document(self.hits[-1])
 
     def all_hits(self) -> DataFrame:
-        return reduce(DataFrame.union, self.hits)
+        return by_document(reduce(DataFrame.union, self.hits))
 
     def compact(self) -> None:
         rows = reduce(DataFrame.union, self.runs).select("bucket", F.lit(3).alias("kind"), "body").groupBy("bucket").applyInPandas(_compact, MERGED)
@@ -114,7 +135,7 @@ class SubstringIndex:
         """Adds a batch, and gives (doc_id, rid, found) of its documents that hold a window which stands earlier, in the batch
         or in the history: what was added before, as keyed() gives it. Ids rise from batch to batch."""
         self.add(docs)
-        hits = self.all_hits()
+        hits = materialise(self.all_hits(), "hits")
         told = hits.select("rid").distinct()
         both = docs.select("doc_id", "rid", "text").unionByName(history.select("doc_id", "rid", "text").join(told, "rid", "left_semi"))
         found = find(both, hits, self.search, self.buckets)
@@ -127,7 +148,7 @@ class SubstringIndex:
         for k, run in enumerate(self.runs):
             run.write.parquet(f"{path}/run{k}")
         if self.hits:
-            self.all_hits().write.parquet(f"{path}/hits")
+            reduce(DataFrame.union, self.hits).write.parquet(f"{path}/hits")
         self.spark.createDataFrame([(about,)], "about string").coalesce(1).write.text(f"{path}/about")  # last: it says that all is there
 
     @classmethod
@@ -135,7 +156,7 @@ class SubstringIndex:
         about = json.loads(spark.read.text(f"{path}/about").first()[0])
         out = cls(spark, Search(words=True, window=about["window"], gram=about["gram"], later=True), about["buckets"], about["fanout"])
         out.runs = [spark.read.schema(MERGED).parquet(f"{path}/run{k}") for k in range(about["runs"])]
-        out.hits = [spark.read.schema("rid long, body binary").parquet(f"{path}/hits")] if about["runs"] else []
+        out.hits = [spark.read.schema("bucket int, body binary").parquet(f"{path}/hits")] if about["runs"] else []
         return out
 
 
