@@ -112,7 +112,8 @@ def link(messages: DataFrame) -> DataFrame:
     asked = quoted.select("key").distinct()
     originals = parsed.select("conv_id", "turn", F.explode(F.filter("passages", lambda x: x["level"] == 0)).alias("x"))
     originals = originals.select("conv_id", "turn", F.explode(keys_of(F.col("x"), True)).alias("k")).select("conv_id", "turn", F.col("k.key").alias("key"))
-    originals = maybe_in(originals, asked).join(asked, "key", "left_semi").select("conv_id", "turn", "key").distinct()
+    # (a semi-join would be pushed below the map's join, and everything would move)
+    originals = maybe_in(originals, asked).join(asked, "key").select("conv_id", "turn", "key").distinct()
 
     # within the conversation: the last original before the quote, among rows of one line in one conversation
     both = quoted.select("conv_id", "turn", "key", "level", "passage", "weak", F.lit(1).alias("q")).unionByName(originals.select("conv_id", "turn", "key", *(F.lit(None).cast("int").alias(c) for c in ("level", "passage", "weak")), F.lit(0).alias("q")))
