@@ -538,7 +538,7 @@ def sample_entries(search: Search, x: Stretches, buckets: int) -> pa.RecordBatch
 
 
 #: About how many bytes of records one bucket holds; a task sorts one bucket at a time.
-BUCKET_BYTES = 64_000_000
+BUCKET_BYTES = 16_000_000
 
 
 def buckets_for(total: int | None, least: int) -> int:
