@@ -291,7 +291,7 @@ def answers(hit: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
     return hit["rid"][cut[:-1]], [full[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)]
 
 
-def ask_once(entries: DataFrame) -> DataFrame:
+def ask_once(entries: DataFrame, buckets: int) -> DataFrame:
     """(rid, body): the repeated fingerprints of each document."""
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
@@ -300,7 +300,7 @@ def ask_once(entries: DataFrame) -> DataFrame:
         rids, bodies = answers(hit)
         return pd.DataFrame({"rid": rids, "body": bodies})
 
-    return entries.groupBy("bucket").applyInPandas(run, "rid long, body binary")
+    return by_buckets(entries, buckets).applyInPandas(run, "rid long, body binary")
 
 
 def pieces(docs: DataFrame, hits: DataFrame, search: Search) -> DataFrame:

@@ -26,7 +26,7 @@ def repeated_ranges(docs: DataFrame, size: int = SIZE, gram: int = GRAM, cover:
     anywhere else too. docs: (doc_id, rid, text) as keyed() gives it."""
     search = Search(words=False, window=size, gram=gram, later=False, cover=cover)
     buckets = buckets or default_buckets(docs)
-    return find(docs, ask_once(fingerprints(docs, search, buckets)), search, buckets)
+    return find(docs, ask_once(fingerprints(docs, search, buckets), buckets), search, buckets)
 
 
 def kept(text: bytes, ranges: np.ndarray) -> bytes:
