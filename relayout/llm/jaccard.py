@@ -203,9 +203,9 @@ def may_link(docs: DataFrame, classes: DataFrame, gram: int, num: int, den: int,
 # ---- 2. global order --------------------------------------------------------------------------------
 
 
-def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
-    """(part, node, n, weight, grams) of the chosen classes' first documents, node their rid: chosen has (doc_id, rid,
-    weight)."""
+def set_parts(docs: DataFrame, chosen: DataFrame, many: DataFrame, gram: int) -> DataFrame:
+    """(part, node, n, weight, grams) of the chosen classes' first documents, node their rid, one row each: chosen has
+    (doc_id, rid, weight), many the (doc_id, rid) of rows that are repeated."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, size = TaskContext.get().partitionId() << 32, 0
@@ -216,7 +216,10 @@ def set_parts(docs: DataFrame, chosen: DataFrame, gram: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(part + own), batch.column("rid").slice(first, len(n)), pa.array(n), batch.column("weight").slice(first, len(n)), pa.array([grams[i:j].tobytes() for i, j in zip(at[:-1], at[1:], strict=True)], pa.binary())], ["part", "node", "n", "weight", "grams"])
                 size += int(n.sum())
 
-    joined = docs.join(chosen, ["doc_id", "rid"]).select("rid", "text", "weight")
+    joined = docs.join(chosen, ["doc_id", "rid"]).select("doc_id", "rid", "text", "weight")
+    # partial overlaps are summed by node, so a repeated row must come once; only such rows move for that
+    several = joined.join(many, ["doc_id", "rid"], "left_semi").dropDuplicates(["doc_id", "rid"])
+    joined = joined.join(many, ["doc_id", "rid"], "left_anti").unionByName(several).select("rid", "text", "weight")
     return joined.mapInArrow(run, "part long, node long, n long, weight long, grams binary")
 
 
@@ -521,7 +524,8 @@ def join(docs: DataFrame, gram: int = GRAM, num: int = NUM, den: int = DEN, buck
     classes = of.filter("n_shingles > 0").groupBy("c1", "c2").agg(F.min(F.struct("doc_id", "rid")).alias("first"), F.first("n_shingles").alias("n"), F.count(F.lit(1)).alias("weight"))
     classes = materialise(classes, "classes")
     chosen = may_link(docs, classes, gram, num, den, buckets).select(F.col("first.doc_id").alias("doc_id"), F.col("first.rid").alias("rid"), "weight")
-    sets = materialise(set_parts(docs, chosen, gram), "sets")
+    many = materialise(of.groupBy("doc_id", "rid").agg(F.count(F.lit(1)).alias("copies")).filter("copies > 1").select("doc_id", "rid"), "copies")
+    sets = materialise(set_parts(docs, chosen, many, gram), "sets")
     counts = materialise(gram_counts(sets, buckets), "counts")
     placed = materialise(prefix_segments(sets, counts, fragment_cuts(counts), num, den, buckets), "placed")
     discard(sets, counts)

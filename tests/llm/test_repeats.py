@@ -234,6 +234,14 @@ def test_join_against_brute_force(spark, seed, block):
         assert sorted((r.doc_id, r.n_shingles, r.component_id, r.n_links) for r in got.collect()) == brute_join(rows, gram, num, 100)
 
 
+def test_join_with_repeated_rows(spark):
+    rows = near_copies(4, 40)
+    rows += [*rows[:25], rows[3], rows[3]]
+    for block in (4, 1024):
+        got = jaccard.join(keyed(frame(spark, rows)), gram=2, num=60, block=block)
+        assert sorted((r.doc_id, r.n_shingles, r.component_id, r.n_links) for r in got.collect()) == brute_join(rows, 2, 60, 100)
+
+
 def test_join_on_the_given_table(spark):
     rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{SF}/documents.parquet").collect()]
     assert sorted(map(tuple, jaccard.query(spark, SF).collect())) == brute_join(rows, 5, 80, 100)
