@@ -8,10 +8,8 @@ search narrows, and every step is exact (a step only drops what cannot be repeat
    exchanged. Windows whose anchor occurs once in the corpus are done.
 2. *Contexts.* The text that can hold windows of an anchor (window - 1 units to the left, window to the right) is hashed.
    Equal contexts settle all their windows at once; one of them, the first in the corpus, goes on for the rest.
-3. *Cover samples* (where ``cover`` is set). Places whose index modulo v lies in a difference cover: for any two
-   windows some offset below v puts both on a sample. Samples are ranked by the next window - v + 1 units; a window
-   without a sample of shared rank among its first v places is done.
-4. *Windows.* What is left is hashed to 128 bits and sorted, one bucket at a time.
+3. *Windows.* What is left is hashed to 128 bits and sorted, one bucket at a time; or ``rest`` decides on it (relayout.llm.
+   suffix_order ranks samples of a difference cover and sorts suffixes by them).
 
 Exchanges carry packed arrays, one row for each task (or part) and bucket, in which a key stands once: a text that a
 third of all documents share costs a row a task, and a bucket's size follows the number of buckets.
@@ -551,11 +549,11 @@ def by_buckets(entries: DataFrame, n: int):  # noqa: ANN201
     return entries.repartition(n, "bucket").groupBy("bucket")
 
 
-def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent: tuple[DataFrame, ...] = ()) -> DataFrame:
+def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent: tuple[DataFrame, ...] = (), rest: Callable[[DataFrame, Search, int], DataFrame] | None = None) -> DataFrame:
     """(doc_id, rid, found): ranges of units under repeated windows, each a binary of (from, to), 8 bytes each.
 
     docs: (doc_id, rid, text) as keyed() gives it; hits: (rid, body), the repeated fingerprints of each document; spent:
-    written tables that only hits needs."""
+    written tables that only hits needs; rest: what decides on the windows that contexts leave open (else: their hashes)."""
     found = materialise(pieces(docs, hits, search), "pieces")
     discard(*spent)
 
@@ -568,6 +566,8 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
     settled = materialise(settle(search, found, replies), "settled")
     discard(found)
     open_ = settled.filter("kind = 1").drop("kind")
+    if rest:
+        return _together(settled, rest(open_, search, buckets))
     # a window begins at each byte, or at each word: words have a few bytes
     n_windows = buckets_for((open_.agg(F.sum(F.octet_length("body"))).first()[0] or 0) * RECORD.itemsize // (4 if search.words else 1), buckets)
 
@@ -575,26 +575,7 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
         at, of = open_windows(x)
         return entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], n_windows)
 
-    if search.cover:
-        shared = by_buckets(_each(open_, search, 2, lambda x: sample_entries(search, x, n_windows), ENTRY), n_windows).applyInPandas(repeated_samples, "part long, body binary")
-
-        def of_sampled(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
-            if not left.num_rows or not len(got):
-                return
-            x = Stretches.read(search, left.combine_chunks(), 2)
-            near, name = samples(search, x)
-            v = difference_cover(search.cover)[1]
-            marked = np.zeros(len(x.one) + v + 1, np.int64)
-            marked[near[np.isin(name, got)] + 1] = 1
-            marked = np.cumsum(marked)
-            at, of = open_windows(x)
-            some = marked[np.minimum(at + v, len(x.one) + v)] > marked[at]
-            at, of = at[some], of[some]
-            yield pa.Table.from_batches([entries_of(x.part[of], *window_hashes(search, x, at), x.doc[of], at - x.at[of] + x.start[of], n_windows)])
-
-        entries = _with_replies(open_, shared, of_sampled, ENTRY, np.dtype("<u8"))
-    else:
-        entries = _each(open_, search, 2, all_windows, ENTRY)
+    entries = _each(open_, search, 2, all_windows, ENTRY)
     same = by_buckets(entries, n_windows).applyInPandas(repeated, "part long, body binary")
 
     def final(left: pa.Table, got: np.ndarray) -> Iterator[pa.Table]:
@@ -608,7 +589,11 @@ def find(docs: DataFrame, hits: DataFrame, search: Search, buckets: int, spent:
         sure = again & ~first if search.later else again
         yield spans_table(x, of[sure], p[sure], p[sure] + search.window, STRETCH)
 
-    last = _with_replies(open_, same, final, STRETCH)
+    return _together(settled, _with_replies(open_, same, final, STRETCH))
+
+
+def _together(settled: DataFrame, last: DataFrame) -> DataFrame:
+    """By document what was settled early and last."""
     both = settled.filter("kind = 0").select("doc_id", "rid", "ranges").union(last.select("doc_id", "rid", "ranges"))
     both = materialise(both, "ranges")
     discard(settled)

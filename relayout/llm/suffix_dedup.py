@@ -1,9 +1,9 @@
-"""Dedup over the bytes of all suffixes: blockwise, filtered by a difference cover.
+"""Dedup over the bytes of all suffixes: blockwise, with ranks of difference-cover samples.
 
-The suffixes of a corpus are never sorted whole. Content anchors first drop the text that cannot repeat (relayout.llm.
-repeats); over the rest, suffixes are compared by their first ``size`` bytes only. The difference cover is a filter: a sample
-is a 64-bit hash of ``size - v + 1`` bytes, and a suffix goes on if one of the samples near it occurs twice. Those left are
-joined by 128-bit hashes of ``size`` bytes, one bucket at a time; they are not sorted by bytes and have no ranks. Memory is that of one bucket, or of one part of the text, whatever the input.
+Content anchors first drop the text that cannot repeat, and settle whole equal contexts (relayout.llm.repeats). What is left
+is decided by suffix order (relayout.llm.suffix_order): samples of a difference cover get ranks in rounds, and one bucket of
+suffixes at a time is sorted by rank and by the few bytes around, so no suffix is compared over its long tie. Repeats are read
+off neighbours. Memory is that of one bucket, or of one part of the text, whatever the input.
 """
 
 from __future__ import annotations
@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from relayout.llm.repeats import Search, ask_once, default_buckets, find, fingerprints, ranges_of, unnull, with_ranges
 from relayout.llm.shared import keyed, table, utf8
+from relayout.llm.suffix_order import repeated_windows
 
 SIZE, GRAM, COVER = 400, 64, 7
 
@@ -26,7 +27,7 @@ def repeated_ranges(docs: DataFrame, size: int = SIZE, gram: int = GRAM, cover:
     anywhere else too. docs: (doc_id, rid, text) as keyed() gives it."""
     search = Search(words=False, window=size, gram=gram, later=False, cover=cover)
     buckets = buckets or default_buckets(docs)
-    return find(docs, ask_once(fingerprints(docs, search, buckets), buckets), search, buckets)
+    return find(docs, ask_once(fingerprints(docs, search, buckets), buckets), search, buckets, rest=repeated_windows)
 
 
 def kept(text: bytes, ranges: np.ndarray) -> bytes:
