@@ -67,3 +67,10 @@ def grid(cells, m, n, mb, nb, site):
 def test_layout_block_cyclic_holds_every_order(spark, tables):
     d, rows = tables
     assert got(spark, d, "layout_block_cyclic") == grid(customer_months(rows), 84, 12, 7, 5, lambda x, y: y % 4 * 3 + x % 3)
+
+
+def test_layout_blocks_holds_every_line(spark, tables):
+    d, rows = tables
+    cells = whole((q, k) for *_, q, k in rows["lineitem"])
+    blocks = [(0, 0, 0, 7, 0, 4, 0), (0, 1, 0, 7, 4, 8, 1), (1, 0, 7, 10, 0, 4, 2), (1, 1, 7, 10, 4, 8, 0), (2, 0, 10, 51, 0, 4, 1), (2, 1, 10, 51, 4, 8, 2)]
+    assert got(spark, d, "layout_blocks") == [(*b, sum(b[2] <= i < b[3] and b[4] <= j < b[5] for i, j in cells)) for b in blocks]
