@@ -74,3 +74,13 @@ def test_layout_blocks_holds_every_line(spark, tables):
     cells = whole((q, k) for *_, q, k in rows["lineitem"])
     blocks = [(0, 0, 0, 7, 0, 4, 0), (0, 1, 0, 7, 4, 8, 1), (1, 0, 7, 10, 0, 4, 2), (1, 1, 7, 10, 4, 8, 0), (2, 0, 10, 51, 0, 4, 1), (2, 1, 10, 51, 4, 8, 2)]
     assert got(spark, d, "layout_blocks") == [(*b, sum(b[2] <= i < b[3] and b[4] <= j < b[5] for i, j in cells)) for b in blocks]
+
+
+def test_layout_contiguous_holds_every_line(spark, tables):
+    d, rows = tables
+    assert got(spark, d, "layout_contiguous") == grid(supplier_parts(rows), 71, 78, 18, 39, lambda x, y: x * 2 + y)
+
+
+def test_layout_contiguous_without_lines(spark, tmp_path):
+    spark.createDataFrame([(None, 1)], "l_suppkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert got(spark, str(tmp_path), "layout_contiguous") == []
