@@ -84,3 +84,9 @@ def test_layout_contiguous_holds_every_line(spark, tables):
 def test_layout_contiguous_without_lines(spark, tmp_path):
     spark.createDataFrame([(None, 1)], "l_suppkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
     assert got(spark, str(tmp_path), "layout_contiguous") == []
+
+
+def test_layout_relabelled_holds_every_event(spark, tables):
+    d, rows = tables
+    want = grid(user_hours(rows), 161, 24, 50, 16, lambda x, y: [3, 1, 0, 2][x % 2 * 2 + y % 2])
+    assert got(spark, d, "layout_relabelled") == [(b[0], b[1], b[6], b[7]) for b in want]
