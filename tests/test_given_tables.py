@@ -90,3 +90,9 @@ def test_layout_relabelled_holds_every_event(spark, tables):
     d, rows = tables
     want = grid(user_hours(rows), 161, 24, 50, 16, lambda x, y: [3, 1, 0, 2][x % 2 * 2 + y % 2])
     assert got(spark, d, "layout_relabelled") == [(b[0], b[1], b[6], b[7]) for b in want]
+
+
+def test_layout_transposed_holds_every_line(spark, tables):
+    d, rows = tables
+    want = grid(supplier_months(rows), 71, 12, 7, 5, lambda x, y: x % 3 * 4 + y % 4)
+    assert got(spark, d, "layout_transposed") == sorted((y, x, c, ce, r, re, site, n) for x, y, r, re, c, ce, site, n in want)
