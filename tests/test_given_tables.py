@@ -96,3 +96,10 @@ def test_layout_transposed_holds_every_line(spark, tables):
     d, rows = tables
     want = grid(supplier_months(rows), 71, 12, 7, 5, lambda x, y: x % 3 * 4 + y % 4)
     assert got(spark, d, "layout_transposed") == sorted((y, x, c, ce, r, re, site, n) for x, y, r, re, c, ce, site, n in want)
+
+
+def test_axis_overlay_holds_every_order(spark, tables):
+    d, rows = tables
+    keys = [c for _, c, _ in rows["orders"] if c is not None]
+    starts = sorted({*range(0, 84, 7), *range(0, 84, 12)})
+    assert got(spark, d, "axis_overlay") == [(k, lo, hi, lo // 7, lo // 12, sum(lo <= c < hi for c in keys)) for k, (lo, hi) in enumerate(zip(starts, [*starts[1:], 84], strict=True))]
