@@ -103,3 +103,16 @@ def test_axis_overlay_holds_every_order(spark, tables):
     keys = [c for _, c, _ in rows["orders"] if c is not None]
     starts = sorted({*range(0, 84, 7), *range(0, 84, 12)})
     assert got(spark, d, "axis_overlay") == [(k, lo, hi, lo // 7, lo // 12, sum(lo <= c < hi for c in keys)) for k, (lo, hi) in enumerate(zip(starts, [*starts[1:], 84], strict=True))]
+
+
+def test_grid_overlay_holds_every_event(spark, tables):
+    d, rows = tables
+    held, pieces = Counter((t.minute, t.hour) for *_, t in rows["events"] if t), {}
+    for i in range(60):
+        for j in range(24):
+            pieces.setdefault((i // 7, j // 5, i // 4, j // 6), []).append((i, j))
+    want = []
+    for (ra, ca, rb, cb), at in pieces.items():
+        i, j = zip(*at, strict=True)
+        want.append((min(i), max(i) + 1, min(j), max(j) + 1, rb % 3 * 2 + cb % 2, ca % 3 * 2 + ra % 2, sum(held[x] for x in at)))
+    assert got(spark, d, "grid_overlay") == sorted(want)
