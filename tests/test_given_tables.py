@@ -116,3 +116,15 @@ def test_grid_overlay_holds_every_event(spark, tables):
         i, j = zip(*at, strict=True)
         want.append((min(i), max(i) + 1, min(j), max(j) + 1, rb % 3 * 2 + cb % 2, ca % 3 * 2 + ra % 2, sum(held[x] for x in at)))
     assert got(spark, d, "grid_overlay") == sorted(want)
+
+
+def moved(cells, b, a):
+    """Pairs of sites between which cells go; b, a: block, on 4 x 4 sites, and the order of sites."""
+    site = lambda i, j, k, order: (i // k % 4 * 4 + j // k % 4) if order == "row" else (j // k % 4 * 4 + i // k % 4)
+    return {(site(i, j, *b), site(i, j, *a)) for i, j in cells}
+
+
+def test_batch_messages_are_of_all_tables(spark, tables):
+    d, rows = tables
+    each = [{(s, t) for s, t in moved(f(rows), (2, "row"), (8, "row")) if s != t} for f in (customer_months, supplier_months, user_hours)]
+    assert got(spark, d, "batch_messages") == [(len(set().union(*each)), sum(map(len, each)))]
