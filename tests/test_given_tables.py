@@ -128,3 +128,11 @@ def test_batch_messages_are_of_all_tables(spark, tables):
     d, rows = tables
     each = [{(s, t) for s, t in moved(f(rows), (2, "row"), (8, "row")) if s != t} for f in (customer_months, supplier_months, user_hours)]
     assert got(spark, d, "batch_messages") == [(len(set().union(*each)), sum(map(len, each)))]
+
+
+def test_graph_neighbours_are_those_of_the_lines(spark, tables):
+    d, rows = tables
+    pairs = moved(supplier_parts(rows), (8, "row"), (16, "col"))
+    text = lambda xs: ",".join(sorted(map(str, xs)))
+    sites = {s for s, _ in pairs} & {t for _, t in pairs}
+    assert got(spark, d, "graph_neighbours") == sorted((x, text(s for s, t in pairs if t == x), text(t for s, t in pairs if s == x)) for x in sites)
