@@ -136,3 +136,18 @@ def test_graph_neighbours_are_those_of_the_lines(spark, tables):
     text = lambda xs: ",".join(sorted(map(str, xs)))
     sites = {s for s, _ in pairs} & {t for _, t in pairs}
     assert got(spark, d, "graph_neighbours") == sorted((x, text(s for s, t in pairs if t == x), text(t for s, t in pairs if s == x)) for x in sites)
+
+
+def span(pairs):
+    """(k, lo, hi) of (k, x); a group without x has no bounds."""
+    groups = {}
+    for k, x in pairs:
+        groups.setdefault(k, []).extend([] if x is None else [x])
+    return [(k, min(xs, default=None), max(xs) + 1 if xs else None) for k, xs in groups.items()]
+
+
+def test_join_cross_is_of_all_orders_and_lines(spark, tables):
+    d, rows = tables
+    a, b = span((t and t.month, c) for _, c, t in rows["orders"]), span((k, p) for _, p, _, _, k in rows["lineitem"])
+    area = lambda x, y: None if None in (x[1], y[1]) else (x[2] - x[1]) * (y[2] - y[1])
+    assert sorted(map(tuple, QUERIES["join_cross"](spark, d).collect()), key=str) == sorted(((x[0], y[0], area(x, y)) for x in a for y in b), key=str)
