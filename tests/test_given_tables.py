@@ -151,3 +151,10 @@ def test_join_cross_is_of_all_orders_and_lines(spark, tables):
     a, b = span((t and t.month, c) for _, c, t in rows["orders"]), span((k, p) for _, p, _, _, k in rows["lineitem"])
     area = lambda x, y: None if None in (x[1], y[1]) else (x[2] - x[1]) * (y[2] - y[1])
     assert sorted(map(tuple, QUERIES["join_cross"](spark, d).collect()), key=str) == sorted(((x[0], y[0], area(x, y)) for x in a for y in b), key=str)
+
+
+def test_join_interval_is_of_all_events(spark, tables):
+    d, rows = tables
+    days = span((t and (t - datetime(1970, 1, 1)).days, k) for k, _, t in rows["events"])
+    want = [(k, b) for k, lo, hi in days if lo is not None for b in range(-(-2101 // 700)) if lo < min(2101, b * 700 + 700) and b * 700 < hi]
+    assert sorted(map(tuple, QUERIES["join_interval"](spark, d).collect()), key=str) == sorted(want, key=str)
